@@ -7,16 +7,24 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from motifscan.llm import bpe
+from motifscan.llm import bpe, flac, sharding
 from motifscan.llm.common import table
 
 
+def op1_flac(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return flac.to_media(table(spark, sf_dir, "documents"))
+
+
 def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
 
+def op5_splitters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sharding.shard_by_bytes(table(spark, sf_dir, "documents"), shards=40)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op4_bpe": op4_bpe}
+    return {"op1_flac": op1_flac, "op4_bpe": op4_bpe, "op5_splitters": op5_splitters}
 
 
 def oracle_sql() -> dict[str, str]:
