@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from motifscan.llm import bpe, flac, sharding
+from motifscan.llm import bpe, flac, langid, licences, sharding
 from motifscan.llm.common import table
 
 
@@ -23,8 +23,17 @@ def op5_splitters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_by_bytes(table(spark, sf_dir, "documents"), shards=40)
 
 
+def op7_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.scan_licences(table(spark, sf_dir, "documents"))
+
+
+def op9_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return langid.identify(docs, langid.learn(docs))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_flac": op1_flac, "op4_bpe": op4_bpe, "op5_splitters": op5_splitters}
+    return {"op1_flac": op1_flac, "op4_bpe": op4_bpe, "op5_splitters": op5_splitters, "op7_licences": op7_licences, "op9_crf": op9_crf}
 
 
 def oracle_sql() -> dict[str, str]:
