@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from motifscan.llm import bpe, flac, langid, licences, sharding
+from motifscan.llm import bpe, flac, langid, licences, lines, mixing, sharding
 from motifscan.llm.common import table
 
 
@@ -15,6 +15,14 @@ def op1_flac(spark: SparkSession, sf_dir: str) -> DataFrame:
     return flac.to_media(table(spark, sf_dir, "documents"))
 
 
+def op2_pivotal(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.plan_mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
+
+
+def op3_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lines.dedup_report(table(spark, sf_dir, "documents"))
+
+
 def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
@@ -33,7 +41,15 @@ def op9_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_flac": op1_flac, "op4_bpe": op4_bpe, "op5_splitters": op5_splitters, "op7_licences": op7_licences, "op9_crf": op9_crf}
+    return {
+        "op1_flac": op1_flac,
+        "op2_pivotal": op2_pivotal,
+        "op3_lines": op3_lines,
+        "op4_bpe": op4_bpe,
+        "op5_splitters": op5_splitters,
+        "op7_licences": op7_licences,
+        "op9_crf": op9_crf,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
