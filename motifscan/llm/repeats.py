@@ -39,7 +39,7 @@ def compress(hashes: np.ndarray, of: np.ndarray, sums: np.ndarray, rounds: int)
     at = np.arange(n)
     first = np.ones(n, bool)
     first[1:] = of[1:] != of[:-1]
-    left, right = at - first, at.copy()
+    left, right = at, at  # to begin with, every word has an edge before it, whatever stands around
     end = np.append(at[1:], n)
     for t in range(rounds):
         last = np.append(first[1:], True)
@@ -48,7 +48,7 @@ def compress(hashes: np.ndarray, of: np.ndarray, sums: np.ndarray, rounds: int)
         stays = np.ones(len(at), bool)
         stays[1:] = first[1:] | ~((names[1:] == names[:-1]) | (~side[:-1] & side[1:]))
         wide_left = np.where(first, at - 1, np.append(-1, left[:-1]))
-        wide_right = np.where(last, end + 1, np.append(right[1:], n + 1))
+        wide_right = np.where(last, end + (t > 0), np.append(right[1:], n + 1))
         at, left, right, first = at[stays], wide_left[stays], wide_right[stays], first[stays]
         end = np.append(at[1:], n)
     return at, left, right
