@@ -250,3 +250,18 @@ def identify(docs: DataFrame, model: Crf) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64())], ["doc_id", "held_out", "lang_pred", "score"])
 
     return docs.select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
+
+
+def drop_unidentified(docs: DataFrame, model: Crf, least: float = 0.3) -> DataFrame:
+    """docs, with its columns, less those without a language: null or letterless texts, and scores under `least`. No shuffle."""
+    shared, names = docs.sparkSession.sparkContext.broadcast(model), docs.columns
+    at = names.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for start in range(0, whole.num_rows, 512):
+                batch = whole.slice(start, 512)
+                got = predict(shared.value, batch.column(at).to_pylist())
+                yield batch.filter(pa.array([lang != "und" and score >= least for lang, score in got], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -7,12 +7,13 @@ together by such estimates are a cluster. Each class' full set then goes to its
 where a cluster is large), where every pair is counted exactly. The confirmed links' components are the groups.
 
 Nothing lists the pairs of a bucket or cluster: buckets and tiles give one row for each member, its root in a
-union-find. The bands miss a pair at the threshold of 0.85 with probability (1 - 0.85^4)^20 = 4e-7; the estimate
-is held against a bound six standard deviations below the threshold.
+union-find. There are as many bands as make the chance to miss a pair at the threshold t, (1 - t^4)^bands, at most
+MISS: 20 at 0.85, 28 at 0.8. The estimate is held against a bound six standard deviations below the threshold.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -24,7 +25,7 @@ from motifscan.llm.common import Stage
 from motifscan.llm.components import connected_components
 from motifscan.llm.hashing import WORDS, U, grouped, mix, stretch_hash, stretch_sums, word_hashes, word_spans
 
-BANDS, ROWS, HASHES, BITS = 20, 4, 128, 4
+ROWS, HASHES, BITS, MISS = 4, 128, 4, 4e-7
 #: Classes of one tile's block: of a bucket, and of a cluster; and most shingles of a cluster's block.
 BUCKET_BLOCK, CLUSTER_BLOCK, SHINGLES_BLOCK = 1024, 256, 1 << 21
 _rng = np.random.default_rng(20)
@@ -85,11 +86,15 @@ def least_matches(threshold: float) -> int:
     return int(HASHES * p - 6 * np.sqrt(HASHES * p * (1 - p)))
 
 
+def bands_for(threshold: float) -> int:
+    return min(HASHES // ROWS, math.ceil(math.log(MISS) / math.log(1 - threshold**ROWS))) if threshold < 1 else 1
+
+
 def _signed(x: np.ndarray) -> np.ndarray:
     return x.view(np.int64)
 
 
-def sign(docs: DataFrame) -> DataFrame:
+def sign(docs: DataFrame, bands: int) -> DataFrame:
     """doc_id, n, s1, s2 (the set's hash), sig, bands of every row; without a set the last two are null."""
     names = ["doc_id", "n", "s1", "s2", "sig", "bands"]
 
@@ -100,8 +105,8 @@ def sign(docs: DataFrame) -> DataFrame:
                 values, counts = shingle_sets(group)
                 filled, some = counts > 0, np.flatnonzero(counts)
                 low = minima(values, counts)
-                keys = np.empty((len(some), BANDS), np.uint64)
-                for b in range(BANDS):
+                keys = np.empty((len(some), bands), np.uint64)
+                for b in range(bands):
                     h = np.full(len(some), b + 1, np.uint64)
                     for r in range(ROWS):
                         h = mix(h * U(0x9E3779B97F4A7C15) + low[b * ROWS + r])
@@ -115,8 +120,8 @@ def sign(docs: DataFrame) -> DataFrame:
                 place[some] = np.arange(len(some))
                 take = pa.array(place, mask=~filled)
                 sig = pa.array([s.tobytes() for s in pack(low)], pa.binary()).take(take)
-                bands = pa.ListArray.from_arrays(pa.array(np.arange(len(some) + 1) * BANDS, pa.int32()), pa.array(_signed(keys.reshape(-1)))).take(take)
-                yield pa.RecordBatch.from_arrays([whole.column(0).slice(at, len(group)), pa.array(counts.astype(np.int64)), pa.array(_signed(total[0])), pa.array(_signed(total[1])), sig, bands], names)
+                keyed = pa.ListArray.from_arrays(pa.array(np.arange(len(some) + 1) * bands, pa.int32()), pa.array(_signed(keys.reshape(-1)))).take(take)
+                yield pa.RecordBatch.from_arrays([whole.column(0).slice(at, len(group)), pa.array(counts.astype(np.int64)), pa.array(_signed(total[0])), pa.array(_signed(total[1])), sig, keyed], names)
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n long, s1 long, s2 long, sig binary, bands array<long>")
 
@@ -250,7 +255,7 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     own. A row without doc_id links others but isn't reached: its component_id is null and it is kept.
     """
     stage, threshold = Stage(docs.sparkSession, "neardup"), percent / 100
-    signed = stage.put(sign(docs))
+    signed = stage.put(sign(docs, bands_for(threshold)))
     full = signed.where("n > 0 and doc_id is not null")
     classes = full.groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"))
     reps = full.join(classes, ["s1", "s2"]).where("doc_id = rep").dropDuplicates(["s1", "s2"]).select("rep", "s1", "s2", "n", "sig", "bands")
