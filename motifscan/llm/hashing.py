@@ -5,6 +5,8 @@ from __future__ import annotations
 from collections.abc import Iterable, Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 U = np.uint64
 _ODD = 0x9E3779B97F4A7C15
@@ -90,3 +92,14 @@ def grouped(texts: Iterable[bytes], most: int = BLOCK) -> Iterator[tuple[int, li
             at, now, n = i + 1, [], 0
     if now:
         yield at, now
+
+
+def grouped_column(column: pa.Array, most: int = BLOCK) -> Iterator[tuple[int, list[bytes]]]:
+    """Runs of a text column's values (null: empty), as UTF-8, of about a megabyte, each with the index of its first. Only one run at a time is copied."""
+    size = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64) + 1
+    ends, at = np.cumsum(size), 0
+    while at < len(column):
+        before = int(ends[at - 1]) if at else 0
+        to = max(at + 1, int(np.searchsorted(ends, before + most, "right")))
+        yield at, [t or b"" for t in column.slice(at, to - at).cast(pa.binary()).to_pylist()]
+        at = to

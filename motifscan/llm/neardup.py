@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 
 from motifscan.llm.common import Stage
 from motifscan.llm.components import connected_components
-from motifscan.llm.hashing import WORDS, U, grouped, mix, stretch_hash, stretch_sums, word_hashes, word_spans
+from motifscan.llm.hashing import WORDS, U, grouped_column, mix, stretch_hash, stretch_sums, word_hashes, word_spans
 
 ROWS, HASHES, BITS, MISS = 4, 128, 4, 4e-7
 #: Classes of one tile's block: of a bucket, and of a cluster; and most shingles of a cluster's block.
@@ -100,8 +100,7 @@ def sign(docs: DataFrame, bands: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            texts = [(t or "").encode() for t in whole.column(1).to_pylist()]
-            for at, group in grouped(texts):
+            for at, group in grouped_column(whole.column(1)):
                 values, counts = shingle_sets(group)
                 filled, some = counts > 0, np.flatnonzero(counts)
                 low = minima(values, counts)
@@ -279,9 +278,8 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
 
     def to_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            texts = [(t or "").encode() for t in whole.column("text").to_pylist()]
             want = [c.to_numpy(zero_copy_only=False) for c in (whole.column("s1"), whole.column("s2"))]
-            for at, group in grouped(texts):
+            for at, group in grouped_column(whole.column("text")):
                 values, counts = shingle_sets(group)
                 ends = np.cumsum(counts)
                 some = np.flatnonzero(counts)

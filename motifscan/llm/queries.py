@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from motifscan.llm import ann, bpe, flac, langid, licences, lines, mixing, neardup, repeats, sharding
+from motifscan.llm import ann, bpe, flac, langid, licences, lines, mixing, neardup, oracles, repeats, sharding
 from motifscan.llm.common import table
 
 
@@ -68,4 +68,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op3_lines": oracles.LINES, "op8_recompression": oracles.SUBSTRINGS, "op10_minhash": oracles.NEAR_DUPLICATES}

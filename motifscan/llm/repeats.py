@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from motifscan.llm.common import WORD, Stage
-from motifscan.llm.hashing import WORDS, U, grouped, mix, stretch_hash, stretch_sums, word_hashes, word_spans
+from motifscan.llm.hashing import WORDS, U, grouped_column, mix, stretch_hash, stretch_sums, word_hashes, word_spans
 
 WIDTH, ROUNDS = 35, 4
 _WORD = re.compile(WORD)
@@ -112,7 +112,7 @@ def removed_ranges(docs: DataFrame, width: int = WIDTH, rounds: int = ROUNDS) ->
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for at, group in grouped([t.encode() for t in whole.column(1).to_pylist()]):
+            for at, group in grouped_column(whole.column(1)):
                 hashes, of, begins = _words(group)
                 key, span, s1, s2 = representatives(hashes, of, width, rounds)
                 text = of[s1] if len(s1) else np.zeros(0, np.int64)
@@ -133,7 +133,7 @@ def removed_ranges(docs: DataFrame, width: int = WIDTH, rounds: int = ROUNDS) ->
     def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             lists = whole.column(1)
-            for at, group in grouped([t.encode() for t in whole.column(0).to_pylist()]):
+            for at, group in grouped_column(whole.column(0)):
                 hashes, _, begins = _words(group)
                 sums = stretch_sums(hashes, WORDS)
                 part = lists.slice(at, len(group))
