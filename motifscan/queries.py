@@ -13,7 +13,7 @@ from motifscan.operators import triangles as tri
 from motifscan.operators.five_cycle import five_cycle_join
 from motifscan.plans import costs
 from motifscan.plans import shares as sh
-from motifscan.plans.cqs import acyclic_orientations, cqs_by_orders, cqs_by_orientation, cycle_cq_count, cycle_cqs, merge_by_orientation
+from motifscan.plans.cqs import acyclic_orientations, cqs_by_orders, cqs_by_orientation, cycle_cq_bound, cycle_cq_count, cycle_cqs, merge_by_orientation
 from motifscan.plans.patterns import CATALOGUE, Pattern, automorphisms, break_symmetry
 from motifscan.sources import graphs
 from motifscan.sources.graphs import DataGraph
@@ -247,8 +247,8 @@ def _cq_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "pattern string, orders long, orientations long, classes long, symmetries long")
 
 
-register("cq_counts", _cq_counts, "SELECT * FROM (VALUES ('triangle',1,6,1,6),('square',3,14,3,8),('pendant_triangle',12,12,6,2),('diamond',6,18,6,4),('k4',1,24,1,24),('path3',3,4,3,2),('path4',12,8,4,2),('star4',4,8,4,6),('star5',5,16,5,24),('pentagon',12,30,3,10),('house',60,42,21,2),('bowtie',15,36,6,8)) t(pattern, orders, orientations, classes, symmetries)")
-register("cycle_cq_counts", lambda spark, sf: spark.createDataFrame([(p, cycle_cq_count(p), costs_bound) for p in range(3, 13) for costs_bound in ((2**p - 2) / (2 * p),)], "p long, queries long, bound double"), "SELECT p, q AS queries, (power(2, p) - 2) / (2 * p) AS bound FROM (VALUES (3,1),(4,3),(5,3),(6,8),(7,9),(8,21),(9,29),(10,61),(11,93),(12,191)) t(p, q)")
+register("cq_counts", _cq_counts, "SELECT pattern, CAST(orders AS BIGINT) AS orders, CAST(orientations AS BIGINT) AS orientations, CAST(classes AS BIGINT) AS classes, CAST(symmetries AS BIGINT) AS symmetries FROM (VALUES ('triangle',1,6,1,6),('square',3,14,3,8),('pendant_triangle',12,12,6,2),('diamond',6,18,6,4),('k4',1,24,1,24),('path3',3,4,3,2),('path4',12,8,4,2),('star4',4,8,4,6),('star5',5,16,5,24),('pentagon',12,30,3,10),('house',60,42,21,2),('bowtie',15,36,6,8)) t(pattern, orders, orientations, classes, symmetries)")
+register("cycle_cq_counts", lambda spark, sf: spark.createDataFrame([(p, cycle_cq_count(p), costs_bound) for p in range(3, 13) for costs_bound in (cycle_cq_bound(p),)], "p long, queries long, bound double"), "SELECT CAST(p AS BIGINT) AS p, CAST(q AS BIGINT) AS queries, (power(2, p) - 2) / (2 * p) AS bound FROM (VALUES (3,1),(4,3),(5,3),(6,8),(7,9),(8,21),(9,29),(10,61),(11,93),(12,191)) t(p, q)")
 
 
 def _share_table(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -259,11 +259,11 @@ def _share_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(n, k, round(c, 3)) for n, k, c in rows], "workload string, k long, pairs double")
 
 
-register("share_costs", _share_table, "SELECT w AS workload, k, round(c, 3) AS pairs FROM (VALUES ('pendant_one_query', 750, 65.0), ('square_all', 4096, 4 * sqrt(2 * 4096.0)), ('hexagon_all', 500000, 60000.0)) t(w, k, c)")
+register("share_costs", _share_table, "SELECT w AS workload, CAST(k AS BIGINT) AS k, round(c, 3) AS pairs FROM (VALUES ('pendant_one_query', 750, 65.0), ('square_all', 4096, 4 * sqrt(2 * 4096.0)), ('hexagon_all', 500000, 60000.0)) t(w, k, c)")
 register(
     "scheme_formulas",
     lambda spark, sf: spark.createDataFrame([("nodeset", 12, costs.keys("nodeset", 12), float(costs.nodeset_pairs(12))), ("multiway", 6, costs.keys("multiway", 6), float(costs.multiway_pairs(6, True))), ("ordered", 10, costs.keys("ordered", 10), float(costs.ordered_pairs(10)))], "scheme string, b long, k long, pairs double"),
-    "SELECT * FROM (VALUES ('nodeset', 12, 220, 13.75), ('multiway', 6, 216, 16.0), ('ordered', 10, 220, 10.0)) t(scheme, b, k, pairs)",
+    "SELECT scheme, CAST(b AS BIGINT) AS b, CAST(k AS BIGINT) AS k, CAST(pairs AS DOUBLE) AS pairs FROM (VALUES ('nodeset', 12, 220, 13.75), ('multiway', 6, 216, 16.0), ('ordered', 10, 220, 10.0)) t(scheme, b, k, pairs)",
 )
 
 # counts and roll-ups
