@@ -35,9 +35,11 @@ def user_sessions(events: DataFrame, gap: str = "30 minutes", delay: str = "2 ho
 def interval_pairs(events: DataFrame, minutes: int = 10, delay: str = "1 hour") -> DataFrame:
     """Stream-stream join: (src, dst, ts) of different users whose purchases are at most so many minutes apart."""
     bought = events.where("event_type = 'purchase'").select("user_id", "ts")
-    a = bought.toDF("src", "ts").withWatermark("ts", delay)
-    b = bought.toDF("dst", "ts2").withWatermark("ts2", delay)
-    near = F.expr(f"ts2 >= ts - interval {minutes} minutes and ts2 <= ts + interval {minutes} minutes and src < dst")
+    # a stream-stream join needs an equality: times meet by slots of the interval's length, the other side in three of them
+    slot = lambda c: F.floor(F.unix_timestamp(c) / (60 * minutes))
+    a = bought.toDF("src", "ts").withWatermark("ts", delay).withColumn("slot", slot("ts"))
+    b = bought.toDF("dst", "ts2").withWatermark("ts2", delay).withColumn("slot2", F.explode(F.array(slot("ts2") - 1, slot("ts2"), slot("ts2") + 1)))
+    near = F.expr(f"slot = slot2 and ts2 >= ts - interval {minutes} minutes and ts2 <= ts + interval {minutes} minutes and src < dst")
     return a.join(b, near).select("src", "dst", "ts")
 
 
