@@ -72,13 +72,13 @@ def plan_mix(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: flo
     size counts the words of the text (null: none). taken is a whole number of copies times size; a document of no
     words has 0. No document has more than the next whole number above its source's copies, so `cap` whole copies at
     most. A source's words differ from its target by less than one document. Reruns agree, as all chance comes from
-    hashes of the places; rows equal in all columns are interchangeable. `keep` adds columns to the result.
+    hashes of the places; rows equal in all columns are interchangeable. `keep` adds columns to the result, under names of the caller's that the columns above and s, n, g, k, p, bucket, row, whole, extra don't have.
     """
     stage = Stage(docs.sparkSession, "mixing")
     sized = stage.put(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), words().alias("size"), *keep))
     kept = sized.columns[3:]
     targets = stage.put(source_targets(sized, weights, share, cap))
-    rows = sized.withColumnRenamed("source", "own").join(targets, F.col("own").eqNullSafe(F.col("source"))).drop("own", "source")
+    rows = sized.withColumnRenamed("source", "_own").join(targets, F.col("_own").eqNullSafe(F.col("source"))).drop("_own", "source")
     rows = rows.withColumn("copies", F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)).withColumn("whole", F.floor(F.col("copies") + _EPS)).withColumn("p", F.col("copies") - F.col("whole"))
     settled = (F.col("p") <= _EPS) | (F.col("size") == 0)
     wide = F.greatest(F.ceil(F.col("n") / GROUP), F.lit(1))
