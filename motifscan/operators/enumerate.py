@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from motifscan.functions.buckets import canonical_mapping, is_canonical, pairs_condition
 from motifscan.operators import schemes
 from motifscan.operators.reduce import reduce_by_key
-from motifscan.operators.triangles import nodeset_owner
+from motifscan.operators.triangles import nodeset_owned
 from motifscan.plans import shares as sh
 from motifscan.plans.cqs import MotifQuery, cqs_by_orientation
 from motifscan.plans.patterns import Pattern
@@ -96,7 +96,7 @@ def enumerate_nodeset(g: DataGraph, s: Pattern, b: int, dedup: str = "owner", ki
         return found.select(*names(s)).distinct()
     if dedup == "none":
         return found.select(*names(s))
-    return found.where(nodeset_owner(names(s), b, kind) == F.col("rk")).select(*names(s))
+    return nodeset_owned(found, names(s), b, kind).select(*names(s))
 
 
 def _whole_shares(s: Pattern, queries: list[MotifQuery], k: float) -> list[int]:

@@ -28,7 +28,7 @@ def five_cycle_shares(sizes: Sequence[int], k: float) -> list[float]:
     return sh.optimise(5, tuple(sh.Term(i, (i + 1) % 5, float(max(1, n))) for i, n in enumerate(sizes)), k)
 
 
-def _one_round(rels: list[DataFrame], sizes: Sequence[int], k: int) -> DataFrame:
+def _one_round(rels: list[DataFrame], sizes: Sequence[int], values: Sequence[tuple[int, int]], k: int) -> DataFrame:
     ts = tuple(sh.Term(i, (i + 1) % 5, float(max(1, n))) for i, n in enumerate(sizes))
     shares = sh.round_shares(5, ts, sh.optimise(5, ts, k), k)
     weight = [math.prod(shares[i + 1 :]) for i in range(5)]
@@ -42,14 +42,18 @@ def _one_round(rels: list[DataFrame], sizes: Sequence[int], k: int) -> DataFrame
         fixed = bucket_of("a", shares[i], seed=i).cast("long") * weight[i] + bucket_of("b", shares[j], seed=j).cast("long") * weight[j]
         rows = r.select(F.col("a").alias(V[i]), F.col("b").alias(V[j]), fixed.alias("f"), F.explode(F.array(*(F.lit(o).cast("long") for o in offsets))).alias("o"))
         shipped.append(rows.select((F.col("f") + F.col("o")).alias("rk"), V[i], V[j]).repartition("rk"))
-    # small relations first: the two at the smallest middle, then those that close the cycle
-    order = sorted(range(5), key=lambda i: sizes[i])
-    df, done = shipped[order[0]], {order[0]}
-    while len(done) < 5:
-        near = [i for i in order if i not in done and ({V[i], V[(i + 1) % 5]} & set(df.columns))]
-        i = min(near, key=lambda i: (-len({V[i], V[(i + 1) % 5]} & set(df.columns)), sizes[i]))
-        df = df.join(shipped[i], ["rk", *(c for c in (V[i], V[(i + 1) % 5]) if c in df.columns)])
-        done.add(i)
+    # grow from the join that is expected to be least, by sizes and numbers of different values
+    ends = [(V[i], V[(i + 1) % 5]) for i in range(5)]
+
+    def growth(rows: float, have: set[str], i: int) -> float:
+        return rows * sizes[i] / math.prod(max(1.0, values[i][ends[i].index(c)]) for c in ends[i] if c in have)
+
+    start = min(range(5), key=lambda i: min(growth(sizes[i], set(ends[i]), (i + 1) % 5), growth(sizes[i], set(ends[i]), (i + 4) % 5)))
+    df, rows, have, left = shipped[start], float(sizes[start]), set(ends[start]), set(range(5)) - {start}
+    while left:
+        i = min((i for i in left if set(ends[i]) & have), key=lambda i: growth(rows, have, i))
+        df = df.join(shipped[i], ["rk", *(c for c in ends[i] if c in have)])
+        rows, have, left = growth(rows, have, i), have | set(ends[i]), left - {i}
     return df.select(*V)
 
 
@@ -73,16 +77,18 @@ def _opposite(rels: list[DataFrame], r: int, sizes: Sequence[int]) -> DataFrame:
 
 def five_cycle_join(rels: list[DataFrame], strategy: str = "auto", k: int = 64, sizes: Sequence[int] | None = None) -> DataFrame:
     """(v1..v5). rels: five DataFrames with columns a, b, without repeated rows. strategy: 'A', 'B' or by the sizes."""
+    values = [(1, 1)] * 5
     if sizes is None:
         counts = None
         for i, r in enumerate(rels):
-            c = r.agg(F.count("*").alias("n")).select(F.lit(i).alias("i"), "n")
+            c = r.agg(F.count("*").alias("n"), F.approx_count_distinct("a").alias("a"), F.approx_count_distinct("b").alias("b")).select(F.lit(i).alias("i"), "n", "a", "b")
             counts = c if counts is None else counts.unionByName(c)
-        sizes = [row["n"] for row in sorted(counts.collect(), key=lambda row: row["i"])]
+        rows = sorted(counts.collect(), key=lambda row: row["i"])
+        sizes, values = [row["n"] for row in rows], [(row["a"], row["b"]) for row in rows]
     case, r, _ = five_cycle_case(sizes)
     if strategy == "auto":
         strategy = case
-    return _one_round(rels, sizes, k) if strategy == "A" else _opposite(rels, r, sizes)
+    return _one_round(rels, sizes, values, k) if strategy == "A" else _opposite(rels, r, sizes)
 
 
 def extremal_five_cycle(spark: SparkSession, sizes: Sequence[int]) -> list[DataFrame]:

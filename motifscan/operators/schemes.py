@@ -35,7 +35,8 @@ def nodeset_keys(edges: DataFrame, b: int, p: int, kind: str = "xx", seed: int =
     subsets = [sum(1 << i for i in c) for c in itertools.combinations(range(b), p)]
     mask = group_bit(u, b).bitwiseOR(group_bit(v, b))
     every = F.array(*(F.lit(x).cast("long") for x in subsets))
-    return edges.select("src", "dst", F.explode(F.filter(every, lambda x: x.bitwiseAND(mask) == mask)).alias("rk")).select("rk", "src", "dst")
+    masked = edges.select("src", "dst", mask.alias("mask"))  # once a row, not once a subset
+    return masked.select(F.explode(F.filter(every, lambda x: x.bitwiseAND(F.col("mask")) == F.col("mask"))).alias("rk"), "src", "dst")
 
 
 def variable_keys(edges: DataFrame, s: Pattern, shares: Sequence[int], directions: dict[tuple[int, int], tuple[bool, bool]], kind: str = "xx", seed: int = 0) -> DataFrame:

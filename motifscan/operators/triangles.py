@@ -32,8 +32,9 @@ def multiway_pairs(g: DataGraph, b: int, dedup_pairs: bool = False, kind: str =
     rows = g.edges.select("src", "dst", F.explode(every).alias("k")).select("k.rk", "k.role", "src", "dst")
     if not dedup_pairs:
         return rows.withColumnRenamed("role", "roles")
-    merged = F.transform(F.array_distinct(F.transform(every, lambda k: k["rk"])), lambda rk: F.struct(rk.alias("rk"), F.aggregate(F.filter(every, lambda k: k["rk"] == rk), F.lit(0), lambda s, k: s + k["role"]).alias("roles")))
-    return g.edges.select("src", "dst", F.explode(merged).alias("k")).select("k.rk", "k.roles", "src", "dst")
+    k = F.col("every")
+    merged = F.transform(F.array_distinct(F.transform(k, lambda x: x["rk"])), lambda rk: F.struct(rk.alias("rk"), F.aggregate(F.filter(k, lambda x: x["rk"] == rk), F.lit(0), lambda s, x: s + x["role"]).alias("roles")))
+    return g.edges.select("src", "dst", every.alias("every")).select("src", "dst", F.explode(merged).alias("k")).select("k.rk", "k.roles", "src", "dst")
 
 
 def triangles_multiway(g: DataGraph, b: int, dedup_pairs: bool = False, kind: str = "xx") -> DataFrame:
@@ -58,16 +59,17 @@ def triangles_nodeset(g: DataGraph, b: int, dedup: str = "owner", kind: str = "x
         return found.select(*X).distinct()
     if dedup == "none":
         return found.select(*X)
-    return found.where(nodeset_owner(X, b, kind) == F.col("rk")).select(*X)
+    return nodeset_owned(found, X, b, kind).select(*X)
 
 
-def nodeset_owner(names: list[str], b: int, kind: str = "xx", seed: int = 0):
-    """The least subset of groups, as bits, that holds the groups of all nodes."""
+def nodeset_owned(found: DataFrame, names: list[str], b: int, kind: str = "xx", seed: int = 0) -> DataFrame:
+    """Rows whose key rk is the least subset of groups, as bits, that holds the groups of all nodes."""
     mask = F.lit(0).cast("long")
     for n in names:
         mask = mask.bitwiseOR(schemes.group_bit(bucket_of(n, b, kind, seed), b))
     every = F.array(*(F.lit(sum(1 << i for i in c)).cast("long") for c in itertools.combinations(range(b), len(names))))
-    return F.array_min(F.filter(every, lambda x: x.bitwiseAND(mask) == mask))
+    least = F.array_min(F.filter(every, lambda x: x.bitwiseAND(F.col("_mask")) == F.col("_mask")))
+    return found.withColumn("_mask", mask).where(least == F.col("rk")).drop("_mask")
 
 
 def nodeset_multiplicity(g: DataGraph, b: int, kind: str = "mod") -> DataFrame:
