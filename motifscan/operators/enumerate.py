@@ -174,6 +174,16 @@ def enumerate_cascade(g: DataGraph, s: Pattern, queries: list[MotifQuery] | None
     return out
 
 
+def enumerate_shared(g: DataGraph, s: Pattern, queries: list[MotifQuery] | None = None) -> DataFrame:
+    """All queries by one join tree: the joins are what they have in common, and a mapping stays if any query accepts it."""
+    free = MotifQuery(s.p, (), (), tuple((a, b) for a in range(s.p) for b in range(a + 1, s.p)))
+    both = g.both_ways().toDF("src", "dst")
+    any_of = F.lit(False)
+    for q in queries or cqs_by_orientation(s):
+        any_of = any_of | condition(q)
+    return _all_mappings(s, free, {e: both for e in s.edges}).where(any_of).select(*canonical_mapping(s, names(s)))
+
+
 def bounded_degree(g: DataGraph, s: Pattern) -> DataFrame:
     """A connected pattern grown node by node along adjacency, one join for each further node and a semi-join for each further edge: at most about m * max_degree^(p-2) rows."""
     from motifscan.plans.decompose import elimination_order

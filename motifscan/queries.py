@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from motifscan.operators import census, measures
+from motifscan.functions.tables import register as register_functions
+from motifscan.operators import census, measures, schemes
 from motifscan.operators import enumerate as en
 from motifscan.operators import triangles as tri
 from motifscan.operators.five_cycle import five_cycle_join
@@ -122,6 +124,7 @@ pattern("square_orders", "copurchase", "square", lambda g, s: en.enumerate_varia
 pattern("square_undirected", "copurchase", "square", lambda g, s: en.enumerate_undirected(g, s, 16))
 pattern("square_nodeset", "copurchase", "square", lambda g, s: en.enumerate_nodeset(g, s, 6))
 pattern("square_cascade", "copurchase", "square", en.enumerate_cascade)
+pattern("square_shared", "copurchase", "square", en.enumerate_shared)
 pattern("square_decomposed", "copurchase", "square", lambda g, s: en.enumerate_bucket_oriented(g, s, 4, algorithm="combine"))
 pattern("square_buyer_part", "buyer_part", "square", lambda g, s: en.enumerate_bucket_oriented(g, s, 4))
 pattern("pendant_bucket", "copurchase", "pendant_triangle", lambda g, s: en.enumerate_bucket_oriented(g, s, 4))
@@ -241,6 +244,28 @@ register("complete", on("copurchase", lambda g: measures.completeness(tri.triang
 register("convertible_probes", lambda spark, sf: measures.convertible_work(GRAPHS["copurchase"](spark, sf), CATALOGUE["triangle"], 4, "odd"))
 
 
+
+
+def _sql_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Triangles by the table function at each key of the bucket-list scheme, kept by their owners."""
+    register_functions(spark)
+    view = f"shipped_{uuid.uuid4().hex}"
+    schemes.multiset_keys(GRAPHS["copurchase"](spark, sf_dir).edges, 4, 3).createOrReplaceTempView(view)
+    found = spark.sql(f"SELECT rk, nodes[0] AS x0, nodes[1] AS x1, nodes[2] AS x2 FROM motif_instances(TABLE(SELECT rk, src, dst FROM {view}) PARTITION BY (rk), 'triangle')")
+    return found.where(schemes.multiset_owner(["x0", "x1", "x2"], 4) == F.col("rk")).drop("rk")
+
+
+register("tri_table_function", _sql_functions, pattern_sql("copurchase", CATALOGUE["triangle"]))
+
+
+def _triangles_by_label(spark: SparkSession, sf_dir: str) -> DataFrame:
+    register_functions(spark)
+    return GRAPHS["labelled"](spark, sf_dir).edges.groupBy("label").agg(F.expr("triangle_count(src, dst)").alias("triangles"))
+
+
+register("triangle_count_by_label", _triangles_by_label, f"WITH e AS ({GRAPH_SQL['labelled']}) SELECT a.label, count(*) AS triangles FROM e a JOIN e b ON a.dst = b.src AND a.label = b.label JOIN e c ON c.src = a.src AND c.dst = b.dst AND c.label = a.label GROUP BY a.label")
+
+
 # what the plans alone decide
 def _cq_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = [(n, len(cqs_by_orders(s)), len(acyclic_orientations(s)), len(cqs_by_orientation(s)), len(automorphisms(s))) for n in ("triangle", "square", "pendant_triangle", "diamond", "k4", "path3", "path4", "star4", "star5", "pentagon", "house", "bowtie") for s in (CATALOGUE[n],)]
@@ -312,8 +337,6 @@ register("edges_setops", _setops, f"{_LAB} SELECT 'union' AS op, count(*) AS n F
 
 def _streamed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The co-activity graph from the replayed stream; equal to the batch one."""
-    import uuid
-
     members = streaming.run_to_table(streaming.hourly_members(streaming.event_stream(spark, sf_dir)), f"members_{uuid.uuid4().hex}")
     return streaming.pairs_of(members)
 

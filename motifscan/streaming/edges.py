@@ -43,6 +43,20 @@ def interval_pairs(events: DataFrame, minutes: int = 10, delay: str = "1 hour")
     return a.join(b, near).select("src", "dst", "ts")
 
 
+def without_repeats(events: DataFrame, delay: str = "2 hours") -> DataFrame:
+    """Events whose id came before, within the delay, are dropped."""
+    return events.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
+
+
+def append_edges(stream: DataFrame, path: str, checkpoint: str) -> None:
+    """Writes a stream of (hour, members) as edges, batch by batch. A batch that runs again after a failure overwrites its own folder, so that edges are there once."""
+
+    def write(batch: DataFrame, epoch: int) -> None:
+        pairs_of(batch).write.mode("overwrite").parquet(f"{path}/batch={epoch}")
+
+    stream.writeStream.foreachBatch(write).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+
+
 def run_to_table(stream: DataFrame, name: str, mode: str = "complete", checkpoint: str | None = None) -> DataFrame:
     """Runs a stream over all that is there now; the result as a table in memory (tests, small results)."""
     writer = stream.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True)
