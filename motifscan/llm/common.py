@@ -6,6 +6,7 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from functools import lru_cache
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -21,11 +22,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share, as spark.checkpoint.dir names it; where that is unset (tests, one machine) a temporary folder."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not named:
-        named = tempfile.mkdtemp(prefix="motifscan-stage-")
-        atexit.register(shutil.rmtree, named, True)
-        spark.conf.set("spark.checkpoint.dir", named)
-    return named.rstrip("/")
+    return named.rstrip("/") if named else _own_dir()
+
+
+@lru_cache(maxsize=None)
+def _own_dir() -> str:
+    named = tempfile.mkdtemp(prefix="motifscan-stage-")
+    atexit.register(shutil.rmtree, named, True)
+    return named
 
 
 class Stage:
