@@ -46,4 +46,4 @@ def register(spark: SparkSession) -> None:
     def count(src: pd.Series, dst: pd.Series) -> int:
         return triangle_count_of(src, dst)
 
-    spark.udf.register("triangle_count", F.pandas_udf(count, "long", F.PandasUDFType.GROUPED_AGG))
+    spark.udf.register("triangle_count", F.pandas_udf(count, "long"))
