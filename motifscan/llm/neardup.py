@@ -3,10 +3,13 @@
 A document's set holds the hashes of its word 5-grams. Equal sets are one class. Each class has HASHES minima: the
 first ones, by bands, give bucket keys; the low BITS bits of all of them, packed, are its signature. In each
 bucket the collision-corrected estimate by bit counts says which classes may be similar; classes that hang
-together by such estimates are a cluster. Each class' full set then goes to its cluster once (to a row of tiles,
-where a cluster is large), where every pair is counted exactly. The confirmed links' components are the groups.
+together by such estimates are a cluster. Each class' full set then goes to its cluster, where every pair is counted
+exactly. The confirmed links' components are the groups.
 
-Nothing lists the pairs of a bucket or cluster: buckets and tiles give one row for each member, its root in a
+A large bucket or cluster is dealt to blocks twice, by independent hashes, and pairs meet within blocks. As only
+components count, a group of alike classes hangs together after that; its other pairs need no look. What is left
+apart from a key's largest component meets that, and itself, in tiles of two blocks, so that no pair is lost.
+Nothing lists the pairs of a bucket or cluster: blocks and tiles give one row for each member, its root in a
 union-find. There are as many bands as make the chance to miss a pair at the threshold t, (1 - t^4)^bands, at most
 MISS: 20 at 0.85, 28 at 0.8. The estimate is held against a bound six standard deviations below the threshold.
 """
@@ -14,7 +17,7 @@ MISS: 20 at 0.85, 28 at 0.8. The estimate is held against a bound six standard d
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -167,11 +170,45 @@ def runs(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(kept)
 
 
-def _tiles(rows: DataFrame, key: str, blocks: str) -> DataFrame:
-    """Deals the rows of a key to tiles (i, j), i <= j, of pairs of blocks, so that any two rows meet in one."""
-    own = F.pmod(F.xxhash64("rep", F.lit(9)), F.col(blocks)).cast("int")
-    tile = F.transform(F.sequence(F.lit(0), F.col(blocks) - 1), lambda o: F.struct(F.least(o, F.col("_own")).alias("i"), F.greatest(o, F.col("_own")).alias("j")))
-    return rows.withColumn("_own", own).withColumn("_tile", F.explode(tile)).withColumns({"i": F.col("_tile.i"), "j": F.col("_tile.j")}).drop("_own", "_tile", blocks)
+def _first_look(rows: DataFrame) -> DataFrame:
+    """Adds the tiles of each row: the only one of a key of one block, else a block each of two independent dealings."""
+    block = lambda seed: F.struct(F.pmod(F.xxhash64("rep", F.lit(seed)), F.col("blocks")).cast("int").alias("i"), F.lit(seed).alias("j"))
+    return rows.withColumn("tiles", F.when(F.col("blocks") > 1, F.array(block(0), block(1))).otherwise(F.array(block(0))))
+
+
+def _second_look(rows: DataFrame, key: str, links: DataFrame, stage: Stage) -> DataFrame | None:
+    """Rows and tiles, of keys of many blocks, for those pairs that didn't meet and whose rows don't hang together yet; None if there are none.
+
+    A key's largest component needs no more looks inside: its rows meet the key's other rows only, in blocks, and those meet each other.
+    """
+    many = stage.put(rows.where("blocks > 1"))
+    if many.isEmpty():
+        return None
+    inner = links.join(many.select(F.col("rep").alias("a")).distinct(), "a", "left_semi")
+    found = connected_components(inner, stage).withColumnRenamed("node", "rep")
+    placed = stage.put(many.join(found, "rep", "left").withColumn("part", F.coalesce("component", "rep")).drop("component"))
+    parts = placed.groupBy(key, "part").agg(F.count("*").alias("c"))
+    keys = parts.groupBy(key).agg(F.max_by("part", "c").alias("main"), F.sum("c").alias("all"), F.max("c").alias("most")).where("all > most")
+    apart = placed.join(keys, key).withColumn("wide", F.ceil(F.col("blocks") * (F.col("all") - F.col("most")) / F.col("all")).cast("int"))
+    tile = lambda i, j: F.struct(i.cast("int").alias("i"), j.cast("int").alias("j"))
+    own, place = F.pmod(F.xxhash64("rep", F.lit(9)), F.col("wide")), F.pmod(F.xxhash64("rep", F.lit(9)), F.col("blocks"))
+    others, all_main = F.sequence(F.lit(0), F.col("wide") - 1), F.sequence(F.lit(0), F.col("blocks") - 1)
+    free = F.concat(F.transform(others, lambda o: tile(F.least(o, own), F.greatest(o, own))), F.transform(all_main, lambda o: tile(own, F.col("wide") + o)))
+    tiles = F.when(F.col("part") != F.col("main"), free).otherwise(F.transform(others, lambda o: tile(o, F.col("wide") + place)))
+    return stage.put(apart.withColumn("tiles", tiles).drop("part", "main", "all", "most", "wide"))
+
+
+def _connect(rows: DataFrame, key: str, look: Callable[[DataFrame], DataFrame], stage: Stage) -> DataFrame:
+    """Links (a, b) that connect all that `look` links among the rows of a key. rows: rep, key, blocks, and what look needs besides tiles."""
+    first = stage.put(look(_first_look(rows)))
+    rest = _second_look(rows, key, first, stage)
+    return first if rest is None else stage.put(first.unionByName(look(rest)))
+
+
+def _in_tiles(rows: DataFrame, key: str) -> DataFrame:
+    """A row for each tile, each tile's rows together."""
+    dealt = rows.withColumn("_tile", F.explode("tiles")).withColumns({"i": F.col("_tile.i"), "j": F.col("_tile.j")}).drop("_tile", "tiles")
+    return dealt.repartition(key, "i", "j").sortWithinPartitions(key, "i", "j")
 
 
 def _likely(batches: Iterator[pa.RecordBatch], threshold: float) -> Iterator[pa.RecordBatch]:
@@ -266,8 +303,8 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     once = buckets.groupBy("c", "members", "more").agg(F.min("bucket").alias("bucket"))  # buckets of the same members count once
     split = once.select("bucket", F.ceil(F.col("c") / BUCKET_BLOCK).cast("int").alias("blocks"))
     met = stage.put(banded.join(split, "bucket"))
-    held = _tiles(met.join(reps.select("rep", "n", "sig"), "rep"), "bucket", "blocks").select("bucket", "i", "j", "rep", "n", "sig")
-    likely = stage.put(held.repartition("bucket", "i", "j").sortWithinPartitions("bucket", "i", "j").mapInArrow(lambda b: _likely(b, threshold), "a long, b long"))
+    signatures = reps.select("rep", "n", "sig")
+    likely = _connect(met, "bucket", lambda rows: _in_tiles(rows.join(signatures, "rep").select("bucket", "rep", "n", "sig", "tiles"), "bucket").select("bucket", "i", "j", "rep", "n", "sig").mapInArrow(lambda b: _likely(b, threshold), "a long, b long"), stage)
     stage.drop(met)
 
     clusters = stage.put(connected_components(likely, stage).withColumnRenamed("node", "rep").withColumnRenamed("component", "cluster"))
@@ -290,9 +327,7 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
                 part = whole.slice(at, len(group))
                 sets = pa.ListArray.from_arrays(pa.array(np.append(0, ends), pa.int32()), pa.array(_signed(values)))
                 keep = pa.array(ok)
-                yield pa.RecordBatch.from_arrays([part.column("cluster"), part.column("rep"), part.column("blocks"), sets], ["cluster", "rep", "blocks", "set"]).filter(keep)
-
-    sets = texts.join(members, "doc").select("text", "s1", "s2", "cluster", "rep", "blocks").mapInArrow(to_sets, "cluster long, rep long, blocks int, set array<long>")
+                yield pa.RecordBatch.from_arrays([part.column("cluster"), part.column("rep"), part.column("tiles"), sets], ["cluster", "rep", "tiles", "set"]).filter(keep)
 
     def links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in runs(batches, 3):
@@ -305,8 +340,11 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
             if pairs:
                 yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in pairs], pa.int64()), pa.array([p[1] for p in pairs], pa.int64())], ["a", "b"])
 
-    tiled = _tiles(sets, "cluster", "blocks").select("cluster", "i", "j", "rep", "set")
-    linked = stage.put(tiled.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j").mapInArrow(links, "a long, b long"))
+    def look(rows: DataFrame) -> DataFrame:
+        sets = texts.join(rows, "doc").select("text", "s1", "s2", "cluster", "rep", "tiles").mapInArrow(to_sets, "cluster long, rep long, tiles array<struct<i int, j int>>, set array<long>")
+        return _in_tiles(sets, "cluster").select("cluster", "i", "j", "rep", "set").mapInArrow(links, "a long, b long")
+
+    linked = _connect(members, "cluster", look, stage)
     groups = connected_components(linked, stage)
     named = groups.join(reps.select(F.col("rep").alias("node"), "doc", "s1", "s2"), "node")
     least = named.groupBy("component").agg(F.min("doc").alias("component_id"))

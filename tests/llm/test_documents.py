@@ -239,8 +239,11 @@ def brute_groups(rows, percent=85):
     return {d: (len(sets[d]), root(d)) for d in sets}
 
 
-@pytest.mark.parametrize("percent", [80, 85])
-def test_near_duplicates(spark, percent):
+@pytest.mark.parametrize("percent, blocks", [(80, None), (85, None), (85, (5, 4)), (80, (3, 7))])
+def test_near_duplicates(spark, monkeypatch, percent, blocks):
+    if blocks:  # so that these small groups take many blocks
+        monkeypatch.setattr(neardup, "BUCKET_BLOCK", blocks[0])
+        monkeypatch.setattr(neardup, "CLUSTER_BLOCK", blocks[1])
     rng = random.Random(5)
     voc = [f"w{i}" for i in range(3000)] + ["É"]
     base, rows = [[rng.choice(voc) for _ in range(n)] for n in (3, 5, 8, 40, 120, 300, 900)], []
