@@ -1,9 +1,10 @@
 """Approximate nearest neighbours by cross-polytope hashing.
 
 Each table turns unit vectors by three rounds of random signs and a fast Hadamard transform and assigns them to
-the nearest signed axis. A query looks into the buckets of its `probes` nearest axes in every table. Bucket and
-visiting queries meet in blocks of bounded size, which keep each query's best by the exact cosine; the tables'
-bests are merged. Equal vectors are looked up once, by their smallest ids.
+the nearest signed axis, of the first AXES ones. A query looks into the buckets of its nearest axes in every table.
+Bucket and visiting queries meet in blocks of bounded size, which keep each query's best by the exact cosine; the
+tables' bests are merged. A query that found fewer than k meets all vectors of its width, in blocks of the same kind.
+Equal vectors are looked up once, by their smallest ids.
 """
 
 from __future__ import annotations
@@ -20,6 +21,8 @@ from motifscan.llm.common import Stage
 
 #: Rows of one block: vectors of a bucket, and queries that visit it.
 BLOCK = 2048
+#: Axes of a table at most, so that the share of vectors that a query meets doesn't fall with the width.
+AXES = 64
 
 
 def hadamard(x: np.ndarray) -> np.ndarray:
@@ -44,8 +47,16 @@ def rotate(x: np.ndarray, table: int, seed: int) -> np.ndarray:
 
 def nearest_axes(x: np.ndarray, count: int) -> np.ndarray:
     """The `count` nearest signed axes of each row, nearest first: 2 * axis, and 1 more for the negative one."""
-    axes = np.argsort(-np.abs(x), axis=1, kind="stable")[:, :count]
-    return 2 * axes + (np.take_along_axis(x, axes, 1) < 0)
+    x = x[:, :AXES]
+    axes = np.argsort(-np.abs(x), axis=1, kind="stable")
+    near = 2 * axes + (np.take_along_axis(x, axes, 1) < 0)
+    # the other signs come last, the furthest axis at the end
+    return near[:, :count] if count <= x.shape[1] else np.concatenate([near, near[:, ::-1] ^ 1], 1)[:, :count]
+
+
+def probes_at(width: int, probes: int) -> int:
+    """Probes at a width: the nearest cosines of wide vectors without structure are smaller, so each doubling beyond AXES adds a quarter."""
+    return probes + math.ceil(probes / 4 * max(0.0, math.log2(1 << max(0, (width - 1).bit_length())) - math.log2(AXES)))
 
 
 def cosines(q: np.ndarray, x: np.ndarray) -> np.ndarray:
@@ -53,8 +64,14 @@ def cosines(q: np.ndarray, x: np.ndarray) -> np.ndarray:
     return (q * x).sum(1) / (np.sqrt((q * q).sum(1)) * np.sqrt((x * x).sum(1)))
 
 
+def _parts(rows: np.ndarray, values: int) -> list[np.ndarray]:
+    """Runs of rows of so many values each, a run of some two million values at most."""
+    step = max(1, (1 << 21) // values)
+    return [rows[at : at + step] for at in range(0, len(rows), step)]
+
+
 def _hash(vectors: DataFrame, id_column: str, tables: int, probes: int, seed: int) -> DataFrame:
-    """(table, bucket, key, vector) of each row and table; a row of `probes` buckets for each."""
+    """(table, bucket, key, vector) of each row and table; a row for each bucket (one if probes is 1)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -62,12 +79,11 @@ def _hash(vectors: DataFrame, id_column: str, tables: int, probes: int, seed: in
                 batch = whole.slice(at, 1024)
                 rows = batch.column(1).to_pylist()
                 widths = np.array([len(r) for r in rows], np.int64)
-                for width in np.unique(widths):
-                    of = np.flatnonzero(widths == width)
+                for width, of in ((w, part) for w in np.unique(widths).tolist() for part in _parts(np.flatnonzero(widths == w), w * probes)):
                     x = np.array([rows[i] for i in of], np.float64)
                     x /= np.sqrt((x * x).sum(1, keepdims=True))
                     for table in range(tables):
-                        axes = nearest_axes(rotate(x, table, seed), probes)
+                        axes = nearest_axes(rotate(x, table, seed), probes_at(width, probes) if probes > 1 else 1)
                         n = axes.shape[1]
                         picked = pa.array(np.repeat(of, n))
                         yield pa.RecordBatch.from_arrays([pa.array(np.full(len(of) * n, table, np.int32)), pa.array((width * 4096 * 16 + axes.reshape(-1)).astype(np.int64)), batch.column(0).take(picked), batch.column(1).take(picked)], ["table", "bucket", "key", "vector"])
@@ -79,8 +95,9 @@ def search(vectors: DataFrame, every: int = 50, k: int = 5, tables: int = 12, pr
     """query_id, rank, vec_id, score: the k nearest found by cosine of each row whose id is divisible by `every`, among all other rows.
 
     Vectors that are null, empty or zero, or hold a null or non-finite component, and rows without an id take no
-    part; vectors of different widths never meet. Ties go to the smaller id. Fewer than k candidates give fewer
-    rows; an empty table gives none. Rows that repeat an id and a vector count once.
+    part; vectors of different widths never meet. Ties go to the smaller id. Fewer than k candidates of the width give
+    fewer rows, all of them; an empty table gives none. Rows that repeat an id and a vector count once. `probes` holds
+    for up to AXES dimensions; wider vectors get more.
     """
     stage = Stage(vectors.sparkSession, "ann")
     v = F.col(vector_column).cast("array<double>")
@@ -89,14 +106,14 @@ def search(vectors: DataFrame, every: int = 50, k: int = 5, tables: int = 12, pr
     x = x.where(F.col("id").isNotNull() & F.col("vector").isNotNull() & fine).withColumn("vector", F.transform("vector", lambda c: c + 0.0))
     # of equal vectors, only the first ids can be among the k nearest
     same = F.struct(F.xxhash64("vector").alias("a"), F.xxhash64("vector", F.lit(5)).alias("b"))
-    first = x.withColumn("same", same).withColumn("n", F.row_number().over(Window.partitionBy("same").orderBy("id"))).where(F.col("n") <= 2 * (k + 1))
+    first = x.withColumn("same", same).withColumn("n", F.dense_rank().over(Window.partitionBy("same").orderBy("id"))).where(F.col("n") <= 2 * (k + 1))
     points = stage.put(first.groupBy("same").agg(F.min(F.struct("id", "vector")).alias("f"), F.array_sort(F.collect_set("id")).alias("ids")).select(F.col("f.id").alias("key"), "f.vector", "ids"))
-    queries = x.where(F.col("id") % every == 0).groupBy("id", F.xxhash64("vector")).agg(F.first("vector").alias("vector"))
+    queries = stage.put(x.where(F.col("id") % every == 0).groupBy("id", F.xxhash64("vector")).agg(F.first("vector").alias("vector")).select("id", "vector"))
     held = stage.put(_hash(points, "key", tables, 1, seed))
     asked = stage.put(_hash(queries, "id", tables, probes, seed))
 
     def chunks(rows: DataFrame) -> dict[tuple[int, int], int]:
-        """Blocks of each bucket that is over one; there are tables times twice the width buckets, whatever the rows."""
+        """Blocks of each bucket that is over one; a width has tables times twice AXES buckets at most, whatever the rows."""
         counts = rows.groupBy("table", "bucket").count().where(F.col("count") > BLOCK).collect()
         return {(r["table"], r["bucket"]): math.ceil(r["count"] / BLOCK) for r in counts}
 
@@ -110,8 +127,6 @@ def search(vectors: DataFrame, every: int = 50, k: int = 5, tables: int = 12, pr
         rows = rows.withColumn(mine, F.pmod(F.xxhash64("key"), F.coalesce("n_own", F.lit(1))).cast("int"))
         return rows.withColumn(theirs, F.explode(F.sequence(F.lit(0), F.coalesce("n_other", F.lit(1)) - 1))).drop("n_own", "n_other")
 
-    many, visits = chunks(held), chunks(asked)
-    left, right = dealt(asked, visits, many, "q", "c"), dealt(held, many, visits, "c", "q")
     wide = 2 * (k + 1)
 
     def meet(qs: pa.Table, cs: pa.Table) -> pa.Table:
@@ -123,15 +138,18 @@ def search(vectors: DataFrame, every: int = 50, k: int = 5, tables: int = 12, pr
             ids, keys = qs.column("key").to_numpy(), cs.column("key").to_numpy()
             order = np.argsort(keys, kind="stable")
             b, keys = b[order], keys[order]
+            alone = cs.column("alone").take(order) if "alone" in cs.column_names else None
             norm = np.sqrt((b * b).sum(1))
             for at in range(0, len(a), 256):
                 part = a[at : at + 256]
                 s = part @ b.T / norm
+                if alone is not None:  # a vector that only the query's own id has can't be a result
+                    s[(ids[at : at + 256, None] == alone.fill_null(0).to_numpy()) & alone.is_valid().to_numpy()] = -np.inf
                 n = min(wide, s.shape[1])
                 near = np.argpartition(-s, n - 1, axis=1)[:, :n] if n < s.shape[1] else np.tile(np.arange(n), (len(part), 1))
                 # rows that come up to the last of them, but for the order of summation, stay in too
                 edge = np.take_along_axis(s, near, 1).min(1, keepdims=True)
-                r, c = np.nonzero(s >= edge - 1e-9 * np.abs(edge))
+                r, c = np.nonzero((s >= edge - 1e-9 * np.abs(edge)) & (s > -np.inf))
                 score = cosines(part[r], b[c])
                 pick = np.lexsort((keys[c], -score, r))
                 r, c, score = r[pick], c[pick], score[pick]
@@ -142,9 +160,24 @@ def search(vectors: DataFrame, every: int = 50, k: int = 5, tables: int = 12, pr
         join = lambda p, t: np.concatenate(p) if p else np.zeros(0, t)
         return pa.table({"query_id": pa.array(join(out[0], np.int64)), "key": pa.array(join(out[1], np.int64)), "score": pa.array(join(out[2], np.float64))})
 
-    met = left.groupBy("table", "bucket", "q", "c").cogroup(right.groupBy("table", "bucket", "q", "c")).applyInArrow(meet, "query_id long, key long, score double")
-    best = met.groupBy("query_id", "key").agg(F.max("score").alias("score"))
-    few = best.withColumn("n", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "key"))).where(F.col("n") <= wide).drop("n")
-    named = few.join(points.select("key", "ids"), "key").withColumn("vec_id", F.explode("ids")).where(F.col("vec_id") != F.col("query_id"))
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return named.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+    def nearest(asked: DataFrame, held: DataFrame) -> DataFrame:
+        many, visits = chunks(held), chunks(asked)
+        left, right = dealt(asked, visits, many, "q", "c"), dealt(held, many, visits, "c", "q")
+        met = left.groupBy("table", "bucket", "q", "c").cogroup(right.groupBy("table", "bucket", "q", "c")).applyInArrow(meet, "query_id long, key long, score double")
+        best = met.groupBy("query_id", "key").agg(F.max("score").alias("score"))
+        few = best.withColumn("n", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "key"))).where(F.col("n") <= wide).drop("n")
+        named = few.join(points.select("key", "ids"), "key").withColumn("vec_id", F.explode("ids")).where(F.col("vec_id") != F.col("query_id"))
+        rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+        return named.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+
+    found = stage.put(nearest(asked, held))
+    enough = found.groupBy("query_id").count().where(F.col("count") >= k).select(F.col("query_id").alias("id"))
+    short = stage.put(queries.join(enough, "id", "left_anti"))
+    if short.isEmpty():
+        return found
+    # the whole width is one bucket; a width of few candidates has few queries, so those that can't reach k cost little
+    bucket = F.size("vector").cast("long").alias("bucket")
+    whole = points.select(F.lit(-1).alias("table"), bucket, "key", "vector", F.when(F.size("ids") == 1, F.get("ids", F.lit(0))).alias("alone"))
+    whole = whole.join(short.select(bucket).distinct(), "bucket", "left_semi")
+    exact = nearest(short.select(F.lit(-1).alias("table"), bucket, F.col("id").alias("key"), "vector"), whole)
+    return found.join(short.select(F.col("id").alias("query_id")).distinct(), "query_id", "left_anti").unionByName(exact)

@@ -36,6 +36,33 @@ def test_odd_vectors(spark):
     assert ann.search(df.limit(0)).count() == 0
 
 
+def test_few_candidates_are_all_found(spark, monkeypatch):
+    def ranks(rows, **more):
+        got = ann.search(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), **more).collect()
+        return sorted((r.query_id, r.rank, r.vec_id) for r in got)
+
+    assert ranks([(0, [1.0, 0.0]), (1, [-1.0, 0.0])]) == [(0, 1, 1)]
+    x = np.random.default_rng(4).normal(size=(7, 64))
+    x[6] = -x[0]
+    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(7, [1.0, 2.0])]
+    u = x / np.sqrt((x * x).sum(1, keepdims=True))
+    best = [(q, n + 1, int(v)) for q in range(7) for n, v in enumerate([v for v in np.argsort(-(u @ u[q]), kind="stable") if v != q][:5])]
+    assert ranks(rows, every=1) == best
+    monkeypatch.setattr(ann, "BLOCK", 2)
+    assert ranks(rows, every=1) == best
+    # an id of many vectors, and rows that repeat
+    assert [r[2] for r in ranks([(0, v.tolist()) for v in np.eye(64)[:14] + 1] + [(1, (-np.ones(64)).tolist())])] == [1]
+    assert ranks([(0, [1.0, 1.0])] * 20 + [(50, [1.0, 1.0])]) == [(0, 1, 50), (50, 1, 0)]
+
+
+def test_wide_vectors(spark):
+    x = np.random.default_rng(5).normal(size=(1000, 300))
+    x /= np.sqrt((x * x).sum(1, keepdims=True))
+    got = ann.search(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")).collect()
+    best = {(q, int(v)) for q in range(0, 1000, 50) for v in np.argsort(-(x @ x[q]))[1:6]}
+    assert len(got) == 100 and len(best & {(r.query_id, r.vec_id) for r in got}) >= 90
+
+
 def test_many_blocks(spark, monkeypatch):
     monkeypatch.setattr(ann, "BLOCK", 64)
     e = table(spark, "/root/testdata/sf0.001", "embeddings")
