@@ -39,15 +39,16 @@ def _spread(span: DataFrame) -> DataFrame:
     return span.withColumn("b", F.explode(blocks)).drop("lo", "hi").select("*", "b.lo", "b.hi").drop("b")
 
 
-def find_near_lines(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
+def find_near_lines(docs: DataFrame, min_chars: int = MIN_CHARS, exact_chars: int = MIN_CHARS) -> DataFrame:
     """doc, at of each line to remove, and first_doc, first_at of an earlier line that it repeats (edits: 0 or 1).
 
     Order is by doc_id (null first) and place in the text. A line goes if an earlier line, kept or not, is within
-    one edit. Lines of white space or of fewer than min_chars characters always stay. Rows of equal doc_id count as
+    one edit; that bound is fixed. Lines of fewer than min_chars, but at least exact_chars characters go only if an
+    earlier line is equal. Lines of white space and shorter ones always stay. Rows of equal doc_id count as
     one document: their lines at equal places aren't earlier than each other.
     """
     stage = Stage(docs.sparkSession, "lines")
-    lines = _lines(docs, min_chars).withColumn("h", F.struct(_hash("line").alias("a"), _hash("line", F.lit(17)).alias("b")))
+    lines = _lines(docs, min(min_chars, exact_chars)).withColumn("h", F.struct(_hash("line").alias("a"), _hash("line", F.lit(17)).alias("b")))
     ref = F.struct("doc", "at").alias("ref")
     first = stage.put(lines.select("h", ref).groupBy("h").agg(F.min("ref").alias("ref"), F.count("*").alias("n")))
 
@@ -55,7 +56,7 @@ def find_near_lines(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
     size = F.length("line")
     klass = F.floor(F.col("l") / 16).cast("int")
     cut = F.col("class") * 8
-    keyed = lines.withColumn("size", size).withColumn("l", F.explode(F.when(F.col("size") % 16 == 0, F.array(F.col("size"), F.col("size") - 1)).otherwise(F.array("size")))).withColumn("class", klass)
+    keyed = (lines.where(size >= min_chars) if exact_chars < min_chars else lines).withColumn("size", size).withColumn("l", F.explode(F.when(F.col("size") % 16 == 0, F.array(F.col("size"), F.col("size") - 1)).otherwise(F.array("size")))).withColumn("class", klass)
     halves = keyed.withColumn("side", F.explode(F.array(F.lit(0), F.lit(1))))
     part = F.when(F.col("side") == 0, F.expr("substring(line, 1, class * 8)")).otherwise(F.expr("right(line, class * 8)"))
     halves = halves.select("h", "doc", "at", "side", "class", _hash("class", "side", part).alias("key"))
@@ -106,22 +107,22 @@ def find_near_lines(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
     return gone.select("doc", "at", F.col("to.doc").alias("first_doc"), F.col("to.at").alias("first_at"), (F.col("ref") == F.col("first")).cast("int").alias("edits"))
 
 
-def _removed(docs: DataFrame, min_chars: int) -> DataFrame:
-    return find_near_lines(docs, min_chars).groupBy("doc").agg(F.sort_array(F.collect_set("at")).alias("removed"), F.count_if(F.col("edits") == 1).alias("near"))
+def _removed(docs: DataFrame, min_chars: int, exact_chars: int) -> DataFrame:
+    return find_near_lines(docs, min_chars, exact_chars).groupBy("doc").agg(F.sort_array(F.collect_set("at")).alias("removed"), F.count_if(F.col("edits") == 1).alias("near"))
 
 
-def dedup_report(docs: DataFrame, min_chars: int = MIN_CHARS) -> DataFrame:
+def dedup_report(docs: DataFrame, min_chars: int = MIN_CHARS, exact_chars: int = MIN_CHARS) -> DataFrame:
     """doc_id, n_lines, n_removed, n_near, removed (places of the removed lines, comma-joined). A null text has no lines; an empty one has one."""
     doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
     count = docs.select(F.col("doc_id").cast("long").alias("doc_id"), doc.alias("doc"), F.coalesce(F.size(F.split(F.col("text").cast("string"), "\n")), F.lit(0)).cast("long").alias("n_lines"))
     count = count.withColumn("n_lines", F.greatest("n_lines", F.lit(0)))
-    out = count.join(_removed(docs, min_chars), "doc", "left")
+    out = count.join(_removed(docs, min_chars, exact_chars), "doc", "left")
     return out.select("doc_id", "n_lines", F.coalesce(F.size("removed"), F.lit(0)).cast("long").alias("n_removed"), F.coalesce("near", F.lit(0)).alias("n_near"), F.coalesce(F.array_join("removed", ","), F.lit("")).alias("removed"))
 
 
-def dedup_lines(docs: DataFrame, min_chars: int = MIN_CHARS, size_column: str | None = None) -> DataFrame:
+def dedup_lines(docs: DataFrame, min_chars: int = MIN_CHARS, size_column: str | None = None, exact_chars: int = MIN_CHARS) -> DataFrame:
     """docs, with its columns, less the repeated lines of each text; a null text stays null. size_column, if there, is set to the new text's length."""
-    gone = _removed(docs, min_chars).select(F.col("doc").alias("_doc"), F.col("removed").alias("_removed"))
+    gone = _removed(docs, min_chars, exact_chars).select(F.col("doc").alias("_doc"), F.col("removed").alias("_removed"))
     doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
     kept = F.array_join(F.filter(F.split(F.col("text").cast("string"), "\n"), lambda _, i: ~F.array_contains("_removed", i)), "\n")
     out = docs.withColumn("_key", doc).join(gone, F.col("_key") == F.col("_doc"), "left")

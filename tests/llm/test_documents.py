@@ -169,6 +169,15 @@ def test_mix_documents(spark, sf):
 # lines
 
 
+def test_short_lines_go_if_equal(spark):
+    rows = [(1, "menu\nmenu\n目次目次目次目\nmemo\n \n "), (2, "menu\n目次目次目次目\nhome page\nhome pages\n ")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.removed for r in lines.dedup_report(df, exact_chars=1).collect()}
+    assert got == {1: "1", 2: "0,1,3"}
+    assert {r.doc_id: r.removed for r in lines.dedup_report(df).collect()} == {1: "", 2: "3"}
+    assert [r.text for r in lines.dedup_lines(df, exact_chars=5).orderBy("doc_id").collect()] == [rows[0][1], "menu\nhome page\n "]
+
+
 def near(a, b):
     if abs(len(a) - len(b)) > 1:
         return False
