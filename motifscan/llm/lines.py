@@ -25,10 +25,16 @@ def _hash(*parts: Column | str) -> Column:
     return F.xxhash64(*parts)
 
 
-def _lines(docs: DataFrame, min_chars: int) -> DataFrame:
-    """doc (id; null: below all), at, line, of lines that count."""
+def _keys(docs: DataFrame) -> dict[str, Column]:
+    """What tells documents apart: doc (id; null: below all), and, if any ids are null or repeated, row (a hash of the text)."""
     doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
-    lines = docs.select(doc.alias("doc"), F.posexplode(F.split(F.col("text").cast("string"), "\n")).alias("at", "line"))
+    shared = docs.groupBy(doc.alias("doc")).agg(F.count("*").alias("n"), F.count("doc_id").alias("named")).where("n > 1 or named = 0")
+    return {"doc": doc} if shared.isEmpty() else {"doc": doc, "row": _hash(F.col("text").cast("string"))}
+
+
+def _lines(docs: DataFrame, keys: dict[str, Column], min_chars: int) -> DataFrame:
+    """The keys, at, line, of lines that count."""
+    lines = docs.select(*(c.alias(k) for k, c in keys.items()), F.posexplode(F.split(F.col("text").cast("string"), "\n")).alias("at", "line"))
     return lines.where((F.length("line") >= min_chars) & (F.trim("line") != ""))
 
 
@@ -39,17 +45,17 @@ def _spread(span: DataFrame) -> DataFrame:
     return span.withColumn("b", F.explode(blocks)).drop("lo", "hi").select("*", "b.lo", "b.hi").drop("b")
 
 
-def find_near_lines(docs: DataFrame, min_chars: int = MIN_CHARS, exact_chars: int = MIN_CHARS) -> DataFrame:
-    """doc, at of each line to remove, and first_doc, first_at of an earlier line that it repeats (edits: 0 or 1).
+def find_near_lines(docs: DataFrame, keys: dict[str, Column], min_chars: int = MIN_CHARS, exact_chars: int = MIN_CHARS) -> DataFrame:
+    """The keys, at of each line to remove, and first_doc, first_at of an earlier line that it repeats (edits: 0 or 1).
 
-    Order is by doc_id (null first) and place in the text. A line goes if an earlier line, kept or not, is within
+    Order is by doc_id (null first), among texts of one id or of none by their hash, and by place in the text. A line goes if an earlier line, kept or not, is within
     one edit; that bound is fixed. Lines of fewer than min_chars, but at least exact_chars characters go only if an
-    earlier line is equal. Lines of white space and shorter ones always stay. Rows of equal doc_id count as
-    one document: their lines at equal places aren't earlier than each other.
+    earlier line is equal. Lines of white space and shorter ones always stay. Rows of equal doc_id and
+    text count as one document: their lines at equal places aren't earlier than each other.
     """
     stage = Stage(docs.sparkSession, "lines")
-    lines = _lines(docs, min(min_chars, exact_chars)).withColumn("h", F.struct(_hash("line").alias("a"), _hash("line", F.lit(17)).alias("b")))
-    ref = F.struct("doc", "at").alias("ref")
+    lines = _lines(docs, keys, min(min_chars, exact_chars)).withColumn("h", F.struct(_hash("line").alias("a"), _hash("line", F.lit(17)).alias("b")))
+    ref = F.struct(*keys, "at").alias("ref")
     first = stage.put(lines.select("h", ref).groupBy("h").agg(F.min("ref").alias("ref"), F.count("*").alias("n")))
 
     # halves: a line shares all before the cut or all behind it; lines of m and m + 1 characters use the same cut
@@ -59,18 +65,17 @@ def find_near_lines(docs: DataFrame, min_chars: int = MIN_CHARS, exact_chars: in
     keyed = (lines.where(size >= min_chars) if exact_chars < min_chars else lines).withColumn("size", size).withColumn("l", F.explode(F.when(F.col("size") % 16 == 0, F.array(F.col("size"), F.col("size") - 1)).otherwise(F.array("size")))).withColumn("class", klass)
     halves = keyed.withColumn("side", F.explode(F.array(F.lit(0), F.lit(1))))
     part = F.when(F.col("side") == 0, F.expr("substring(line, 1, class * 8)")).otherwise(F.expr("right(line, class * 8)"))
-    halves = halves.select("h", "doc", "at", "side", "class", _hash("class", "side", part).alias("key"))
+    halves = halves.select("h", *keys, "at", "side", "class", _hash("class", "side", part).alias("key"))
     shared = halves.groupBy("key").agg(F.min("h").alias("x"), F.max("h").alias("y")).where("x != y").select("key")
     alive = halves.join(shared, "key", "left_semi").select("h", "side", "class", ref).groupBy("h", "side", "class").agg(F.min("ref").alias("ref"))
     alive = stage.put(alive)
 
     # the text of those lines, at their first places
-    places = alive.select("h", "ref").groupBy("h").agg(F.min("ref").alias("ref")).groupBy(F.col("ref.doc").alias("doc")).agg(F.collect_list(F.struct(F.col("ref.at").alias("at"), "h")).alias("wanted"))
-    doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
-    texts = docs.select(doc.alias("doc"), F.col("text").cast("string").alias("text")).join(places, "doc")
-    found = texts.select("doc", F.split("text", "\n").alias("all"), F.explode("wanted").alias("w")).select("doc", "w.at", "w.h", F.get("all", F.col("w.at")).alias("line"))
+    places = alive.select("h", "ref").groupBy("h").agg(F.min("ref").alias("ref")).groupBy(*(F.col(f"ref.{k}").alias(k) for k in keys)).agg(F.collect_list(F.struct(F.col("ref.at").alias("at"), "h")).alias("wanted"))
+    texts = docs.select(*(c.alias(k) for k, c in keys.items()), F.col("text").cast("string").alias("text")).join(places, list(keys))
+    found = texts.select(*keys, F.split("text", "\n").alias("all"), F.explode("wanted").alias("w")).select(*keys, "w.at", "w.h", F.get("all", F.col("w.at")).alias("line"))
     found = found.where(F.struct(_hash("line").alias("a"), _hash("line", F.lit(17)).alias("b")) == F.col("h"))
-    text = stage.put(found.groupBy("h").agg(F.min(F.struct("doc", "at", "line")).alias("f")).select("h", F.struct("f.doc", "f.at").alias("ref"), "f.line").withColumn("size", F.length("line")))
+    text = stage.put(found.groupBy("h").agg(F.min(F.struct(*keys, "at", "line")).alias("f")).select("h", F.struct(*(f"f.{k}" for k in keys), "f.at").alias("ref"), "f.line").withColumn("size", F.length("line")))
 
     # spans in which the edit can lie, for the pair's shorter length m
     roles = F.explode(F.array(F.col("size"), F.col("size") - 1)).alias("m")
@@ -81,11 +86,11 @@ def find_near_lines(docs: DataFrame, min_chars: int = MIN_CHARS, exact_chars: in
     most = span.agg(F.max(F.col("hi") - F.col("lo"))).first()[0] or 0
     while most > NARROW:
         old, blocks = span, _spread(span.where(wide))
-        keys = blocks.join(text.select("h", "line"), "h").select("h", "size", "m", "lo", "hi", _hash("m", "lo", "hi", F.expr("substring(line, 1, lo)"), F.expr("right(line, m - hi)")).alias("key"))
-        keys = stage.put(keys)
-        shared = keys.groupBy("key").agg(F.min("h").alias("x"), F.max("h").alias("y"), F.max(F.col("size") == F.col("m")).alias("short")).where("x != y and short").select("key")
-        span = stage.put(span.where(~wide).unionByName(keys.join(shared, "key", "left_semi").drop("key")))
-        stage.drop(keys, old)
+        tried = blocks.join(text.select("h", "line"), "h").select("h", "size", "m", "lo", "hi", _hash("m", "lo", "hi", F.expr("substring(line, 1, lo)"), F.expr("right(line, m - hi)")).alias("key"))
+        tried = stage.put(tried)
+        shared = tried.groupBy("key").agg(F.min("h").alias("x"), F.max("h").alias("y"), F.max(F.col("size") == F.col("m")).alias("short")).where("x != y and short").select("key")
+        span = stage.put(span.where(~wide).unionByName(tried.join(shared, "key", "left_semi").drop("key")))
+        stage.drop(tried, old)
         most = -(-most // FANOUT)
 
     # every deletion variant of what is left: of both lines at one place, or of the longer one only
@@ -102,30 +107,30 @@ def find_near_lines(docs: DataFrame, min_chars: int = MIN_CHARS, exact_chars: in
 
     # first places go by their partner, later ones by the first
     verdict = first.join(near, "h", "left").where("n > 1 or partner is not null")
-    gone = lines.select("h", "doc", "at", ref).join(verdict.withColumnRenamed("ref", "first"), "h")
+    gone = lines.select("h", *keys, "at", ref).join(verdict.withColumnRenamed("ref", "first"), "h")
     gone = gone.withColumn("to", F.when(F.col("ref") != F.col("first"), F.col("first")).otherwise(F.col("partner"))).where(F.col("to").isNotNull())
-    return gone.select("doc", "at", F.col("to.doc").alias("first_doc"), F.col("to.at").alias("first_at"), (F.col("ref") == F.col("first")).cast("int").alias("edits"))
+    return gone.select(*keys, "at", F.col("to.doc").alias("first_doc"), F.col("to.at").alias("first_at"), (F.col("ref") == F.col("first")).cast("int").alias("edits"))
 
 
-def _removed(docs: DataFrame, min_chars: int, exact_chars: int) -> DataFrame:
-    return find_near_lines(docs, min_chars, exact_chars).groupBy("doc").agg(F.sort_array(F.collect_set("at")).alias("removed"), F.count_if(F.col("edits") == 1).alias("near"))
+def _removed(docs: DataFrame, keys: dict[str, Column], min_chars: int, exact_chars: int) -> DataFrame:
+    return find_near_lines(docs, keys, min_chars, exact_chars).groupBy(*keys).agg(F.sort_array(F.collect_set("at")).alias("removed"), F.count_if(F.col("edits") == 1).alias("near"))
 
 
 def dedup_report(docs: DataFrame, min_chars: int = MIN_CHARS, exact_chars: int = MIN_CHARS) -> DataFrame:
     """doc_id, n_lines, n_removed, n_near, removed (places of the removed lines, comma-joined). A null text has no lines; an empty one has one."""
-    doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
-    count = docs.select(F.col("doc_id").cast("long").alias("doc_id"), doc.alias("doc"), F.coalesce(F.size(F.split(F.col("text").cast("string"), "\n")), F.lit(0)).cast("long").alias("n_lines"))
+    keys = _keys(docs)
+    count = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(c.alias(k) for k, c in keys.items()), F.coalesce(F.size(F.split(F.col("text").cast("string"), "\n")), F.lit(0)).cast("long").alias("n_lines"))
     count = count.withColumn("n_lines", F.greatest("n_lines", F.lit(0)))
-    out = count.join(_removed(docs, min_chars, exact_chars), "doc", "left")
+    out = count.join(_removed(docs, keys, min_chars, exact_chars), list(keys), "left")
     return out.select("doc_id", "n_lines", F.coalesce(F.size("removed"), F.lit(0)).cast("long").alias("n_removed"), F.coalesce("near", F.lit(0)).alias("n_near"), F.coalesce(F.array_join("removed", ","), F.lit("")).alias("removed"))
 
 
 def dedup_lines(docs: DataFrame, min_chars: int = MIN_CHARS, size_column: str | None = None, exact_chars: int = MIN_CHARS) -> DataFrame:
     """docs, with its columns, less the repeated lines of each text; a null text stays null. size_column, if there, is set to the new text's length."""
-    gone = _removed(docs, min_chars, exact_chars).select(F.col("doc").alias("_doc"), F.col("removed").alias("_removed"))
-    doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
+    keys = _keys(docs)
+    gone = _removed(docs, keys, min_chars, exact_chars).select(*(F.col(k).alias(f"_{k}") for k in keys), F.col("removed").alias("_removed"))
     kept = F.array_join(F.filter(F.split(F.col("text").cast("string"), "\n"), lambda _, i: ~F.array_contains("_removed", i)), "\n")
-    out = docs.withColumn("_key", doc).join(gone, F.col("_key") == F.col("_doc"), "left")
+    out = docs.withColumns({f"_of_{k}": c for k, c in keys.items()}).join(gone, [F.col(f"_of_{k}") == F.col(f"_{k}") for k in keys], "left")
     out = out.withColumn("text", F.when(F.col("_removed").isNull(), F.col("text")).otherwise(kept))
     if size_column in docs.columns:
         out = out.withColumn(size_column, F.when(F.col("_removed").isNull(), F.col(size_column)).otherwise(F.length("text").cast("long")))

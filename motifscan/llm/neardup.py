@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from motifscan.llm.common import Stage
+from motifscan.llm.common import WORD, Stage
 from motifscan.llm.components import connected_components
 from motifscan.llm.hashing import WORDS, U, grouped_column, mix, stretch_hash, stretch_sums, word_hashes, word_spans
 
@@ -98,8 +98,8 @@ def _signed(x: np.ndarray) -> np.ndarray:
 
 
 def sign(docs: DataFrame, bands: int) -> DataFrame:
-    """doc_id, n, s1, s2 (the set's hash), sig, bands of every row; without a set the last two are null."""
-    names = ["doc_id", "n", "s1", "s2", "sig", "bands"]
+    """doc_id, row (a hash of the text), n, s1, s2 (the set's hash), sig, bands of every row; without a set the last two are null."""
+    names = ["doc_id", "row", "n", "s1", "s2", "sig", "bands"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -123,9 +123,9 @@ def sign(docs: DataFrame, bands: int) -> DataFrame:
                 take = pa.array(place, mask=~filled)
                 sig = pa.array([s.tobytes() for s in pack(low)], pa.binary()).take(take)
                 keyed = pa.ListArray.from_arrays(pa.array(np.arange(len(some) + 1) * bands, pa.int32()), pa.array(_signed(keys.reshape(-1)))).take(take)
-                yield pa.RecordBatch.from_arrays([whole.column(0).slice(at, len(group)), pa.array(counts.astype(np.int64)), pa.array(_signed(total[0])), pa.array(_signed(total[1])), sig, keyed], names)
+                yield pa.RecordBatch.from_arrays([whole.column(0).slice(at, len(group)), whole.column(2).slice(at, len(group)), pa.array(counts.astype(np.int64)), pa.array(_signed(total[0])), pa.array(_signed(total[1])), sig, keyed], names)
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n long, s1 long, s2 long, sig binary, bands array<long>")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), F.xxhash64(F.col("text").cast("string"))).mapInArrow(run, "doc_id long, row long, n long, s1 long, s2 long, sig binary, bands array<long>")
 
 
 class Groups:
@@ -282,17 +282,34 @@ def confirm(sets: list[np.ndarray], percent: int) -> Groups:
     return groups
 
 
+def _number(docs: DataFrame) -> tuple[DataFrame, int | None]:
+    """doc_id, text, with numbers above all ids, by a hash of the text, in place of null ids; and the number from which on they are (null: there are none)."""
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    most, some = rows.agg(F.max("doc_id"), F.count_if(F.col("doc_id").isNull())).first()
+    if not some:
+        return rows, None
+    floor = min(-(1 << 63) if most is None else most + 1, (1 << 63) - 1)
+    room = min((1 << 63) - floor, (1 << 63) - 1)
+    return rows.withColumn("doc_id", F.coalesce("doc_id", F.lit(floor) + F.pmod(F.xxhash64("text"), F.lit(room)))), floor
+
+
 def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of every row.
 
     Words are lower-cased in A-Z. Two documents are linked if 100 * intersection >= percent * union of their sets
     of word 5-grams; fewer words are one shingle. component_id is the smallest doc_id that links reach; kept says
     that it is the own one. A document without words links with none. Rows that repeat a doc_id are rows of their
-    own. A row without doc_id links others but isn't reached: its component_id is null and it is kept.
+    own. Rows without doc_id link others and come after all that have one, by a hash of the text: their component_id is
+    null if they reach none, and of those that reach one another alone one text is kept.
     """
+    return _verdicts(docs, percent).drop("row")
+
+
+def _verdicts(docs: DataFrame, percent: int) -> DataFrame:
+    docs, floor = _number(docs)
     stage, threshold = Stage(docs.sparkSession, "neardup"), percent / 100
     signed = stage.put(sign(docs, bands_for(threshold)))
-    full = signed.where("n > 0 and doc_id is not null")
+    full = signed.where("n > 0")
     classes = full.groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"))
     reps = full.join(classes, ["s1", "s2"]).where("doc_id = rep").dropDuplicates(["s1", "s2"]).select("rep", "s1", "s2", "n", "sig", "bands")
     # two classes of one doc_id (repeated rows) must not be taken for one
@@ -311,7 +328,7 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     sized = clusters.join(reps.select("rep", "doc", "s1", "s2", "n"), "rep")
     most = sized.groupBy("cluster").agg(F.greatest(F.ceil(F.count("*") / CLUSTER_BLOCK), F.ceil(F.sum("n") / SHINGLES_BLOCK)).cast("int").alias("blocks"))
     members = sized.join(most, "cluster").select("doc", "s1", "s2", "rep", "cluster", "blocks")
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc"), F.col("text").cast("string").alias("text"))
+    texts = docs.select(F.col("doc_id").alias("doc"), "text")
 
     def to_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -350,12 +367,23 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     least = named.groupBy("component").agg(F.min("doc").alias("component_id"))
     of_class = named.join(least, "component").select("s1", "s2", "component_id")
     whole = reps.select("s1", "s2", "doc").join(of_class, ["s1", "s2"], "left").select("s1", "s2", F.coalesce("component_id", "doc").alias("component_id"))
-    out = signed.select("doc_id", "n", "s1", "s2").join(whole, ["s1", "s2"], "left")
+    out = signed.select("doc_id", "row", "n", "s1", "s2").join(whole, ["s1", "s2"], "left")
     component = F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id"))
-    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), component).alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+    out = out.select("doc_id", "row", F.col("n").alias("n_shingles"), component.alias("component_id")).withColumn("kept", F.col("doc_id") == F.col("component_id"))
+    if floor is None:
+        return out
+    return out.withColumns({c: F.when(F.col(c) < floor, F.col(c)) for c in ("doc_id", "component_id")})
 
 
 def keep_one(docs: DataFrame, percent: int = 85) -> DataFrame:
-    """docs, with its columns, less the documents that reach one of a smaller doc_id."""
-    gone = near_duplicates(docs, percent).where(~F.col("kept")).select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.withColumn("_id", F.col("doc_id").cast("long")).join(gone, F.col("_id") == F.col("_gone"), "left_anti").select(*docs.columns)
+    """docs, with its columns, less the documents that reach one of a smaller doc_id; of rows without doc_id that have one text with words, one.
+
+    Verdicts go by doc_id and text: rows that repeat a doc_id fare each by its own text, and don't displace one another.
+    """
+    gone = _verdicts(docs, percent).where(~F.col("kept")).select(F.col("doc_id").alias("_gone"), F.col("row").alias("_gone_row")).distinct()
+    marked = docs.withColumns({"_id": F.col("doc_id").cast("long"), "_row": F.xxhash64(F.col("text").cast("string"))})
+    if docs.where(F.col("doc_id").isNull()).isEmpty():
+        return marked.join(gone, (F.col("_id") == F.col("_gone")) & (F.col("_row") == F.col("_gone_row")), "left_anti").select(*docs.columns)
+    left = marked.join(gone, F.col("_id").eqNullSafe(F.col("_gone")) & (F.col("_row") == F.col("_gone_row")), "left_anti")
+    copies = F.col("_id").isNull() & F.coalesce(F.col("text").cast("string").rlike(WORD), F.lit(False))
+    return left.where(~copies).unionByName(left.where(copies).dropDuplicates(["_row"])).select(*docs.columns)

@@ -1,7 +1,7 @@
 import numpy as np
 
 import corpus_pipeline
-from motifscan.llm import ann, langid
+from motifscan.llm import ann, langid, lines, neardup
 from motifscan.llm.common import Stage, table
 from tests.llm.conftest import WORD
 from tests.llm.test_documents import brute_groups, brute_lines
@@ -100,6 +100,21 @@ def test_pipeline_stages(spark, sf):
     assert len(before) == corpus_pipeline.run(spark, sf).count()
 
 
+def test_shared_and_missing_ids(spark):
+    rows = [(None, "AAAAAAAAA\nunique line one"), (None, "unique line 222\nAAAAAAAAA"), (3, "BBBBBBBBB\nthird text"), (3, "something else\nBBBBBBBBB")]
+    got = [r.text for r in lines.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()]
+    kept = "\n".join(got)
+    assert all(kept.count(x) == 1 for x in ("AAAAAAAAA", "BBBBBBBBB", "unique line one", "unique line 222", "third text", "something else"))
+
+    a, b, c, d = (" ".join(f"{x}{i}" for i in range(40)) for x in "abcd")
+    rows = [(1, a), (2, a), (2, b), (None, a + " more"), (None, c), (None, c), (None, c.upper()), (None, None), (None, ""), (None, d)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    left = [(r.doc_id, (r.text or "").lower()) for r in neardup.keep_one(df, 80).collect()]
+    assert sorted(left, key=str) == sorted([(1, a), (2, b), (None, c), (None, ""), (None, ""), (None, d)], key=str)
+    report = {(r.n_shingles, r.component_id, r.kept) for r in neardup.near_duplicates(df, 80).where("doc_id is null").collect()}
+    assert (37, 1, False) in report and (36, None, True) in report and (0, None, True) in report
+
+
 def test_rejected_documents(spark):
     docs = spark.createDataFrame([(1, "the of and", "en"), (2, "123", "en"), (3, None, "en")], "doc_id long, text string, lang string")
     assert [r.doc_id for r in langid.drop_unidentified(docs, langid.learn(docs)).collect()] == [1]
