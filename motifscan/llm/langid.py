@@ -21,8 +21,9 @@ from motifscan.llm.common import uniform
 from motifscan.llm.hashing import BLOCK, grouped, word_hashes, word_spans
 
 TABLE = 1 << 16
-#: Words of one chain; longer texts are chains one behind the other.
+#: Words of one chain; longer texts are chains one behind the other, each run with OVERLAP words of its neighbours.
 CHAIN = 64
+OVERLAP = 16
 _LETTER = regex.compile(r"\p{L}")
 #: All but letters, by ASCII; bytes of 128 and more count as letters.
 _GAP = np.array([not (b >= 128 or 65 <= b <= 90 or 97 <= b <= 122) for b in range(256)])
@@ -119,6 +120,23 @@ def marginals(model: Crf, emissions: np.ndarray, chain: np.ndarray, place: np.nd
     return p, moved, begun
 
 
+def word_marginals(model: Crf, emissions: np.ndarray, of: np.ndarray) -> np.ndarray:
+    """Each word's marginals, with the words of its text around its chain taken into account."""
+    chain, _ = _chains(of)
+    if not len(of):
+        return marginals(model, emissions, chain, chain)[0]
+    begins = np.flatnonzero(np.diff(chain, prepend=-1))
+    ends = np.append(begins[1:], len(of))
+    lo = np.maximum(begins - OVERLAP, np.searchsorted(of, of[begins], "left"))
+    hi = np.minimum(ends + OVERLAP, np.searchsorted(of, of[begins], "right"))
+    n = hi - lo
+    which = np.repeat(np.arange(len(n)), n)
+    place = np.arange(len(which)) - np.repeat(np.cumsum(n) - n, n)
+    word = lo[which] + place
+    p, _, _ = marginals(model, emissions[word], which, place)
+    return p[(word >= begins[which]) & (word < ends[which])]
+
+
 def fit(texts: list[str], labels: list[str], rounds: int = 25, lexicon: int = 2000, seed: int = 5) -> Crf:
     """Learns from texts of one language each, cut into spans that are shuffled together so that the language switches inside chains.
 
@@ -176,7 +194,7 @@ def label_words(model: Crf, text: str) -> list[tuple[str, str, float]]:
     """(word, language, marginal) of each word of a text."""
     raw = text.lower().encode()
     of, slots, first, affix, hashes = features([raw])
-    p, _, _ = marginals(model, _emissions(model, slots, first, affix, hashes), *_chains(of))
+    p = word_marginals(model, _emissions(model, slots, first, affix, hashes), of)
     data = np.frombuffer(raw + b"\n", np.uint8)
     words = [raw[a:b].decode("utf-8", "replace") for a, b in zip(*word_spans(data, _GAP), strict=True)]
     return [(w, model.languages[i], float(x)) for w, i, x in zip(words, p.argmax(1), p.max(1), strict=True)]
@@ -203,7 +221,7 @@ def predict(model: Crf, texts: list[str | None]) -> list[tuple[str, float]]:
         of, slots, first, affix, hashes = features(group)
         if not len(of):
             continue
-        p, _, _ = marginals(model, _emissions(model, slots, first, affix, hashes), *_chains(of))
+        p = word_marginals(model, _emissions(model, slots, first, affix, hashes), of)
         begins = np.flatnonzero(np.diff(of, prepend=-1))
         doc = owner[at + of[begins]]
         np.add.at(total, doc, np.add.reduceat(p, begins, axis=0))
@@ -223,13 +241,18 @@ def held_out(doc_id: Column) -> Column:
 
 
 def learn(docs: DataFrame, sample: int = 150, longest: int = 50_000) -> Crf:
-    """Fits on about `sample` documents of each language (drawn by a hash of the id among texts of up to `longest` characters) whose id isn't held out."""
-    known = docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")) & (F.length("text") <= longest))
-    counts = {r["lang"]: r["count"] for r in known.groupBy("lang").count().collect()}
+    """Fits on about `sample` documents of each language, drawn by a hash of the id among texts with a letter whose id isn't held out.
+
+    Texts of up to `longest` characters come first; where they are fewer than `sample`, longer ones give so many characters from their first letter on.
+    """
+    known = docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")) & F.col("text").rlike(r"\p{L}"))
+    known = known.withColumn("long", F.length("text") > longest)
+    counts = {r["lang"]: (r["short"], r["long"]) for r in known.groupBy("lang").agg(F.count_if(~F.col("long")).alias("short"), F.count_if("long").alias("long")).collect()}
     if not counts:
         return fit([], [])
-    rates = F.create_map(*(F.lit(x) for lang, c in sorted(counts.items()) for x in (lang, min(1.0, sample / c))))
-    rows = known.where(uniform(F.col("doc_id"), F.lit("language sample")) < rates[F.col("lang")]).select("doc_id", "lang", "text").collect()
+    rates = [F.create_map(*(F.lit(x) for lang, c in sorted(counts.items()) for x in (lang, min(1.0, max(0, want(c)) / max(1, c[i]))))) for i, want in enumerate((lambda c: sample, lambda c: sample - c[0]))]
+    drawn = known.where(uniform(F.col("doc_id"), F.lit("language sample")) < F.when(F.col("long"), rates[1][F.col("lang")]).otherwise(rates[0][F.col("lang")]))
+    rows = drawn.select("doc_id", "lang", F.when(F.col("long"), F.substring("text", F.regexp_instr("text", F.lit(r"\p{L}")), F.lit(longest))).otherwise(F.col("text")).alias("text")).collect()
     rows.sort(key=lambda r: (r["lang"], r["doc_id"] if r["doc_id"] is not None else -1, r["text"]))
     return fit([r["text"] for r in rows], [r["lang"] for r in rows])
 

@@ -166,6 +166,22 @@ def test_mix_documents(spark, sf):
     assert got == Counter({r.doc_id: r.taken // r.size for r in mixing.plan_mix(docs, keep=(F.xxhash64(*docs.columns).alias("_row"),)).collect() if r.taken})
 
 
+def test_languages_of_long_texts_and_empty_rows(spark):
+    rows = [(i, "the of and with " * 4, "en") for i in range(1, 20)] + [(i, "." * 30 + "und die der nicht " * 30, "de") for i in range(20, 40)] + [(i, "...", "fr") for i in range(40, 400)] + [(i, "le la les dans ", "fr") for i in range(400, 403)]
+    model = langid.learn(spark.createDataFrame(rows, "doc_id long, text string, lang string"), sample=10, longest=200)
+    assert model.languages == ["de", "en", "fr"]
+    assert [x[0] for x in langid.predict(model, ["und die der nicht", "the of and with", "le la les dans"])] == ["de", "en", "fr"]
+
+
+def test_chains_know_their_neighbours():
+    rng = np.random.default_rng(9)
+    model = langid.Crf(["a", "b", "c"], np.zeros((1, 3)), np.zeros(0, np.uint64), np.zeros((0, 3)), np.eye(3) * 2, rng.normal(size=3))
+    e, of = rng.normal(size=(300, 3)).astype(np.float32), np.repeat([0, 1, 2], [200, 30, 70])
+    whole = np.concatenate([langid.marginals(model, e[of == i], np.zeros((of == i).sum(), np.int64), np.arange((of == i).sum()))[0] for i in range(3)])
+    apart = langid.marginals(model, e, *langid._chains(of))[0]
+    assert np.abs(langid.word_marginals(model, e, of) - whole).max() < 1e-3 < 0.05 < np.abs(apart - whole).max()
+
+
 # lines
 
 
