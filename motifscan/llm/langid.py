@@ -275,8 +275,12 @@ def identify(docs: DataFrame, model: Crf) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
 
 
-def drop_unidentified(docs: DataFrame, model: Crf, least: float = 0.3) -> DataFrame:
-    """docs, with its columns, less those without a language: null or letterless texts, and scores under `least`. No shuffle."""
+def drop_unidentified(docs: DataFrame, model: Crf, least: float = 0.0) -> DataFrame:
+    """docs, with its columns, less those without a language: null or letterless texts, and scores under `least`. No shuffle.
+
+    A text that switches evenly among many languages has a low score, so by default none is too low. Where no language
+    could be learned, all texts with a letter stay.
+    """
     shared, names = docs.sparkSession.sparkContext.broadcast(model), docs.columns
     at = names.index("text")
 
@@ -284,7 +288,11 @@ def drop_unidentified(docs: DataFrame, model: Crf, least: float = 0.3) -> DataFr
         for whole in batches:
             for start in range(0, whole.num_rows, 512):
                 batch = whole.slice(start, 512)
-                got = predict(shared.value, batch.column(at).to_pylist())
-                yield batch.filter(pa.array([lang != "und" and score >= least for lang, score in got], pa.bool_()))
+                texts = batch.column(at).to_pylist()
+                if shared.value.languages:
+                    keep = [lang != "und" and score >= least for lang, score in predict(shared.value, texts)]
+                else:
+                    keep = [bool(t) and _LETTER.search(t) is not None for t in texts]
+                yield batch.filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

@@ -100,6 +100,13 @@ def test_pipeline_stages(spark, sf):
     assert len(before) == corpus_pipeline.run(spark, sf).count()
 
 
+def test_mixed_and_unlabelled_documents_stay(spark):
+    model = langid.Crf(list("abcdef"), np.zeros((langid.TABLE + 1, 6), np.float32), np.zeros(0, np.uint64), np.zeros((0, 6), np.float32), np.zeros((6, 6)), np.zeros(6))
+    docs = spark.createDataFrame([(1, "one two three", None), (2, "123", None), (3, None, None), (4, "", None)], "doc_id long, text string, lang string")
+    for m in (model, langid.learn(docs)):
+        assert [r.doc_id for r in langid.drop_unidentified(docs, m).collect()] == [1]
+
+
 def test_shared_and_missing_ids(spark):
     rows = [(None, "AAAAAAAAA\nunique line one"), (None, "unique line 222\nAAAAAAAAA"), (3, "BBBBBBBBB\nthird text"), (3, "something else\nBBBBBBBBB")]
     got = [r.text for r in lines.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()]
