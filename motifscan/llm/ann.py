@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from motifscan.llm.common import Stage
+from motifscan.llm.common import Stage, in_arrow
 
 #: Rows of one block: vectors of a bucket, and queries that visit it.
 BLOCK = 2048
@@ -59,8 +59,14 @@ def probes_at(width: int, probes: int) -> int:
     return probes + math.ceil(probes / 4 * max(0.0, math.log2(1 << max(0, (width - 1).bit_length())) - math.log2(AXES)))
 
 
+def scaled(x: np.ndarray) -> np.ndarray:
+    """Each row times the power of two that brings its largest component to between a half and one, so that no square overflows or vanishes. Cosines stay as they are."""
+    _, exponent = np.frexp(np.abs(x).max(1, keepdims=True))
+    return np.ldexp(x, -exponent)
+
+
 def cosines(q: np.ndarray, x: np.ndarray) -> np.ndarray:
-    """The cosine of each pair of rows, with one order of summation, so that equal vectors get equal values."""
+    """The cosine of each pair of scaled rows, with one order of summation, so that equal vectors get equal values."""
     return (q * x).sum(1) / (np.sqrt((q * q).sum(1)) * np.sqrt((x * x).sum(1)))
 
 
@@ -80,7 +86,7 @@ def _hash(vectors: DataFrame, id_column: str, tables: int, probes: int, seed: in
                 rows = batch.column(1).to_pylist()
                 widths = np.array([len(r) for r in rows], np.int64)
                 for width, of in ((w, part) for w in np.unique(widths).tolist() for part in _parts(np.flatnonzero(widths == w), w * probes)):
-                    x = np.array([rows[i] for i in of], np.float64)
+                    x = scaled(np.array([rows[i] for i in of], np.float64))
                     x /= np.sqrt((x * x).sum(1, keepdims=True))
                     for table in range(tables):
                         axes = nearest_axes(rotate(x, table, seed), probes_at(width, probes) if probes > 1 else 1)
@@ -88,7 +94,7 @@ def _hash(vectors: DataFrame, id_column: str, tables: int, probes: int, seed: in
                         picked = pa.array(np.repeat(of, n))
                         yield pa.RecordBatch.from_arrays([pa.array(np.full(len(of) * n, table, np.int32)), pa.array((width * 4096 * 16 + axes.reshape(-1)).astype(np.int64)), batch.column(0).take(picked), batch.column(1).take(picked)], ["table", "bucket", "key", "vector"])
 
-    return vectors.select(F.col(id_column).alias("key"), "vector").mapInArrow(run, "table int, bucket long, key long, vector array<double>")
+    return in_arrow(vectors.select(F.col(id_column).alias("key"), "vector"), run, "table int, bucket long, key long, vector array<double>")
 
 
 def search(vectors: DataFrame, every: int = 50, k: int = 5, tables: int = 12, probes: int = 10, seed: int = 3, id_column: str = "vec_id", vector_column: str = "embedding") -> DataFrame:
@@ -133,8 +139,7 @@ def search(vectors: DataFrame, every: int = 50, k: int = 5, tables: int = 12, pr
         out: list[list] = [[], [], [], []]
         if qs.num_rows and cs.num_rows:
             width = len(qs.column("vector")[0])
-            a = qs.column("vector").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, width)
-            b = cs.column("vector").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, width)
+            a, b = (scaled(t.column("vector").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, width)) for t in (qs, cs))
             ids, keys = qs.column("key").to_numpy(), cs.column("key").to_numpy()
             order = np.argsort(keys, kind="stable")
             b, keys = b[order], keys[order]

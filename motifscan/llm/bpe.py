@@ -22,6 +22,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from motifscan.llm.common import in_arrow
+
 LONG = 48
 NONE = 1 << 60
 CACHE = 400_000
@@ -183,7 +185,7 @@ def encode_documents(docs: DataFrame, tokenizer_path: str, with_ids: bool = Fals
                         c.append(v)
                 yield pa.RecordBatch.from_arrays([batch.column(0), *map(pa.array, columns, kinds[1:])], names)
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, schema)
+    return in_arrow(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, schema)
 
 
 def decode_column(encoded: DataFrame, tokenizer_path: str) -> DataFrame:
@@ -194,4 +196,4 @@ def decode_column(encoded: DataFrame, tokenizer_path: str) -> DataFrame:
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([bpe.decode(x.as_py() or []) for x in batch.column(1)], pa.string())], ["doc_id", "decoded"])
 
-    return encoded.select(F.col("doc_id").cast("long"), "ids").mapInArrow(run, "doc_id long, decoded string")
+    return in_arrow(encoded.select(F.col("doc_id").cast("long"), "ids"), run, "doc_id long, decoded string")

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from motifscan.llm.common import Stage
+from motifscan.llm.common import Stage, join_split
 
 
 def connected_components(links: DataFrame, stage: Stage) -> DataFrame:
@@ -13,7 +13,7 @@ def connected_components(links: DataFrame, stage: Stage) -> DataFrame:
 
     Each round hangs every node's larger neighbours on the smallest one around it, then its smaller ones too, until
     all hang on their component's smallest node. The rounds are logarithmic in the longest path; a node with very
-    many neighbours is only ever met by an aggregate with partial sums or a join that can be split.
+    many neighbours is only ever met by an aggregate with partial sums or a join that deals its rows to several tasks.
     """
     edges = stage.put(links.where("a != b").select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("u")).distinct())
     last = None
@@ -23,11 +23,11 @@ def connected_components(links: DataFrame, stage: Stage) -> DataFrame:
             break
         last = mark
         both = edges.select(F.col("u").alias("at"), F.col("v").alias("to")).unionByName(edges.select(F.col("v").alias("at"), F.col("u").alias("to")))
-        least = both.groupBy("at").agg(F.min("to").alias("m")).select("at", F.least("at", "m").alias("m"))
-        large = both.where("to > at").join(least, "at").select(F.col("to").alias("v"), F.col("m").alias("u")).where("u != v").distinct()
-        low = large.groupBy("v").agg(F.min("u").alias("m"))
-        small = large.join(low, "v").select(F.explode(F.array(F.struct(F.col("u").alias("v"), F.col("m").alias("u")), F.struct("v", F.col("m").alias("u")))).alias("e")).select("e.u", "e.v").where("u != v").distinct()
+        least = stage.put(both.groupBy("at").agg(F.min("to").alias("m"), F.count_if(F.col("to") > F.col("at")).alias("c")).select("at", F.least("at", "m").alias("m"), "c").where("c > 0"))
+        large = stage.put(join_split(both.where("to > at"), least, ["at"], "c", mark["n"]).select(F.col("to").alias("v"), F.col("m").alias("u")).where("u != v").distinct())
+        low = stage.put(large.groupBy("v").agg(F.min("u").alias("m"), F.count("*").alias("c")))
+        small = join_split(large, low, ["v"], "c", mark["n"]).select(F.explode(F.array(F.struct(F.col("u").alias("v"), F.col("m").alias("u")), F.struct("v", F.col("m").alias("u")))).alias("e")).select("e.u", "e.v").where("u != v").distinct()
         old, edges = edges, stage.put(small)
-        stage.drop(old)
+        stage.drop(old, least, large, low)
     root = edges.select("u").distinct()
     return edges.select(F.col("v").alias("node"), F.col("u").alias("component")).unionByName(root.select(F.col("u").alias("node"), F.col("u").alias("component")))

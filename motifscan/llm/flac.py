@@ -20,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from motifscan.llm.common import in_arrow
+
 BLOCK = 192
 RATE = 8000
 #: Frames that are worked on at once; bounds memory whatever the texts' lengths.
@@ -520,7 +522,7 @@ def to_media(docs: DataFrame, with_media: bool = False, lpc_order: int = 2) -> D
                             c.append(v)
                 yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, f[1]) for c, f in zip(columns, fields[1:], strict=True))], [f[0] for f in fields])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, ", ".join(f"{n} {s}" for n, _, s in fields))
+    return in_arrow(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, ", ".join(f"{n} {s}" for n, _, s in fields))
 
 
 def pcm_blocks(media: DataFrame, id_col: str = "doc_id", media_col: str = "media") -> DataFrame:
@@ -549,4 +551,4 @@ def pcm_blocks(media: DataFrame, id_col: str = "doc_id", media_col: str = "media
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
 
-    return media.select(F.col(id_col).cast("long"), F.col(media_col).cast("binary")).mapInArrow(run, f"`{id_col}` long, block int, sample_offset long, byte_offset long, n_samples int, channels int, pcm binary, error string")
+    return in_arrow(media.select(F.col(id_col).cast("long"), F.col(media_col).cast("binary")), run, f"`{id_col}` long, block int, sample_offset long, byte_offset long, n_samples int, channels int, pcm binary, error string")

@@ -14,10 +14,10 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from motifscan.llm.common import uniform
+from motifscan.llm.common import in_arrow, uniform
 from motifscan.llm.hashing import BLOCK, grouped, word_hashes, word_spans
 
 TABLE = 1 << 16
@@ -240,20 +240,25 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 3 == 1, F.lit(False))
 
 
-def learn(docs: DataFrame, sample: int = 150, longest: int = 50_000) -> Crf:
-    """Fits on about `sample` documents of each language, drawn by a hash of the id among texts with a letter whose id isn't held out.
+def learn(docs: DataFrame, sample: int = 150, longest: int = 50_000, languages: int = 1000) -> Crf:
+    """Fits on about `sample` different texts of each language, of documents that aren't held out and have a letter, drawn by the text's hash.
 
-    Texts of up to `longest` characters come first; where they are fewer than `sample`, longer ones give so many characters from their first letter on.
+    A text gives up to `longest` characters from its first letter on, so the driver gets `languages` * 2 * `sample` such
+    pieces at most. More than `languages` different values of lang aren't labels, and an error.
     """
     known = docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")) & F.col("text").rlike(r"\p{L}"))
-    known = known.withColumn("long", F.length("text") > longest)
-    counts = {r["lang"]: (r["short"], r["long"]) for r in known.groupBy("lang").agg(F.count_if(~F.col("long")).alias("short"), F.count_if("long").alias("long")).collect()}
+    known = known.select("lang", "text", F.xxhash64("text").alias("mark"))
+    counts = known.groupBy("lang").agg(F.approx_count_distinct("mark").alias("n")).limit(languages + 1).collect()
     if not counts:
         return fit([], [])
-    rates = [F.create_map(*(F.lit(x) for lang, c in sorted(counts.items()) for x in (lang, min(1.0, max(0, want(c)) / max(1, c[i]))))) for i, want in enumerate((lambda c: sample, lambda c: sample - c[0]))]
-    drawn = known.where(uniform(F.col("doc_id"), F.lit("language sample")) < F.when(F.col("long"), rates[1][F.col("lang")]).otherwise(rates[0][F.col("lang")]))
-    rows = drawn.select("doc_id", "lang", F.when(F.col("long"), F.substring("text", F.regexp_instr("text", F.lit(r"\p{L}")), F.lit(longest))).otherwise(F.col("text")).alias("text")).collect()
-    rows.sort(key=lambda r: (r["lang"], r["doc_id"] if r["doc_id"] is not None else -1, r["text"]))
+    if len(counts) > languages:
+        raise ValueError(f"lang has more than {languages} different values")
+    rate = F.create_map(*(F.lit(x) for r in sorted(counts) for x in (r["lang"], min(1.0, sample / max(1, r["n"])))))
+    chance = uniform(F.col("mark"), F.lit("language sample"))
+    drawn = known.where(chance < rate[F.col("lang")]).select("lang", "mark", F.substring("text", F.regexp_instr("text", F.lit(r"\p{L}")), F.lit(longest)).alias("text")).dropDuplicates(["lang", "mark"])
+    place = F.row_number().over(Window.partitionBy("lang").orderBy(uniform(F.col("mark"), F.lit("language sample")), "mark"))
+    rows = drawn.withColumn("place", place).where(F.col("place") <= 2 * sample).select("lang", "text").collect()
+    rows.sort(key=lambda r: (r["lang"], r["text"]))
     return fit([r["text"] for r in rows], [r["lang"] for r in rows])
 
 
@@ -272,7 +277,7 @@ def identify(docs: DataFrame, model: Crf) -> DataFrame:
                 got = predict(shared.value, batch.column(2).to_pylist())
                 yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([g[0] for g in got], pa.string()), pa.array([g[1] for g in got], pa.float64())], ["doc_id", "held_out", "lang_pred", "score"])
 
-    return docs.select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
+    return in_arrow(docs.select(F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held_out"), F.col("text").cast("string")), run, "doc_id long, held_out boolean, lang_pred string, score double")
 
 
 def drop_unidentified(docs: DataFrame, model: Crf, least: float = 0.0) -> DataFrame:
@@ -295,4 +300,4 @@ def drop_unidentified(docs: DataFrame, model: Crf, least: float = 0.0) -> DataFr
                     keep = [bool(t) and _LETTER.search(t) is not None for t in texts]
                 yield batch.filter(pa.array(keep, pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return in_arrow(docs, run, docs.schema)

@@ -11,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from motifscan.llm.common import in_arrow
+
 #: The base phrases and their labels.
 BASE = {"cc by": "cc-by", "general public license": "gpl", "all rights reserved": "reserved"}
 #: Phrases of the method's own and their labels.
@@ -37,8 +39,10 @@ NOTICES = {
     "proprietary and confidential": "proprietary",
 }
 TAG = "spdx license identifier"
-#: Identifier prefixes whose licences allow reuse without sharing alike.
-PERMISSIVE = ("mit", "apache-", "bsd-", "isc", "zlib", "unlicense", "cc0-", "cc-by-1", "cc-by-2", "cc-by-3", "cc-by-4", "bsl-", "0bsd", "python-", "psf-")
+#: Identifiers of licences that allow reuse without sharing alike.
+PERMISSIVE = frozenset("0bsd apache-1.0 apache-1.1 apache-2.0 bsd-1-clause bsd-2-clause bsd-2-clause-patent bsd-3-clause bsd-3-clause-clear bsd-4-clause bsl-1.0 cc-by-1.0 cc-by-2.0 cc-by-2.5 cc-by-3.0 cc-by-4.0 cc0-1.0 isc mit mit-0 ncsa postgresql psf-2.0 python-2.0 unlicense wtfpl x11 zlib".split())
+#: Identifiers of other licences, without the endings -only and -or-later.
+RECIPROCAL = frozenset("agpl-1.0 agpl-3.0 cc-by-nc-4.0 cc-by-nc-sa-4.0 cc-by-nd-4.0 cc-by-sa-3.0 cc-by-sa-4.0 cddl-1.0 cddl-1.1 epl-1.0 epl-2.0 eupl-1.1 eupl-1.2 gfdl-1.2 gfdl-1.3 gpl-1.0 gpl-2.0 gpl-3.0 lgpl-2.0 lgpl-2.1 lgpl-3.0 mpl-1.0 mpl-1.1 mpl-2.0 osl-3.0".split())
 _BINDS = {"or": 1, "and": 2, "with": 3}
 _EXPRESSION = re.compile(rb"spdx-license-identifier[ \t]*:[ \t]*([^\r\n]*)", re.IGNORECASE)
 _TOKEN = re.compile(r"\s*([()]|[A-Za-z0-9][A-Za-z0-9.+:\-]*)")
@@ -46,6 +50,13 @@ _TOKEN = re.compile(r"\s*([()]|[A-Za-z0-9][A-Za-z0-9.+:\-]*)")
 _FOLD = bytes(b + 32 if 65 <= b <= 90 else b if b >= 128 or 48 <= b <= 57 or 97 <= b <= 122 else 32 for b in range(256))
 
 
+def known(name: str) -> bool:
+    """Whether a lower-case identifier, with an exception behind a + or not, is one of the lists or of the licenceref- kind."""
+    base = name.split("+")[0]
+    base = base.removesuffix("-only").removesuffix("-or-later")
+    return base in PERMISSIVE or base in RECIPROCAL or base.startswith("licenseref-")
+
+
 @dataclass(frozen=True)
 class Expression:
     """A parsed expression: its identifiers (an exception stands behind its licence with +), whether it allows permissive reuse, and whether all of it parsed."""
@@ -100,7 +111,7 @@ def parse_expression(text: str) -> Expression:
             if not operand_next:
                 whole = False
                 break
-            output.append((frozenset([name]), name.startswith(PERMISSIVE)))
+            output.append((frozenset([name]), name.rstrip("+") in PERMISSIVE))
             operand_next = False
         at = end
     if operand_next and marks:  # an operator or bracket at the end has nothing to join
@@ -147,10 +158,11 @@ def scan(text: str, machine: ahocorasick.Automaton) -> tuple[int, int, int | Non
         for m in _EXPRESSION.finditer(raw):
             e = parse_expression(m[1].decode("utf-8", "replace"))
             found.append(e)
-            labels.update(f"id:{x}" for x in e.licences)
+            labels.update(f"id:{x}" if known(x) else f"unknown-id:{x}" for x in e.licences)
             labels.update(["permissive"] if e.permissive else [])
-    # each kind of sign leaves less doubt; a tag that parses leaves least
-    doubt = 0.4 ** len(base) * 0.3 ** len({x for _, x in places} - base) * 0.05 ** sum(e.whole for e in found) * 0.5 ** sum(not e.whole and bool(e.licences) for e in found)
+    # each kind of sign leaves less doubt; a tag that parses, of known licences, leaves least
+    sure = lambda e: e.whole and all(map(known, e.licences))
+    doubt = 0.4 ** len(base) * 0.3 ** len({x for _, x in places} - base) * 0.05 ** sum(map(sure, found)) * 0.5 ** sum(not sure(e) and bool(e.licences) for e in found)
     return len(words), len(base_starts), min(base_starts, default=None), max(base_starts, default=None), sorted(base), sorted(labels), 1 - doubt, sorted(places), found
 
 
@@ -159,7 +171,7 @@ def scan_licences(docs: DataFrame, base: dict[str, str] | None = None, notices:
 
     Words are stretches of letters, digits and characters beyond ASCII, A-Z in lower case. All places count,
     overlapping ones too. labels joins base ones, the method's notices and, as id:..., the identifiers of tag
-    expressions; `permissive` stands for an expression that some choice of its licences makes so. A null or
+    expressions (unknown-id:... if in no list); `permissive` stands for an expression that some choice of its licences makes so. A null or
     empty text has no words, no labels and score 0. with_places adds places (word, label). No shuffle.
     """
     phrases = {p: (x, False) for p, x in (NOTICES if notices is None else notices).items()} | {TAG: (TAG, False)} | {p: (x, True) for p, x in (BASE if base is None else base).items()}
@@ -183,4 +195,4 @@ def scan_licences(docs: DataFrame, base: dict[str, str] | None = None, notices:
                         c.append(v)
                 yield pa.RecordBatch.from_arrays([batch.column(0), *map(pa.array, columns, kinds[1:])], names)
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, schema)
+    return in_arrow(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")), run, schema)

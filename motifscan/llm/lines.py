@@ -13,29 +13,23 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from motifscan.llm.common import Stage
+from motifscan.llm.common import Stage, fresh, join_split, row_keys
 
 FANOUT = 16
 #: Spans of at most so many characters get all their deletion variants.
 NARROW = 40
-MIN_CHARS = 8
+#: Lines may differ by one edit from so many characters on; shorter ones go only if they are equal, as one edit makes another word of them.
+NEAR_CHARS = 8
 
 
 def _hash(*parts: Column | str) -> Column:
     return F.xxhash64(*parts)
 
 
-def _keys(docs: DataFrame) -> dict[str, Column]:
-    """What tells documents apart: doc (id; null: below all), and, if any ids are null or repeated, row (a hash of the text)."""
-    doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
-    shared = docs.groupBy(doc.alias("doc")).agg(F.count("*").alias("n"), F.count("doc_id").alias("named")).where("n > 1 or named = 0")
-    return {"doc": doc} if shared.isEmpty() else {"doc": doc, "row": _hash(F.col("text").cast("string"))}
-
-
-def _lines(docs: DataFrame, keys: dict[str, Column], min_chars: int) -> DataFrame:
-    """The keys, at, line, of lines that count."""
+def _lines(docs: DataFrame, keys: dict[str, Column]) -> DataFrame:
+    """The keys, at, line, of lines that aren't empty or of spaces alone."""
     lines = docs.select(*(c.alias(k) for k, c in keys.items()), F.posexplode(F.split(F.col("text").cast("string"), "\n")).alias("at", "line"))
-    return lines.where((F.length("line") >= min_chars) & (F.trim("line") != ""))
+    return lines.where(F.trim("line") != "")
 
 
 def _spread(span: DataFrame) -> DataFrame:
@@ -45,16 +39,16 @@ def _spread(span: DataFrame) -> DataFrame:
     return span.withColumn("b", F.explode(blocks)).drop("lo", "hi").select("*", "b.lo", "b.hi").drop("b")
 
 
-def find_near_lines(docs: DataFrame, keys: dict[str, Column], min_chars: int = MIN_CHARS, exact_chars: int = MIN_CHARS) -> DataFrame:
+def find_near_lines(docs: DataFrame, keys: dict[str, Column], near_chars: int = NEAR_CHARS) -> DataFrame:
     """The keys, at of each line to remove, and first_doc, first_at of an earlier line that it repeats (edits: 0 or 1).
 
-    Order is by doc_id (null first), among texts of one id or of none by their hash, and by place in the text. A line goes if an earlier line, kept or not, is within
-    one edit; that bound is fixed. Lines of fewer than min_chars, but at least exact_chars characters go only if an
-    earlier line is equal. Lines of white space and shorter ones always stay. Rows of equal doc_id and
-    text count as one document: their lines at equal places aren't earlier than each other.
+    Order is by doc_id (null first), among texts of one id or of none by their hash, and by place in the text. A line goes if an earlier line, kept or not, is equal
+    or, where both have near_chars characters at least, within one edit; that bound is fixed. Empty lines and lines of
+    spaces alone always stay. Rows of equal doc_id and text count as one document: their lines at equal places aren't
+    earlier than each other.
     """
     stage = Stage(docs.sparkSession, "lines")
-    lines = _lines(docs, keys, min(min_chars, exact_chars)).withColumn("h", F.struct(_hash("line").alias("a"), _hash("line", F.lit(17)).alias("b")))
+    lines = _lines(docs, keys).withColumn("h", F.struct(_hash("line").alias("a"), _hash("line", F.lit(17)).alias("b")))
     ref = F.struct(*keys, "at").alias("ref")
     first = stage.put(lines.select("h", ref).groupBy("h").agg(F.min("ref").alias("ref"), F.count("*").alias("n")))
 
@@ -62,13 +56,16 @@ def find_near_lines(docs: DataFrame, keys: dict[str, Column], min_chars: int = M
     size = F.length("line")
     klass = F.floor(F.col("l") / 16).cast("int")
     cut = F.col("class") * 8
-    keyed = (lines.where(size >= min_chars) if exact_chars < min_chars else lines).withColumn("size", size).withColumn("l", F.explode(F.when(F.col("size") % 16 == 0, F.array(F.col("size"), F.col("size") - 1)).otherwise(F.array("size")))).withColumn("class", klass)
-    halves = keyed.withColumn("side", F.explode(F.array(F.lit(0), F.lit(1))))
+    keyed = lines.where(size >= near_chars).withColumn("size", size).withColumn("l", F.explode(F.when(F.col("size") % 16 == 0, F.array(F.col("size"), F.col("size") - 1)).otherwise(F.array("size")))).withColumn("class", klass)
+    # what is before and behind the cut of lines of the lowest class is empty: all of these go on, on one side
+    halves = keyed.withColumn("side", F.explode(F.when(F.col("class") > 0, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0)))))
     part = F.when(F.col("side") == 0, F.expr("substring(line, 1, class * 8)")).otherwise(F.expr("right(line, class * 8)"))
-    halves = halves.select("h", *keys, "at", "side", "class", _hash("class", "side", part).alias("key"))
-    shared = halves.groupBy("key").agg(F.min("h").alias("x"), F.max("h").alias("y")).where("x != y").select("key")
-    alive = halves.join(shared, "key", "left_semi").select("h", "side", "class", ref).groupBy("h", "side", "class").agg(F.min("ref").alias("ref"))
-    alive = stage.put(alive)
+    key = F.when(F.col("class") > 0, _hash("class", "side", part))
+    # of equal lines the first one speaks for all, so that frequent lines are few rows from here on
+    halves = stage.put(halves.select("h", ref, "side", "class", key.alias("key")).groupBy("h", "side", "class", "key").agg(F.min("ref").alias("ref")))
+    shared = stage.put(halves.where("key is not null").groupBy("key").agg(F.count("*").alias("c")).where("c > 1"))
+    alive = stage.put(join_split(halves.where("key is not null"), shared, ["key"], "c", halves.count(), "left_semi").unionByName(halves.where("key is null")).drop("key"))
+    stage.drop(halves, shared)
 
     # the text of those lines, at their first places
     places = alive.select("h", "ref").groupBy("h").agg(F.min("ref").alias("ref")).groupBy(*(F.col(f"ref.{k}").alias(k) for k in keys)).agg(F.collect_list(F.struct(F.col("ref.at").alias("at"), "h")).alias("wanted"))
@@ -88,9 +85,9 @@ def find_near_lines(docs: DataFrame, keys: dict[str, Column], min_chars: int = M
         old, blocks = span, _spread(span.where(wide))
         tried = blocks.join(text.select("h", "line"), "h").select("h", "size", "m", "lo", "hi", _hash("m", "lo", "hi", F.expr("substring(line, 1, lo)"), F.expr("right(line, m - hi)")).alias("key"))
         tried = stage.put(tried)
-        shared = tried.groupBy("key").agg(F.min("h").alias("x"), F.max("h").alias("y"), F.max(F.col("size") == F.col("m")).alias("short")).where("x != y and short").select("key")
-        span = stage.put(span.where(~wide).unionByName(tried.join(shared, "key", "left_semi").drop("key")))
-        stage.drop(tried, old)
+        shared = stage.put(tried.groupBy("key").agg(F.min("h").alias("x"), F.max("h").alias("y"), F.max(F.col("size") == F.col("m")).alias("short"), F.count("*").alias("c")).where("x != y and short").select("key", "c"))
+        span = stage.put(span.where(~wide).unionByName(join_split(tried, shared, ["key"], "c", tried.count(), "left_semi").drop("key")))
+        stage.drop(tried, shared, old)
         most = -(-most // FANOUT)
 
     # every deletion variant of what is left: of both lines at one place, or of the longer one only
@@ -99,39 +96,44 @@ def find_near_lines(docs: DataFrame, keys: dict[str, Column], min_chars: int = M
     drop = ready.where("size = m + 1").select("h", "ref", F.explode(F.sequence("lo", "hi")).alias("i"), "line", "size").select("h", "ref", F.lit(False).alias("short"), F.lit("drop").alias("kind"), F.concat(F.expr("substring(line, 1, i)"), F.expr("right(line, size - i - 1)")).alias("v")).select("h", "ref", "short", "kind", _hash("v").alias("a"), _hash(F.lit(3), "v").alias("b"))
     plain = ready.where("size = m").select("h", "ref", F.lit(True).alias("short"), F.lit("drop").alias("kind"), _hash("line").alias("a"), _hash(F.lit(3), "line").alias("b")).distinct()
     variants = stage.put(swap.unionByName(drop).unionByName(plain))
+    stage.drop(alive, span)
     best = variants.groupBy("kind", "a", "b").agg(F.min("ref").alias("any"), F.min(F.when(F.col("short"), F.col("ref"))).alias("of_short"), F.min(F.when(~F.col("short"), F.col("ref"))).alias("of_long"), F.count("*").alias("c")).where("c > 1")
     partner = F.when(F.col("kind") == "swap", F.col("any")).when(F.col("short"), F.col("of_long")).otherwise(F.col("of_short"))
     linked = variants.join(best, ["kind", "a", "b"]).withColumn("partner", partner).where(F.col("partner") < F.col("ref")).groupBy("h", "ref").agg(F.min("partner").alias("partner"))
     checked = linked.join(text.select("h", "line"), "h").join(text.select(F.col("ref").alias("partner"), F.col("line").alias("other")), "partner").where(F.levenshtein("line", "other", 1) >= 0).select("h", "partner")
     near = stage.put(checked)
+    stage.drop(text, variants)
 
     # first places go by their partner, later ones by the first
     verdict = first.join(near, "h", "left").where("n > 1 or partner is not null")
-    gone = lines.select("h", *keys, "at", ref).join(verdict.withColumnRenamed("ref", "first"), "h")
+    verdict = stage.put(verdict.select(F.col("h.a").alias("a"), F.col("h.b").alias("b"), "n", F.col("ref").alias("first"), "partner"))
+    gone = join_split(lines.select("h.a", "h.b", *keys, "at", ref), verdict, ["a", "b"], "n", first.agg(F.sum("n")).first()[0] or 0)
+    stage.drop(first, near)
     gone = gone.withColumn("to", F.when(F.col("ref") != F.col("first"), F.col("first")).otherwise(F.col("partner"))).where(F.col("to").isNotNull())
     return gone.select(*keys, "at", F.col("to.doc").alias("first_doc"), F.col("to.at").alias("first_at"), (F.col("ref") == F.col("first")).cast("int").alias("edits"))
 
 
-def _removed(docs: DataFrame, keys: dict[str, Column], min_chars: int, exact_chars: int) -> DataFrame:
-    return find_near_lines(docs, keys, min_chars, exact_chars).groupBy(*keys).agg(F.sort_array(F.collect_set("at")).alias("removed"), F.count_if(F.col("edits") == 1).alias("near"))
+def _removed(docs: DataFrame, keys: dict[str, Column], near_chars: int) -> DataFrame:
+    return find_near_lines(docs, keys, near_chars).groupBy(*keys).agg(F.sort_array(F.collect_set("at")).alias("removed"), F.count_if(F.col("edits") == 1).alias("near"))
 
 
-def dedup_report(docs: DataFrame, min_chars: int = MIN_CHARS, exact_chars: int = MIN_CHARS) -> DataFrame:
+def dedup_report(docs: DataFrame, near_chars: int = NEAR_CHARS) -> DataFrame:
     """doc_id, n_lines, n_removed, n_near, removed (places of the removed lines, comma-joined). A null text has no lines; an empty one has one."""
-    keys = _keys(docs)
+    keys = row_keys(docs)
     count = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(c.alias(k) for k, c in keys.items()), F.coalesce(F.size(F.split(F.col("text").cast("string"), "\n")), F.lit(0)).cast("long").alias("n_lines"))
     count = count.withColumn("n_lines", F.greatest("n_lines", F.lit(0)))
-    out = count.join(_removed(docs, keys, min_chars, exact_chars), list(keys), "left")
+    out = count.join(_removed(docs, keys, near_chars), list(keys), "left")
     return out.select("doc_id", "n_lines", F.coalesce(F.size("removed"), F.lit(0)).cast("long").alias("n_removed"), F.coalesce("near", F.lit(0)).alias("n_near"), F.coalesce(F.array_join("removed", ","), F.lit("")).alias("removed"))
 
 
-def dedup_lines(docs: DataFrame, min_chars: int = MIN_CHARS, size_column: str | None = None, exact_chars: int = MIN_CHARS) -> DataFrame:
-    """docs, with its columns, less the repeated lines of each text; a null text stays null. size_column, if there, is set to the new text's length."""
-    keys = _keys(docs)
-    gone = _removed(docs, keys, min_chars, exact_chars).select(*(F.col(k).alias(f"_{k}") for k in keys), F.col("removed").alias("_removed"))
-    kept = F.array_join(F.filter(F.split(F.col("text").cast("string"), "\n"), lambda _, i: ~F.array_contains("_removed", i)), "\n")
-    out = docs.withColumns({f"_of_{k}": c for k, c in keys.items()}).join(gone, [F.col(f"_of_{k}") == F.col(f"_{k}") for k in keys], "left")
-    out = out.withColumn("text", F.when(F.col("_removed").isNull(), F.col("text")).otherwise(kept))
+def dedup_lines(docs: DataFrame, near_chars: int = NEAR_CHARS, size_column: str | None = None) -> DataFrame:
+    """docs, with its columns, less the repeated lines of each text; a null text stays null. size_column, if there, is set to the new text's length. Columns may have any names."""
+    keys = row_keys(docs)
+    own, (removed, *theirs) = fresh(docs.columns, *(f"of_{k}" for k in keys)), fresh(docs.columns, "removed", *keys)
+    gone = _removed(docs, keys, near_chars).select(*(F.col(k).alias(t) for k, t in zip(keys, theirs, strict=True)), F.col("removed").alias(removed))
+    kept = F.array_join(F.filter(F.split(F.col("text").cast("string"), "\n"), lambda _, i: ~F.array_contains(removed, i)), "\n")
+    out = docs.withColumns(dict(zip(own, keys.values(), strict=True))).join(gone, [F.col(o) == F.col(t) for o, t in zip(own, theirs, strict=True)], "left")
+    out = out.withColumn("text", F.when(F.col(removed).isNull(), F.col("text")).otherwise(kept))
     if size_column in docs.columns:
-        out = out.withColumn(size_column, F.when(F.col("_removed").isNull(), F.col(size_column)).otherwise(F.length("text").cast("long")))
+        out = out.withColumn(size_column, F.when(F.col(removed).isNull(), F.col(size_column)).otherwise(F.length("text").cast("long")))
     return out.select(*docs.columns)

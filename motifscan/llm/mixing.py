@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from motifscan.llm.common import WORD, Stage, uniform
+from motifscan.llm.common import WORD, Stage, fresh, uniform
 
 GROUP = 64
 _EPS = 1e-9
@@ -35,7 +35,10 @@ aggregate(items, named_struct('k', -1, 'p', 0D, 'w', 0D, 'ones', cast(array() as
 
 
 def words(text: str | Column = "text") -> Column:
-    return F.coalesce(F.regexp_count(F.col(text).cast("string") if isinstance(text, str) else text, F.lit(WORD)), F.lit(0)).cast("long")
+    """The number of words. Each becomes one character and the rest goes, so that no array of a text's words is made."""
+    text = F.col(text).cast("string") if isinstance(text, str) else text
+    marks = F.translate(F.regexp_replace(text, WORD, "x"), " \t\n\x0b\f\r", "")
+    return F.coalesce(F.length(marks), F.lit(0)).cast("long")
 
 
 def source_targets(sizes: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: float = 1.5, cap: float = 2.0) -> DataFrame:
@@ -46,6 +49,7 @@ def source_targets(sizes: DataFrame, weights: tuple[float, ...] = (5, 2, 1), sha
     order of cap by weight are full until the level of those that remain is below the next one's.
     """
     per = sizes.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("n"))
+    # windows over rows as many as there are sources
     placed = per.withColumn("s", F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())) - 1)
     placed = placed.withColumn("weight", F.element_at(F.array(*(F.lit(float(w)) for w in weights)), (F.col("s") % len(weights) + 1).cast("int"))).withColumn("most", F.col("source_size") * cap)
     order = Window.orderBy(F.col("most") / F.col("weight"), "s")
@@ -72,20 +76,20 @@ def plan_mix(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: flo
     size counts the words of the text (null: none). taken is a whole number of copies times size; a document of no
     words has 0. No document has more than the next whole number above its source's copies, so `cap` whole copies at
     most. A source's words differ from its target by less than one document. Reruns agree, as all chance comes from
-    hashes of the places; rows equal in all columns are interchangeable. `keep` adds columns to the result, under names of the caller's that the columns above and s, n, g, k, p, bucket, row, whole, extra don't have.
+    hashes of the places; rows equal in all columns are interchangeable. `keep` adds columns to the result, under names of the caller's that the columns above and s, n, g, k, p, mark, bucket, row, whole, extra don't have.
     """
     stage = Stage(docs.sparkSession, "mixing")
-    sized = stage.put(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), words().alias("size"), *keep))
-    kept = sized.columns[3:]
+    sized = stage.put(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), words().alias("size"), F.xxhash64(F.col("text").cast("string")).alias("mark"), *keep))
+    kept = sized.columns[4:]
     targets = stage.put(source_targets(sized, weights, share, cap))
     rows = sized.withColumnRenamed("source", "_own").join(targets, F.col("_own").eqNullSafe(F.col("source"))).drop("_own", "source")
     rows = rows.withColumn("copies", F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)).withColumn("whole", F.floor(F.col("copies") + _EPS)).withColumn("p", F.col("copies") - F.col("whole"))
     settled = (F.col("p") <= _EPS) | (F.col("size") == 0)
     wide = F.greatest(F.ceil(F.col("n") / GROUP), F.lit(1))
-    bucket = F.floor(uniform("doc_id", F.lit(seed)) * wide)
-    inside = Window.partitionBy("s", "bucket").orderBy(F.desc("size"), "doc_id", *kept)
+    bucket = F.floor(uniform("doc_id", "mark", F.lit(seed)) * wide)
+    inside = Window.partitionBy("s", "bucket").orderBy(F.desc("size"), "doc_id", "mark", *kept)
     split = rows.where(~settled).withColumn("bucket", bucket).withColumn("row", F.row_number().over(inside) - 1)
-    # a bucket of more than twice the mean, as of repeated ids, is split on
+    # a bucket of more than twice the mean, as of rows that repeat an id and a text, is split on
     split = stage.put(split.withColumn("g", F.col("bucket") + F.floor(F.col("row") / (2 * GROUP)) * wide).withColumn("k", (F.col("row") % (2 * GROUP)).cast("int")).drop("bucket", "row", "copies"))
     now = stage.put(_round_groups(split.select("s", "g", F.col("g").alias("parent"), "k", "p", F.col("size").cast("double").alias("w")), 0, seed))
     parts, level = [now.where((F.col("p") <= 0) | (F.col("p") >= 1))], 1
@@ -111,12 +115,15 @@ def plan_mix(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: flo
 def mix_documents(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: float = 1.5, cap: float = 2.0, seed: int = 11) -> DataFrame:
     """The mix itself: each document as many times as it is taken, with the columns of docs; documents of no words go.
 
-    Rows equal in all columns get their copies together.
+    Rows equal in all columns get their copies together. Columns may have any names.
     """
-    row = F.xxhash64(*(F.col(f"`{c}`") for c in docs.columns))
-    plan = plan_mix(docs, weights, share, cap, seed, keep=(row.alias("_row"),))
-    copies = plan.where("copies > 0").groupBy("doc_id", "_row").agg(F.sum("copies").alias("_copies"))
-    first = Window.partitionBy("_id", "_row").orderBy(F.lit(1))
-    marked = docs.withColumns({"_id": F.col("doc_id").cast("long"), "_row": row}).withColumn("_n", F.row_number().over(first)).where("_n = 1").drop("_n")
-    taken = marked.join(copies.withColumnRenamed("doc_id", "_id2").withColumnRenamed("_row", "_row2"), F.col("_id").eqNullSafe(F.col("_id2")) & (F.col("_row") == F.col("_row2")))
-    return taken.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))).select(*docs.columns)
+    columns = [F.col(f"`{c}`") for c in docs.columns]
+    a, b, times, n, copy = fresh(docs.columns, "a", "b", "copies", "n", "copy")
+    marked = docs.withColumns({a: F.xxhash64(*columns), b: F.xxhash64(F.lit(5), *columns)})
+    plan = plan_mix(docs, weights, share, cap, seed, keep=(F.xxhash64(*columns).alias("_a"), F.xxhash64(F.lit(5), *columns).alias("_b")))
+    per = plan.groupBy(F.col("_a").alias(a), F.col("_b").alias(b)).agg(F.sum("copies").alias(times), F.count("*").alias(n))
+    copies = Stage(docs.sparkSession, "mixed").put(per.where(F.col(times) > 0))
+    if not copies.where(F.col(n) > 1).isEmpty():
+        marked = marked.dropDuplicates([a, b])
+    taken = marked.join(copies.drop(n), [a, b])
+    return taken.withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(times).cast("int")))).select(*docs.columns)

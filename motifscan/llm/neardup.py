@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from motifscan.llm.common import WORD, Stage
+from motifscan.llm.common import WORD, Stage, fresh, in_arrow, join_split
 from motifscan.llm.components import connected_components
 from motifscan.llm.hashing import WORDS, U, grouped_column, mix, stretch_hash, stretch_sums, word_hashes, word_spans
 
@@ -125,7 +125,7 @@ def sign(docs: DataFrame, bands: int) -> DataFrame:
                 keyed = pa.ListArray.from_arrays(pa.array(np.arange(len(some) + 1) * bands, pa.int32()), pa.array(_signed(keys.reshape(-1)))).take(take)
                 yield pa.RecordBatch.from_arrays([whole.column(0).slice(at, len(group)), whole.column(2).slice(at, len(group)), pa.array(counts.astype(np.int64)), pa.array(_signed(total[0])), pa.array(_signed(total[1])), sig, keyed], names)
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), F.xxhash64(F.col("text").cast("string"))).mapInArrow(run, "doc_id long, row long, n long, s1 long, s2 long, sig binary, bands array<long>")
+    return in_arrow(docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), F.xxhash64(F.col("text").cast("string"))), run, "doc_id long, row long, n long, s1 long, s2 long, sig binary, bands array<long>")
 
 
 class Groups:
@@ -302,18 +302,20 @@ def near_duplicates(docs: DataFrame, percent: int = 85) -> DataFrame:
     own. Rows without doc_id link others and come after all that have one, by a hash of the text: their component_id is
     null if they reach none, and of those that reach one another alone one text is kept.
     """
-    return _verdicts(docs, percent).drop("row")
+    return _verdicts(docs, percent).drop("row", "group")
 
 
 def _verdicts(docs: DataFrame, percent: int) -> DataFrame:
+    """near_duplicates' columns, and row (a hash of the text), and group, which tells components apart (null: no words)."""
     docs, floor = _number(docs)
     stage, threshold = Stage(docs.sparkSession, "neardup"), percent / 100
     signed = stage.put(sign(docs, bands_for(threshold)))
     full = signed.where("n > 0")
-    classes = full.groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"))
-    reps = full.join(classes, ["s1", "s2"]).where("doc_id = rep").dropDuplicates(["s1", "s2"]).select("rep", "s1", "s2", "n", "sig", "bands")
-    # two classes of one doc_id (repeated rows) must not be taken for one
-    reps = stage.put(reps.withColumn("rep", F.struct("rep", "s1", "s2")).select(F.xxhash64("rep").alias("key"), F.col("rep.rep").alias("doc"), "s1", "s2", "n", "sig", "bands").withColumnRenamed("key", "rep"))
+    classes = full.groupBy("s1", "s2").agg(F.min("doc_id").alias("doc"), F.count("*").alias("copies"), *(F.first(c).alias(c) for c in ("n", "sig", "bands")))
+    # classes are told apart by a hash of their set's; doc_ids won't do, as rows may repeat them
+    classes, seed = stage.put(classes), 0
+    while not (reps := classes.withColumn("rep", F.xxhash64("s1", "s2", F.lit(seed)))).groupBy("rep").agg(F.count("*").alias("c")).where("c > 1").isEmpty():
+        seed += 1  # two classes of one name: other names
 
     banded = reps.select("rep", F.explode("bands").alias("bucket"))
     buckets = banded.groupBy("bucket").agg(F.count("*").alias("c"), F.sum(F.xxhash64("rep") % (1 << 40)).alias("members"), F.bit_xor(F.xxhash64("rep", F.lit(4))).alias("more")).where("c > 1")
@@ -321,7 +323,12 @@ def _verdicts(docs: DataFrame, percent: int) -> DataFrame:
     split = once.select("bucket", F.ceil(F.col("c") / BUCKET_BLOCK).cast("int").alias("blocks"))
     met = stage.put(banded.join(split, "bucket"))
     signatures = reps.select("rep", "n", "sig")
-    likely = _connect(met, "bucket", lambda rows: _in_tiles(rows.join(signatures, "rep").select("bucket", "rep", "n", "sig", "tiles"), "bucket").select("bucket", "i", "j", "rep", "n", "sig").mapInArrow(lambda b: _likely(b, threshold), "a long, b long"), stage)
+
+    def alike(rows: DataFrame) -> DataFrame:
+        tiled = _in_tiles(rows.join(signatures, "rep").select("bucket", "rep", "n", "sig", "tiles"), "bucket").select("bucket", "i", "j", "rep", "n", "sig")
+        return in_arrow(tiled, lambda b: _likely(b, threshold), "a long, b long")
+
+    likely = _connect(met, "bucket", alike, stage)
     stage.drop(met)
 
     clusters = stage.put(connected_components(likely, stage).withColumnRenamed("node", "rep").withColumnRenamed("component", "cluster"))
@@ -358,32 +365,40 @@ def _verdicts(docs: DataFrame, percent: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in pairs], pa.int64()), pa.array([p[1] for p in pairs], pa.int64())], ["a", "b"])
 
     def look(rows: DataFrame) -> DataFrame:
-        sets = texts.join(rows, "doc").select("text", "s1", "s2", "cluster", "rep", "tiles").mapInArrow(to_sets, "cluster long, rep long, tiles array<struct<i int, j int>>, set array<long>")
-        return _in_tiles(sets, "cluster").select("cluster", "i", "j", "rep", "set").mapInArrow(links, "a long, b long")
+        sets = texts.join(rows, "doc").select("text", "s1", "s2", "cluster", "rep", "tiles")
+        sets = in_arrow(sets, to_sets, "cluster long, rep long, tiles array<struct<i int, j int>>, set array<long>")
+        return in_arrow(_in_tiles(sets, "cluster").select("cluster", "i", "j", "rep", "set"), links, "a long, b long")
 
     linked = _connect(members, "cluster", look, stage)
     groups = connected_components(linked, stage)
     named = groups.join(reps.select(F.col("rep").alias("node"), "doc", "s1", "s2"), "node")
     least = named.groupBy("component").agg(F.min("doc").alias("component_id"))
-    of_class = named.join(least, "component").select("s1", "s2", "component_id")
-    whole = reps.select("s1", "s2", "doc").join(of_class, ["s1", "s2"], "left").select("s1", "s2", F.coalesce("component_id", "doc").alias("component_id"))
-    out = signed.select("doc_id", "row", "n", "s1", "s2").join(whole, ["s1", "s2"], "left")
-    component = F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id"))
-    out = out.select("doc_id", "row", F.col("n").alias("n_shingles"), component.alias("component_id")).withColumn("kept", F.col("doc_id") == F.col("component_id"))
+    of_class = named.join(least, "component").select("s1", "s2", "component", "component_id")
+    whole = stage.put(reps.select("s1", "s2", "doc", "rep", "copies").join(of_class, ["s1", "s2"], "left").select("s1", "s2", "copies", F.coalesce("component", "rep").alias("group"), F.coalesce("component_id", "doc").alias("component_id")))
+    signed = signed.select("doc_id", "row", "n", "s1", "s2")
+    out = join_split(signed.where("n > 0"), whole, ["s1", "s2"], "copies", signed.count()).select("doc_id", "row", "group", "n", "component_id")
+    out = out.unionByName(signed.where("n = 0").select("doc_id", "row", F.lit(None).cast("long").alias("group"), "n", F.col("doc_id").alias("component_id")))
+    out = out.select("doc_id", "row", "group", F.col("n").alias("n_shingles"), "component_id").withColumn("kept", F.col("doc_id") == F.col("component_id"))
     if floor is None:
         return out
     return out.withColumns({c: F.when(F.col(c) < floor, F.col(c)) for c in ("doc_id", "component_id")})
 
 
 def keep_one(docs: DataFrame, percent: int = 85) -> DataFrame:
-    """docs, with its columns, less the documents that reach one of a smaller doc_id; of rows without doc_id that have one text with words, one.
+    """docs, with its columns, less the documents that reach one of a smaller doc_id; of those that share a group's smallest doc_id, or have none, one text stays, once.
 
-    Verdicts go by doc_id and text: rows that repeat a doc_id fare each by its own text, and don't displace one another.
+    Verdicts go by doc_id and text: different texts of one doc_id fare each by its own. Columns may have any names.
     """
-    gone = _verdicts(docs, percent).where(~F.col("kept")).select(F.col("doc_id").alias("_gone"), F.col("row").alias("_gone_row")).distinct()
-    marked = docs.withColumns({"_id": F.col("doc_id").cast("long"), "_row": F.xxhash64(F.col("text").cast("string"))})
-    if docs.where(F.col("doc_id").isNull()).isEmpty():
-        return marked.join(gone, (F.col("_id") == F.col("_gone")) & (F.col("_row") == F.col("_gone_row")), "left_anti").select(*docs.columns)
-    left = marked.join(gone, F.col("_id").eqNullSafe(F.col("_gone")) & (F.col("_row") == F.col("_gone_row")), "left_anti")
-    copies = F.col("_id").isNull() & F.coalesce(F.col("text").cast("string").rlike(WORD), F.lit(False))
-    return left.where(~copies).unionByName(left.where(copies).dropDuplicates(["_row"])).select(*docs.columns)
+    own, row, gone_id, gone_row = fresh(docs.columns, "id", "row", "gone", "gone_row")
+    verdicts = _verdicts(docs, percent)
+    marked = docs.withColumns({own: F.col("doc_id").cast("long"), row: F.xxhash64(F.col("text").cast("string"))})
+    odd = docs.select(F.col("doc_id").cast("long").alias("doc_id")).groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 or doc_id is null")
+    if odd.isEmpty():
+        gone = verdicts.where(~F.col("kept")).select(F.col("doc_id").alias(gone_id), F.col("row").alias(gone_row))
+        return marked.join(gone, (F.col(own) == F.col(gone_id)) & (F.col(row) == F.col(gone_row)), "left_anti").select(*docs.columns)
+    # of texts that share their group's smallest doc_id, the one of the smallest hash stays
+    first = verdicts.where(F.col("kept") & F.col("group").isNotNull()).groupBy("group").agg(F.min("row").alias("first"))
+    gone = verdicts.join(first, "group").where(~F.col("kept") | (F.col("row") != F.col("first"))).select(F.col("doc_id").alias(gone_id), F.col("row").alias(gone_row)).distinct()
+    left = marked.join(gone, F.col(own).eqNullSafe(F.col(gone_id)) & (F.col(row) == F.col(gone_row)), "left_anti")
+    worded = F.coalesce(F.col("text").cast("string").rlike(WORD), F.lit(False))
+    return left.where(~worded).unionByName(left.where(worded).dropDuplicates([own, row])).select(*docs.columns)

@@ -32,13 +32,13 @@ reach AS (SELECT doc_id d, doc_id r FROM n UNION SELECT reach.d, sym.b FROM reac
 SELECT n.doc_id, n.n AS n_shingles, m.r AS component_id, m.r = n.doc_id AS kept FROM n JOIN (SELECT d, min(r) r FROM reach GROUP BY d) m ON m.d = n.doc_id
 """
 
-#: Pairs of lines that agree on a half, and how long they agree from the front and from the back.
+#: Pairs of lines (of 8 characters at least) that agree on a half, and how long they agree from the front and from the back. Equal lines of any length repeat one another.
 LINES = """
 WITH a AS (SELECT doc_id, string_split(text, chr(10)) ls FROM documents WHERE text IS NOT NULL),
 l AS (SELECT doc_id, unnest(range(len(ls))) pos, unnest(ls) line FROM a),
-c AS (SELECT * FROM l WHERE length(line) >= 8 AND trim(line) <> ''),
+c AS (SELECT * FROM l WHERE trim(line) <> ''),
 f AS (SELECT line, min((doc_id, pos)) ref, length(line) n FROM c GROUP BY line),
-k AS (SELECT line, n, m.m, s.s, CASE s.s WHEN 0 THEN left(line, m.m // 2) ELSE right(line, m.m // 2) END h FROM f, (VALUES (0), (1)) d(d), (VALUES (0), (1)) s(s), LATERAL (SELECT n - d.d AS m) m),
+k AS (SELECT line, n, m.m, s.s, CASE s.s WHEN 0 THEN left(line, m.m // 2) ELSE right(line, m.m // 2) END h FROM f, (VALUES (0), (1)) d(d), (VALUES (0), (1)) s(s), LATERAL (SELECT n - d.d AS m) m WHERE n >= 8),
 p AS (SELECT DISTINCT x.line a, y.line b, x.n na, y.n nb, x.m FROM k x JOIN k y ON x.m = y.m AND x.s = y.s AND x.h = y.h AND x.line < y.line AND least(x.n, y.n) = x.m),
 z AS (SELECT a, b, na, nb, m, string_split(a, '') ca, string_split(b, '') cb FROM p),
 q AS (SELECT a, b, greatest(na, nb) big, list_position(list_transform(range(1, m + 1), lambda i: ca[i] = cb[i]), false) fw, list_position(list_transform(range(m), lambda i: ca[na - i] = cb[nb - i]), false) bw, m FROM z),

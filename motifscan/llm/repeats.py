@@ -9,7 +9,8 @@ known that decides it. An edge whose stretch lies inside a window is there in al
 A window is represented by its edge of the least key, the hash of the deciding stretch; a window without such an edge
 by itself. Equal windows have equal representatives at equal offsets, so only representatives, one for some ten
 words, are grouped over the corpus. Where a key occurs twice, its windows are verified: by the hash of the whole
-span of windows it represents, or window by window where spans of one key differ.
+span of windows it represents, or window by window where spans of one key differ. Keys and spans are hashed by two
+independent families, so that windows are taken for equal on some 120 bits.
 """
 
 from __future__ import annotations
@@ -20,11 +21,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from motifscan.llm.common import WORD, Stage
-from motifscan.llm.hashing import WORDS, U, grouped_column, mix, stretch_hash, stretch_sums, word_hashes, word_spans
+from motifscan.llm.common import WORD, Stage, in_arrow, join_split, row_keys
+from motifscan.llm.hashing import MORE, WORDS, U, grouped_column, mix, stretch_hash, stretch_sums, word_hashes, word_spans
 
 WIDTH, ROUNDS = 35, 4
 _WORD = re.compile(WORD)
@@ -84,9 +85,9 @@ def representatives(hashes: np.ndarray, of: np.ndarray, width: int = WIDTH, roun
     new[1:] = alone[1:] | (chosen[1:] != chosen[:-1]) | (start[1:] != start[:-1] + 1)
     begin = np.flatnonzero(new)
     s1, s2, c = start[begin], start[np.append(begin[1:], len(start)) - 1], chosen[begin]
-    span = stretch_hash(sums, s1, s2 + width, WORDS)
+    span = stretch_hash(stretch_sums(hashes, MORE), s1, s2 + width, MORE)
     by_edge = c >= 0
-    keys = mix(span ^ U(0x2545F4914F6CDD1D))
+    keys = mix(stretch_hash(sums, s1, s2 + width, WORDS) ^ U(0x2545F4914F6CDD1D))
     keys[by_edge] = key[c[by_edge]]
     span[by_edge] ^= mix((at[c[by_edge]] - s1[by_edge]).astype(np.uint64) + U(77))
     return keys, span, s1, s2
@@ -105,59 +106,59 @@ def _i64(x: np.ndarray) -> pa.Array:
     return pa.array(x.view(np.int64))
 
 
-def removed_ranges(docs: DataFrame, width: int = WIDTH, rounds: int = ROUNDS) -> DataFrame:
-    """doc_key, ranges: the stretches [a, b) of words, as array<struct<a, b>>, that windows which also start elsewhere cover. doc_key names a row's id and text."""
-    stage = Stage(docs.sparkSession, "repeats")
-    named = docs.select(F.col("doc_id").cast("long").alias("doc"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+def removed_ranges(docs: DataFrame, keys: dict[str, Column], width: int = WIDTH, rounds: int = ROUNDS) -> DataFrame:
+    """The keys, ranges: the stretches [a, b) of words, as array<struct<a, b>>, that windows which also start elsewhere cover. keys: what tells rows apart, as row_keys has it."""
+    stage, ids = Stage(docs.sparkSession, "repeats"), list(keys)
+    named = docs.select(*(c.alias(k) for k, c in keys.items()), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    id_types = ", ".join(f"{k} long" for k in ids)
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for at, group in grouped_column(whole.column(1)):
+            for at, group in grouped_column(whole.column("text")):
                 hashes, of, begins = _words(group)
                 key, span, s1, s2 = representatives(hashes, of, width, rounds)
                 text = of[s1] if len(s1) else np.zeros(0, np.int64)
-                base = begins[text] if len(s1) else s1
-                yield pa.RecordBatch.from_arrays([_i64(key), _i64(span), whole.column(0).take(pa.array(at + text)), pa.array((s1 - base).astype(np.int32)), pa.array((s2 - base).astype(np.int32))], ["key", "span", "doc", "s1", "s2"])
+                base, taken = begins[text] if len(s1) else s1, pa.array(at + text)
+                yield pa.RecordBatch.from_arrays([_i64(key), _i64(span), *(whole.column(k).take(taken) for k in ids), pa.array((s1 - base).astype(np.int32)), pa.array((s2 - base).astype(np.int32))], ["key", "span", *ids, "s1", "s2"])
 
     # a row that repeats an id with the same text is a document of its own, but has the same answer
-    rows = stage.put(named.mapInArrow(find, "key long, span long, doc long, s1 int, s2 int"))
-    keys = rows.groupBy("key").agg(F.count("*").alias("c"), F.min("span").alias("x"), F.max("span").alias("y")).where("c > 1").select("key", (F.col("x") == F.col("y")).alias("same"))
-    live = stage.put(rows.join(keys, "key"))
-    stage.drop(rows)
+    rows = stage.put(in_arrow(named, find, f"key long, span long, {id_types}, s1 int, s2 int"))
+    twice = rows.groupBy("key").agg(F.count("*").alias("c"), F.min("span").alias("x"), F.max("span").alias("y")).where("c > 1")
+    twice = stage.put(twice.select("key", "c", (F.col("x") == F.col("y")).alias("same")))
+    live = stage.put(join_split(rows, twice, ["key"], "c", rows.count()))
+    stage.drop(rows, twice)
 
     # keys of one span: all its windows are elsewhere too. Other keys: each different span's windows, by one copy of it
-    mixed = live.where("not same").groupBy("key", "span").agg(F.count("*").alias("c"), F.min(F.struct("doc", "s1", "s2")).alias("at"))
-    mixed = stage.put(mixed.select("key", "span", "c", "at.doc", "at.s1", "at.s2"))
-    wanted = mixed.groupBy("doc").agg(F.collect_list(F.struct(F.xxhash64("key", "span").alias("id"), F.least("c", F.lit(2)).cast("int").alias("c"), "s1", "s2")).alias("spans")).withColumnRenamed("doc", "of")
+    mixed = live.where("not same").groupBy("key", "span").agg(F.count("*").alias("c"), F.min(F.struct(*ids, "s1", "s2")).alias("at"))
+    mixed = stage.put(mixed.select("key", "span", "c", *(f"at.{k}" for k in ids), "at.s1", "at.s2"))
+    wanted = mixed.groupBy(*ids).agg(F.collect_list(F.struct("key", "span", F.least("c", F.lit(2)).cast("int").alias("c"), "s1", "s2")).alias("spans"))
 
     def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             lists = whole.column(1)
             for at, group in grouped_column(whole.column(0)):
                 hashes, _, begins = _words(group)
-                sums = stretch_sums(hashes, WORDS)
                 part = lists.slice(at, len(group))
                 flat = part.flatten()
-                sid, c, s1, s2 = (flat.field(i).to_numpy(zero_copy_only=False) for i in range(4))
+                key, span, c, s1, s2 = (flat.field(i).to_numpy(zero_copy_only=False) for i in range(5))
                 base = np.repeat(begins, np.diff(part.offsets.to_numpy()))
                 n = (s2 - s1 + 1).astype(np.int64)
                 off = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
                 s = np.repeat(base + s1, n) + off
-                ok = s + width <= len(hashes)  # another row of the same id and a shorter text
-                s_ok = np.where(ok, s, 0)
-                window = stretch_hash(sums, s_ok, np.where(ok, s + width, 0), WORDS)
-                yield pa.RecordBatch.from_arrays([_i64(window), pa.array(np.repeat(sid, n)), pa.array(np.repeat(c, n)), pa.array(off.astype(np.int32))], ["window", "id", "c", "off"]).filter(pa.array(ok))
-
-    texts = named.join(wanted, F.col("doc").eqNullSafe(F.col("of"))).select("text", "spans")
-    each = stage.put(texts.mapInArrow(windows, "window long, id long, c int, off int"))
-    often = each.groupBy("window").agg(F.sum("c").alias("times")).where("times > 1").select("window")
-    hits = each.where("c = 1").join(often, "window", "left_semi").groupBy("id").agg(F.collect_set("off").alias("offs"))
-    verdict = mixed.select("key", "span", F.xxhash64("key", "span").alias("id"), (F.col("c") > 1).alias("whole")).join(hits, "id", "left").where("whole or offs is not null").select("key", "span", "whole", "offs")
+                one, two = (_i64(stretch_hash(stretch_sums(hashes, p), s, s + width, p)) for p in (WORDS, MORE))
+                yield pa.RecordBatch.from_arrays([one, two, *(pa.array(np.repeat(x, n)) for x in (key, span, c)), pa.array(off.astype(np.int32))], ["one", "two", "key", "span", "c", "off"])
+
+    texts = named.join(wanted, ids).select("text", "spans")
+    each = stage.put(in_arrow(texts, windows, "one long, two long, key long, span long, c int, off int"))
+    often = stage.put(each.groupBy("one", "two").agg(F.sum("c").alias("times"), F.count("*").alias("n")).where("times > 1").drop("times"))
+    hits = join_split(each.where("c = 1"), often, ["one", "two"], "n", each.count(), "left_semi").groupBy("key", "span").agg(F.collect_set("off").alias("offs"))
+    verdict = stage.put(mixed.select("key", "span", "c").join(hits, ["key", "span"], "left").where("c > 1 or offs is not null").select("key", "span", "c", (F.col("c") > 1).alias("whole"), "offs"))
+    stage.drop(mixed, each, often)
     full = F.array(F.struct(F.col("s1").alias("a"), (F.col("s2") + width).alias("b")))
     some = F.transform("offs", lambda o: F.struct((F.col("s1") + o).alias("a"), (F.col("s1") + o + width).alias("b")))
-    sure = live.where("same").select("doc", full.alias("r"))
-    other = live.where("not same").join(verdict, ["key", "span"]).select("doc", F.when(F.col("whole"), full).otherwise(some).alias("r"))
-    return sure.unionByName(other).groupBy("doc").agg(F.flatten(F.collect_list("r")).alias("ranges"))
+    sure = live.where("same").select(*ids, full.alias("r"))
+    other = join_split(live.where("not same"), verdict, ["key", "span"], "c", live.count()).select(*ids, F.when(F.col("whole"), full).otherwise(some).alias("r"))
+    return sure.unionByName(other).groupBy(*ids).agg(F.flatten(F.collect_list("r")).alias("ranges"))
 
 
 def dedup_substrings(docs: DataFrame, width: int = WIDTH, rounds: int = ROUNDS, with_text: bool = False) -> DataFrame:
@@ -165,10 +166,11 @@ def dedup_substrings(docs: DataFrame, width: int = WIDTH, rounds: int = ROUNDS,
 
     Words stay as they are. A word goes if a window of `width` consecutive words that covers it starts anywhere else
     too, in the same text or another; all is judged on the input. A null or empty text has no words. Rows that repeat
-    a doc_id with other texts get all of that id's ranges that fit; give rows ids of their own to avoid that.
+    or lack a doc_id are documents of their own, each cut by its own text.
     """
-    ranges = removed_ranges(docs, width, rounds).withColumnRenamed("doc", "of")
-    named = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    keys = row_keys(docs)
+    ranges = removed_ranges(docs, keys, width, rounds)
+    named = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *(c.alias(k) for k, c in keys.items()), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     names = ["doc_id", "n_words", "n_removed", "kept_sha256"] + ["kept"] * with_text
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -194,5 +196,5 @@ def dedup_substrings(docs: DataFrame, width: int = WIDTH, rounds: int = ROUNDS,
                 cols = [batch.column(0), pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.string())] + ([pa.array(out[3], pa.string())] if with_text else [])
                 yield pa.RecordBatch.from_arrays(cols, names)
 
-    joined = named.join(ranges, F.col("doc_id").eqNullSafe(F.col("of")), "left").select("doc_id", "text", "ranges")
-    return joined.mapInArrow(cut, "doc_id long, n_words long, n_removed long, kept_sha256 string" + ", kept string" * with_text)
+    joined = named.join(ranges, list(keys), "left").select("doc_id", "text", "ranges")
+    return in_arrow(joined, cut, "doc_id long, n_words long, n_removed long, kept_sha256 string" + ", kept string" * with_text)

@@ -34,13 +34,15 @@ def shard_by_bytes(docs: DataFrame, shards: int = 40, fine: int = 32, sample: in
     rows = stage.put(
         docs.select(F.col("doc_id").cast("long").alias("doc_id"), (F.octet_length(text) + 16).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.shiftleft(F.shiftright(F.xxhash64(text), 20), 20).alias("high"))
         .withColumn("key", F.col("high") + F.shiftrightunsigned(tie, 44))
+        .withColumn("lot", (F.monotonically_increasing_id() % 4096).cast("int"))
         .drop("high")
     )
     total = rows.agg(F.sum("size")).first()[0] or 0
     rate = ranges * sample / max(total, 1)
-    drawn = rows.where(uniform("key", "doc_id", F.lit("splitters")) < F.col("size") * rate).select("key", "size").toPandas()
-    drawn = drawn.sort_values("key")
-    weight = np.maximum(drawn["size"].to_numpy(float), 1 / rate).cumsum()
+    # rows that repeat an id and a text are drawn together, as one row of their number
+    drawn = rows.where(uniform("key", "doc_id", F.lit("splitters")) < F.col("size") * rate).groupBy("key", "doc_id", "size").agg(F.count("*").alias("n")).toPandas()
+    drawn = drawn.sort_values(["key", "doc_id", "size"])
+    weight = (np.maximum(drawn["size"].to_numpy(float), 1 / rate) * drawn["n"].to_numpy(float)).cumsum()
     at = np.searchsorted(weight, np.arange(1, ranges) / ranges * (weight[-1] if len(weight) else 0))
     splitters = np.unique(drawn["key"].to_numpy(np.int64)[np.minimum(at, max(len(drawn) - 1, 0))]) if len(drawn) else np.zeros(0, np.int64)
 
@@ -56,7 +58,12 @@ def shard_by_bytes(docs: DataFrame, shards: int = 40, fine: int = 32, sample: in
     parts = F.lit(1)
     if over:
         parts = F.coalesce(F.create_map(*(F.lit(x) for kv in over.items() for x in kv))[F.col("range")], F.lit(1))
-    dealt = dealt.withColumn("part", F.floor(uniform("doc_id", "key", F.lit("parts")) * parts).cast("int"))
+    place = uniform("doc_id", "key", F.lit("parts"))
+    if over:
+        # rows that repeat an id and a text have one key; where they alone are more than a range, at most `ranges` keys, they are dealt by lot
+        heavy = [r["key"] for r in dealt.where(F.col("range").isin(list(over))).groupBy("key", "doc_id").agg(F.sum("size").alias("bytes")).where(F.col("bytes") > even).select("key").distinct().collect()]
+        place = F.when(F.col("key").isin(heavy), (place + F.col("lot") / 4096) % 1).otherwise(place) if heavy else place
+    dealt = dealt.withColumn("part", F.floor(place * parts).cast("int"))
     totals = dealt.groupBy("range", "part").agg(F.sum("size").alias("bytes"), F.count("*").alias("n")).toPandas().sort_values(["range", "part"])
     totals["bytes_before"] = totals["bytes"].cumsum() - totals["bytes"]
     totals["rows_before"] = totals["n"].cumsum() - totals["n"]

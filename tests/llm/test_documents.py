@@ -11,8 +11,9 @@ import pytest
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from motifscan.llm import bpe, flac, langid, licences, lines, mixing, neardup, repeats, sharding
+from motifscan.llm import bpe, common, flac, hashing, langid, licences, lines, mixing, neardup, repeats, sharding
 from motifscan.llm.common import table
+from motifscan.llm.components import connected_components
 from motifscan.llm.queries import oracle_sql, queries
 from tests.llm.conftest import WORD, rows_of
 
@@ -188,10 +189,9 @@ def test_chains_know_their_neighbours():
 def test_short_lines_go_if_equal(spark):
     rows = [(1, "menu\nmenu\n目次目次目次目\nmemo\n \n "), (2, "menu\n目次目次目次目\nhome page\nhome pages\n ")]
     df = spark.createDataFrame(rows, "doc_id long, text string")
-    got = {r.doc_id: r.removed for r in lines.dedup_report(df, exact_chars=1).collect()}
-    assert got == {1: "1", 2: "0,1,3"}
-    assert {r.doc_id: r.removed for r in lines.dedup_report(df).collect()} == {1: "", 2: "3"}
-    assert [r.text for r in lines.dedup_lines(df, exact_chars=5).orderBy("doc_id").collect()] == [rows[0][1], "menu\nhome page\n "]
+    assert {r.doc_id: r.removed for r in lines.dedup_report(df).collect()} == {1: "1", 2: "0,1,3"}
+    assert {r.doc_id: r.removed for r in lines.dedup_report(df, near_chars=20).collect()} == {1: "1", 2: "0,1"}
+    assert [r.text for r in lines.dedup_lines(df).orderBy("doc_id").collect()] == ["menu\n目次目次目次目\nmemo\n \n ", "home page\n "]
 
 
 def near(a, b):
@@ -207,17 +207,19 @@ def near(a, b):
 
 
 def brute_lines(rows):
-    every = [(d, i, x) for d, t in rows if t is not None for i, x in enumerate(t.split("\n")) if len(x) >= 8 and x.strip(" ")]
+    every = [(d, i, x) for d, t in rows if t is not None for i, x in enumerate(t.split("\n")) if x.strip(" ")]
     out = {}
     for d, i, x in every:
-        if any((e, j) < (d, i) and near(x, y) for e, j, y in every):
+        if any((e, j) < (d, i) and (x == y or min(len(x), len(y)) >= 8 and near(x, y)) for e, j, y in every):
             out.setdefault(d, []).append(i)
     return out
 
 
-def test_lines(spark):
+@pytest.mark.parametrize("frequent", [1 / 1000, 1 / 20])
+def test_lines(spark, monkeypatch, frequent):
+    monkeypatch.setattr(common, "FREQUENT", frequent)
     rng, rows = random.Random(3), []
-    base = ["".join(rng.choice("abé ") for _ in range(n)) for n in (8, 9, 15, 16, 17, 31, 32, 33, 47, 48, 81, 160, 161, 700, 2000)]
+    base = ["".join(rng.choice("abé ") for _ in range(n)) for n in (2, 7, 8, 9, 15, 16, 17, 31, 32, 33, 47, 48, 81, 160, 161, 700, 2000)]
     for d in range(90):
         text = []
         for _ in range(rng.randint(0, 6)):
@@ -342,9 +344,96 @@ def test_repeats(spark, rounds):
     assert {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in repeats.dedup_substrings(df, rounds=rounds).collect()} == brute_repeats(rows)
 
 
+def test_repeats_by_row(spark):
+    """Rows that share or lack an id are cut each by its own text."""
+    copy, own, other, late = (" ".join(f"{x}{i}" for i in range(60)) for x in "abcd")
+    rows = [(1, copy), (2, copy), (2, own), (None, other), (None, "x " + copy), (None, None), (3, late), (3, late)]
+    got = Counter((r.doc_id, r.n_words, r.n_removed) for r in repeats.dedup_substrings(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == Counter([(1, 60, 60), (2, 60, 60), (2, 60, 0), (None, 60, 0), (None, 61, 60), (None, 0, 0), (3, 60, 60), (3, 60, 60)])
+
+
+def test_frequent_passages_are_dealt_out(spark, monkeypatch):
+    monkeypatch.setattr(common, "FREQUENT", 1 / 50)
+    rng = random.Random(8)
+    hot = [f"h{i}" for i in range(40)]
+    rows = [(d, " ".join([rng.choice("abc") for _ in range(d % 7)] + hot + [f"u{d}" for _ in range(d % 5)])) for d in range(300)] + [(d, " ".join(f"v{d}{i}" for i in range(50))) for d in range(300, 340)]
+    got = {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in repeats.dedup_substrings(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == brute_repeats(rows)
+
+
+def thue_morse():
+    """Two words whose bytes follow the sequence and its inverse: sums of powers modulo 2^64 can't tell them apart."""
+    one = b"a"
+    for _ in range(10):
+        one += bytes(195 - c for c in one)
+    return one.decode(), bytes(195 - c for c in one).decode()
+
+
+def test_words_that_sums_of_powers_confuse(spark):
+    one, two = thue_morse()
+    assert len(one) == 1024 and one != two
+    df = spark.createDataFrame([(1, one), (2, two)], "doc_id long, text string")
+    assert {(r.doc_id, r.component_id) for r in neardup.near_duplicates(df).collect()} == {(1, 1), (2, 2)}
+    words = [f"w{i}" for i in range(34)]
+    df = spark.createDataFrame([(1, " ".join([*words, one])), (2, " ".join([*words, two]))], "doc_id long, text string")
+    assert [r.n_removed for r in repeats.dedup_substrings(df).collect()] == [0, 0]
+    # the same of sequences of words
+    data = np.frombuffer(" ".join("cat" if c == "a" else "dog" for c in one + two).encode(), np.uint8)
+    hashes = hashing.word_hashes(data, *hashing.word_spans(data))
+    for powers in (hashing.WORDS, hashing.MORE):
+        sums = hashing.stretch_sums(hashes, powers)
+        a, b = hashing.stretch_hash(sums, np.array([0, 1024]), np.array([1024, 2048]), powers)
+        assert a != b
+
+
+def test_stretches_are_hashed_modulo_the_prime():
+    rng = np.random.default_rng(12)
+    a, b = (rng.integers(0, hashing.PRIME, 500, dtype=np.uint64) for _ in range(2))
+    a[:2] = b[:2] = hashing.PRIME - 1
+    assert [int(x) for x in hashing.times(a, b)] == [int(x) * int(y) % hashing.PRIME for x, y in zip(a, b, strict=True)]
+    sums, total = hashing.stretch_sums(a, hashing.WORDS), 0
+    for i, x in enumerate(a.tolist()):
+        total = (total + x * pow(hashing.WORDS.base, i, hashing.PRIME)) % hashing.PRIME
+    assert int(sums[-1]) == total
+
+
+@pytest.mark.parametrize("frequent", [1 / 1000, 1 / 10])
+def test_components(spark, monkeypatch, frequent):
+    monkeypatch.setattr(common, "FREQUENT", frequent)
+    links = [(0, i) for i in range(1, 60)] + [(500, i) for i in range(200, 260)] + [(i, i + 1) for i in range(300, 340)] + [(7, 7), (900, 901), (901, 900)]
+    up = list(range(1000))
+    for _ in range(60):
+        for a, b in links:
+            up[a] = up[b] = min(up[a], up[b])
+    got = {r.node: r.component for r in connected_components(spark.createDataFrame(links, "a long, b long"), common.Stage(spark, "test")).collect()}
+    assert got == {v: up[v] for a, b in links if a != b for v in (a, b)}
+
+
 # licences
 
 
+def test_known_identifiers():
+    assert licences.parse_expression("MIT").permissive and not licences.parse_expression("mitnfa OR mit-foo").permissive
+    scan = lambda t: licences.scan(t, licences.automaton({licences.TAG: (licences.TAG, False)}))
+    n, _, _, _, _, labels, score, _, _ = scan("SPDX-License-Identifier: Apache-2.0 OR madeup-9")
+    assert labels == ["id:apache-2.0", "permissive", "unknown-id:madeup-9"] and 0 < score < scan("SPDX-License-Identifier: Apache-2.0 OR GPL-2.0-only")[6]
+
+
+def test_own_phrases(spark, sf):
+    """The method's own labels against a plain search for words."""
+    import re
+
+    word = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+    extra = [(10**6 + i, x) for i, x in enumerate(["Released under the MIT License.", "the GNU General Public License, public domain", "cc by nc 4.0", None, "bsd licenses aren't the bsd  license"])]
+    docs = table(spark, sf, "documents").select("doc_id", "text").unionByName(spark.createDataFrame(extra, "doc_id long, text string"))
+    got = {r.doc_id: r for r in licences.scan_licences(docs, with_places=True).collect()}
+    for d in docs.collect():
+        w = word.findall("".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in d.text or ""))
+        places = {(i, x) for p, x in (*licences.BASE.items(), *licences.NOTICES.items()) for k in [p.split()] for i in range(len(w)) if w[i : i + len(k)] == k}
+        own = {x for x in filter(None, got[d.doc_id].labels.split(",")) if ":" not in x and x != "permissive"}
+        assert {(p.word, p.label) for p in got[d.doc_id].places} == places and own == {x for _, x in places}
+
+
 def test_base_phrases(spark, sf):
     docs = table(spark, sf, "documents")
     got = {r.doc_id: r for r in licences.scan_licences(docs).collect()}
@@ -392,6 +481,17 @@ def test_language_accuracy_on_held_out(spark):
     assert [x for _, x, _ in words][:3] == ["en"] * 3 and words[-1][1] == "de"
 
 
+def test_language_sample_is_bounded(spark, monkeypatch):
+    """Without ids, and with a text that most rows repeat, every language is learned from, and from no more than its share."""
+    rows = [(None, "the of and with", "en")] * 500 + [(None, f"the of and with {'it' * (i % 9)} {i}", "en") for i in range(400)] + [(None, "und die der nicht", "de")] * 300 + [(None, "le la les dans", "fr")]
+    seen = {}
+    monkeypatch.setattr(langid, "fit", lambda texts, labels: seen.update(n=Counter(labels)))
+    langid.learn(spark.createDataFrame(rows, "doc_id long, text string, lang string"), sample=50)
+    assert set(seen["n"]) == {"en", "de", "fr"} and 20 <= seen["n"]["en"] <= 100 and seen["n"]["de"] == seen["n"]["fr"] == 1
+    with pytest.raises(ValueError):
+        langid.learn(spark.createDataFrame(rows, "doc_id long, text string, lang string"), languages=2)
+
+
 def test_language_of_odd_texts(spark, odd_docs):
     got = Counter((r.doc_id, r.lang_pred == "und") for r in langid.identify(odd_docs, langid.learn(odd_docs)).collect())
     assert got[(1, True)] and got[(2, True)] and got[(3, True)] and got[(6, True)] and got[(0, False)]
@@ -418,15 +518,39 @@ def test_forward_backward_is_exact():
 
 def test_awkward_inputs(spark, odd_docs, empty_docs):
     n = odd_docs.count()
+    ids = Counter(r.doc_id for r in odd_docs.collect())
     for f in (flac.to_media, lambda d: bpe.encode_documents(d, TOKENS), sharding.shard_by_bytes, licences.scan_licences, lambda d: langid.identify(d, langid.learn(d)), mixing.plan_mix, lines.dedup_report, neardup.near_duplicates, repeats.dedup_substrings):
         assert f(empty_docs).count() == 0
-        out = f(odd_docs)
-        assert out.columns[0] == "doc_id" and out.count() == n
+        out = f(odd_docs).collect()
+        assert len(out) == n and Counter(r.doc_id for r in out) == ids
     for f in (lambda d: langid.drop_unidentified(d, langid.learn(d)), lines.dedup_lines, neardup.keep_one, mixing.mix_documents):
         assert f(odd_docs).columns == odd_docs.columns and f(empty_docs).count() == 0
         assert f(odd_docs).count() >= 1
 
 
+def test_values_on_awkward_inputs(spark, odd_docs):
+    rows = [(r.doc_id, r.text) for r in odd_docs.collect()]
+    words = Counter((d, len(WORD.findall(t or ""))) for d, t in rows)
+    assert Counter((r.doc_id, r.n_words) for r in repeats.dedup_substrings(odd_docs).collect()) == words
+    assert Counter((r.doc_id, r.size) for r in mixing.plan_mix(odd_docs).collect()) == words
+    near_ = {(r.doc_id, r.n_shingles, r.component_id, r.kept) for r in neardup.near_duplicates(odd_docs).collect()}
+    assert {(0, 3, 0, True), (4, 3, 0, False), (1, 0, 1, True), (2, 0, 2, True), (3, 0, 3, True), (5, 1, 5, True), (6, 1, 6, True), (None, 1, None, True)} <= near_
+    report = Counter((r.doc_id, r.n_lines, r.removed) for r in lines.dedup_report(odd_docs).collect())
+    assert report[(1, 0, "")] == 1 and report[(2, 1, "")] == 1 and report[(4, 1, "0")] == 2 and report[(7, 2, "1")] == 1 and report[(None, 1, "")] == 1
+
+
+def test_clashing_names(spark):
+    """Columns of the input keep their values whatever they are called."""
+    own = ["id_", "_id", "row_", "_row", "a_", "b_", "n_", "copies_", "copy_", "_copies", "_key", "_doc", "_removed", "removed_", "of_doc_", "doc_", "gone_", "gone_row_", "key", "part_", "parts_", "h", "at", "line"]
+    rows = [(i, f"first line {i * 7919}\nsecond line of its own {i * i * 31}", "s", *(f"{c}{i}" for c in own)) for i in range(6)] + [(6, "first line 0\nthird line", "s", *(f"{c}6" for c in own))]
+    df = spark.createDataFrame(rows, ["doc_id", "text", "source", *own])
+    for f in (lines.dedup_lines, neardup.keep_one, mixing.mix_documents):
+        out = f(df)
+        assert out.columns == df.columns
+        got = out.collect()
+        assert got and all(r[c] == f"{c}{r.doc_id}" for r in got for c in own)
+
+
 @pytest.mark.parametrize("name", ["op3_lines", "op8_recompression", "op10_minhash"])
 def test_sql(spark, sf, name):
     import duckdb

@@ -1,8 +1,9 @@
 import numpy as np
+import pytest
 
 import corpus_pipeline
 from motifscan.llm import ann, langid, lines, neardup
-from motifscan.llm.common import Stage, table
+from motifscan.llm.common import Stage, shared_dir, table
 from tests.llm.conftest import WORD
 from tests.llm.test_documents import brute_groups, brute_lines
 
@@ -36,6 +37,14 @@ def test_odd_vectors(spark):
     assert ann.search(df.limit(0)).count() == 0
 
 
+def test_large_and_small_components(spark):
+    """Squares that overflow or vanish don't change cosines."""
+    rows = [(0, [1e200, 1e200]), (1, [2.0, 2.0]), (2, [1e-300, -1e-300]), (3, [0.0, 1e-310]), (50, [5e-324, 0.0])]
+    got = {(r.query_id, r.vec_id): r.score for r in ann.search(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()}
+    want = {(0, 1): 1.0, (0, 2): 0.0, (0, 3): 0.5**0.5, (0, 50): 0.5**0.5, (50, 0): 0.5**0.5, (50, 1): 0.5**0.5, (50, 2): 0.5**0.5, (50, 3): 0.0}
+    assert set(got) == set(want) and all(abs(got[k] - x) < 1e-12 for k, x in want.items())
+
+
 def test_few_candidates_are_all_found(spark, monkeypatch):
     def ranks(rows, **more):
         got = ann.search(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), **more).collect()
@@ -118,10 +127,31 @@ def test_shared_and_missing_ids(spark):
     df = spark.createDataFrame(rows, "doc_id long, text string")
     left = [(r.doc_id, (r.text or "").lower()) for r in neardup.keep_one(df, 80).collect()]
     assert sorted(left, key=str) == sorted([(1, a), (2, b), (None, c), (None, ""), (None, ""), (None, d)], key=str)
+    # near copies of one doc_id: one of the two stays, and so do texts of that id that are their own
+    twins = spark.createDataFrame([(1, a), (1, a + " more"), (1, b), (1, b), (2, a)], "doc_id long, text string")
+    left = [(r.doc_id, r.text) for r in neardup.keep_one(twins, 80).collect()]
+    assert len(left) == 2 and (1, b) in left and {d for d, _ in left} == {1}
     report = {(r.n_shingles, r.component_id, r.kept) for r in neardup.near_duplicates(df, 80).where("doc_id is null").collect()}
     assert (37, 1, False) in report and (36, None, True) in report and (0, None, True) in report
 
 
+def test_clusters_need_a_shared_folder():
+    class Conf:
+        get = staticmethod(lambda *a: None)
+
+    class Session:
+        conf = Conf
+
+        class sparkContext:  # noqa: N801
+            master = "spark://driver:7077"
+            getConf = staticmethod(lambda: Conf)
+
+    with pytest.raises(ValueError):
+        shared_dir(Session)
+    Session.sparkContext.master = "local[4]"
+    assert shared_dir(Session)
+
+
 def test_rejected_documents(spark):
     docs = spark.createDataFrame([(1, "the of and", "en"), (2, "123", "en"), (3, None, "en")], "doc_id long, text string, lang string")
     assert [r.doc_id for r in langid.drop_unidentified(docs, langid.learn(docs)).collect()] == [1]
