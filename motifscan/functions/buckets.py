@@ -22,7 +22,7 @@ def rank_multiset(buckets: Column, b: int, p: int) -> Column:
 
     In the sorted list, position i holds c_i; c_i + i strictly rises, and the number is the sum of C(c_i + i, i + 1).
     """
-    ordered = F.array_sort(buckets)
+    ordered = F.sort_array(buckets)
     out = F.lit(0).cast("long")
     for i in range(p):
         table = F.array(*(F.lit(math.comb(c + i, i + 1)).cast("long") for c in range(b)))
@@ -67,7 +67,20 @@ def canonical_mapping(s: Pattern, names: Sequence[str]) -> list[Column]:
     """The least image of a mapping, as columns of the same names."""
     images = [F.struct(*(F.col(names[g[i]]).alias(f"c{i}") for i in range(s.p))) for g in automorphisms(s)]
     if len(images) == math.factorial(s.p):
-        least = F.array_sort(F.array(*(F.col(n) for n in names)))
+        least = F.sort_array(F.array(*(F.col(n) for n in names)))
         return [F.element_at(least, i + 1).alias(names[i]) for i in range(s.p)]
     least = F.least(*images) if len(images) > 1 else images[0]
     return [least.getField(f"c{i}").alias(names[i]) for i in range(s.p)]
+
+
+def up_downs(names: Sequence[str]) -> Column:
+    """A cycle's string of u (up) and d (down) along its nodes, from the least one on: the characteristic sequence's runs. The direction is the one whose string is greater, so that reversals agree."""
+    x = F.array(*(F.col(n) for n in names))
+    n = len(names)
+    at = F.array_position(x, F.array_min(x)).cast("int") - 1
+
+    def along(step: int) -> Column:
+        node = lambda i: F.get(x, F.pmod(at + F.lit(step) * i, F.lit(n)))
+        return F.array_join(F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda i: F.when(node(i) < node(i + 1), "u").otherwise("d")), "")
+
+    return F.greatest(along(1), along(-1))

@@ -16,11 +16,11 @@ def path_and_star_counts(g: DataGraph) -> DataFrame:
     d = F.col("degree").cast(BIG)
     two, three = d * (d - 1) / 2, d * (d - 1) * (d - 2) / 6
     sums = g.degrees().agg(F.sum(two.cast("decimal(38,0)")).alias("path3"), F.sum(three.cast("decimal(38,0)")).alias("star4"))
-    return sums.select(F.stack(F.lit(2), F.lit("path3"), F.col("path3"), F.lit("star4"), F.col("star4")).alias("pattern", "n")).select("pattern", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
+    return sums.select(F.stack(F.lit(2), F.lit("path3"), F.col("path3"), F.lit("star4"), F.col("star4")).alias("pattern", "n")).select("pattern", F.coalesce("n", F.lit(0)).cast(BIG).alias("n"))
 
 
 def motif_census(g: DataGraph) -> DataFrame:
-    """(pattern, n) for all connected patterns of three and four nodes as subgraphs (not induced).
+    """(pattern, n) for all connected patterns of three and four nodes as subgraphs (not induced); n: decimal(38,0), as counts of paths and stars outgrow 64 bits.
 
     Triangles and complete fours are enumerated along degree order; the others follow from degrees, triangles of an
     edge, and common neighbours of a pair.
@@ -29,19 +29,20 @@ def motif_census(g: DataGraph) -> DataFrame:
     edges_of = t.select(F.explode(F.array(F.struct(F.col("x0").alias("a"), F.col("x1").alias("b")), F.struct(F.col("x0").alias("a"), F.col("x2").alias("b")), F.struct(F.col("x1").alias("a"), F.col("x2").alias("b")))).alias("e")).select("e.a", "e.b")
     per_edge = edges_of.groupBy("a", "b").agg(F.count("*").alias("t"))
     d = g.degrees()
-    as_row = lambda name, df: df.select(F.lit(name).alias("pattern"), F.coalesce(F.col("n"), F.lit(0)).cast("long").alias("n"))
+    as_row = lambda name, df: df.select(F.lit(name).alias("pattern"), F.coalesce(F.col("n"), F.lit(0)).cast(BIG).alias("n"))
     tri = t.agg(F.count("*").alias("n"))
-    diamond = per_edge.agg(F.sum(F.col("t") * (F.col("t") - 1) / 2).alias("n"))
-    pendant = t.select(F.explode(F.array("x0", "x1", "x2")).alias("node")).groupBy("node").agg(F.count("*").alias("t")).join(d, "node").agg(F.sum(F.col("t") * (F.col("degree") - 2)).alias("n"))
+    half = lambda c: F.col(c).cast("decimal(19,0)") * (F.col(c) - 1).cast("decimal(18,0)")
+    diamond = per_edge.agg((F.sum(half("t")) / 2).alias("n"))
+    pendant = t.select(F.explode(F.array("x0", "x1", "x2")).alias("node")).groupBy("node").agg(F.count("*").alias("t")).join(d, "node").agg(F.sum(F.col("t").cast("decimal(19,0)") * (F.col("degree") - 2).cast("decimal(18,0)")).alias("n"))
     o = degree_ordered(g)
-    walks = o.agg(F.sum((F.col("lo_degree") - 1) * (F.col("hi_degree") - 1)).alias("w"))
+    walks = o.agg(F.sum((F.col("lo_degree") - 1).cast("decimal(19,0)") * (F.col("hi_degree") - 1).cast("decimal(18,0)")).alias("w"))
     path4 = walks.join(tri).select((F.col("w") - 3 * F.col("n")).alias("n"))
     # a square's node of the highest (degree, id) sees the opposite one over two lower ones
     rank = F.struct
     both = o.select(F.explode(F.array(F.struct(F.col("lo").alias("v"), F.col("lo_degree").alias("dv"), F.col("hi").alias("u"), F.col("hi_degree").alias("du")), F.struct(F.col("hi").alias("v"), F.col("hi_degree").alias("dv"), F.col("lo").alias("u"), F.col("lo_degree").alias("du")))).alias("e")).select("e.*")
     down = o.select(F.col("lo").alias("v"), F.col("hi").alias("top"), F.col("hi_degree").alias("dtop"))
     seen = down.join(both, "v").where(rank("du", "u") < rank("dtop", "top"))
-    square = seen.groupBy("top", "u").agg(F.count("*").alias("c")).agg(F.sum(F.col("c") * (F.col("c") - 1) / 2).alias("n"))
+    square = seen.groupBy("top", "u").agg(F.count("*").alias("c")).agg((F.sum(half("c")) / 2).alias("n"))
     e = g.edges
     k4 = t.join(e.toDF("x0", "x3"), "x0").where("x2 < x3").join(e.toDF("x1", "x3"), ["x1", "x3"], "left_semi").join(e.toDF("x2", "x3"), ["x2", "x3"], "left_semi").agg(F.count("*").alias("n"))
     out = path_and_star_counts(g)
@@ -60,3 +61,26 @@ def clustering(g: DataGraph) -> DataFrame:
     d = g.degrees().join(node_triangles(g), "node", "left").select("node", "degree", F.coalesce("triangles", F.lit(0)).alias("triangles"))
     pairs = F.col("degree") * (F.col("degree") - 1) / 2
     return d.withColumn("clustering", F.when(pairs > 0, F.col("triangles") / pairs).otherwise(0.0))
+
+
+def census_of(graphs: dict[str, DataGraph]) -> DataFrame:
+    """(graph, a column for each pattern): the census of several graphs, pivoted."""
+    out = None
+    for name, g in graphs.items():
+        row = motif_census(g).select(F.lit(name).alias("graph"), "pattern", "n")
+        out = row if out is None else out.unionByName(row)
+    return out.groupBy("graph").pivot("pattern", ["path3", "star4", "triangle", "diamond", "pendant_triangle", "path4", "square", "k4"]).agg(F.first("n"))
+
+
+def grouped_census(edges: DataFrame, by: str) -> DataFrame:
+    """(by, edges, path3, triangles) of the graphs that edges (by, src, dst), each once, make for each value of `by`."""
+    degree = edges.select(by, F.explode(F.array("src", "dst")).alias("v")).groupBy(by, "v").agg(F.count("*").cast(BIG).alias("d"))
+    paths = degree.groupBy(by).agg((F.sum(F.col("d") * (F.col("d") - 1)) / 2).cast("long").alias("path3"))
+    d = degree.withColumn("d", F.col("d").cast("long"))
+    e = edges.join(d.toDF(by, "src", "ds"), [by, "src"]).join(d.toDF(by, "dst", "dd"), [by, "dst"])
+    first = F.struct("ds", "src") < F.struct("dd", "dst")
+    o = e.select(by, F.when(first, F.col("src")).otherwise(F.col("dst")).alias("lo"), F.when(first, F.col("dst")).otherwise(F.col("src")).alias("hi"))
+    two = o.toDF(by, "lo", "src").join(o.toDF(by, "lo", "dst"), [by, "lo"]).where("src < dst")
+    triangles = two.join(edges, [by, "src", "dst"], "left_semi").groupBy(by).agg(F.count("*").alias("triangles"))
+    out = edges.groupBy(by).agg(F.count("*").alias("edges")).join(paths, by).join(triangles, by, "left")
+    return out.select(by, "edges", "path3", F.coalesce("triangles", F.lit(0)).alias("triangles"))

@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from motifscan.functions.buckets import bucket_of
+from motifscan.operators import schemes
+from motifscan.operators.rounds import guarded_cross, one_round
 from motifscan.plans import shares as sh
 
 V = ["v1", "v2", "v3", "v4", "v5"]
@@ -28,55 +30,76 @@ def five_cycle_shares(sizes: Sequence[int], k: float) -> list[float]:
     return sh.optimise(5, tuple(sh.Term(i, (i + 1) % 5, float(max(1, n))) for i, n in enumerate(sizes)), k)
 
 
+def _join_order(sizes: Sequence[float], values: Sequence[tuple[int, int]]) -> tuple[float, list[list[int]]]:
+    """(rows of the largest join before the last, the two paths of relations): the cycle as two paths, each joined along itself from the end that grows less, which then meet in both their ends. Sizes are expected ones."""
+
+    def grown(path: list[int]) -> tuple[float, float]:
+        rows = most = float(sizes[path[0]])
+        for i, j in zip(path, path[1:], strict=False):
+            # neighbours share a variable: the later one's first if the path goes on, its second if it goes back
+            own, other = (1, 0) if (i + 1) % 5 == j else (0, 1)
+            rows = rows * sizes[j] / max(1.0, values[i][own], values[j][other])
+            most = max(most, rows)
+        return rows, most
+
+    best = (math.inf, [[0]])
+    for start in range(5):
+        for length in (2, 3, 4):
+            one = [(start + i) % 5 for i in range(length)]
+            two = [(start + length + i) % 5 for i in range(5 - length)]
+            most, paths = 0.0, []
+            for path in (one, two):
+                path = min((path, path[::-1]), key=lambda p: grown(p)[1])
+                most += grown(path)[1]
+                paths.append(path)
+            best = min(best, (most, paths))
+    return best
+
+
 def _one_round(rels: list[DataFrame], sizes: Sequence[int], values: Sequence[tuple[int, int]], k: int) -> DataFrame:
     ts = tuple(sh.Term(i, (i + 1) % 5, float(max(1, n))) for i, n in enumerate(sizes))
     shares = sh.round_shares(5, ts, sh.optimise(5, ts, k), k)
-    weight = [math.prod(shares[i + 1 :]) for i in range(5)]
     shipped = []
     for i, r in enumerate(rels):
         j = (i + 1) % 5
-        free = [v for v in range(5) if v not in (i, j)]
-        offsets = [0]
-        for v in free:
-            offsets = [o + weight[v] * c for o in offsets for c in range(shares[v])]
-        fixed = bucket_of("a", shares[i], seed=i).cast("long") * weight[i] + bucket_of("b", shares[j], seed=j).cast("long") * weight[j]
-        rows = r.select(F.col("a").alias(V[i]), F.col("b").alias(V[j]), fixed.alias("f"), F.explode(F.array(*(F.lit(o).cast("long") for o in offsets))).alias("o"))
-        shipped.append(rows.select((F.col("f") + F.col("o")).alias("rk"), V[i], V[j]).repartition("rk"))
-    # grow from the join that is expected to be least, by sizes and numbers of different values
-    ends = [(V[i], V[(i + 1) % 5]) for i in range(5)]
-
-    def growth(rows: float, have: set[str], i: int) -> float:
-        return rows * sizes[i] / math.prod(max(1.0, values[i][ends[i].index(c)]) for c in ends[i] if c in have)
-
-    start = min(range(5), key=lambda i: min(growth(sizes[i], set(ends[i]), (i + 1) % 5), growth(sizes[i], set(ends[i]), (i + 4) % 5)))
-    df, rows, have, left = shipped[start], float(sizes[start]), set(ends[start]), set(range(5)) - {start}
-    while left:
-        i = min((i for i in left if set(ends[i]) & have), key=lambda i: growth(rows, have, i))
-        df = df.join(shipped[i], ["rk", *(c for c in ends[i] if c in have)])
-        rows, have, left = growth(rows, have, i), have | set(ends[i]), left - {i}
-    return df.select(*V)
-
-
-def _opposite(rels: list[DataFrame], r: int, sizes: Sequence[int]) -> DataFrame:
-    """The relations at variable r joined, then all rows of the one opposite, checked in the other two.
-
-    The product of the first join and the opposite relation is what the bound counts; it is never built as such: the
-    opposite relation is met by its checks, which are joins on their columns.
+        fixed = sum((bucket_of(c, shares[v], seed=v).cast("long") * math.prod(shares[v + 1 :]) for c, v in (("a", i), ("b", j))), F.lit(0).cast("long"))
+        rows = schemes.free_keys(r.select(F.col("a").alias(V[i]), F.col("b").alias(V[j]), fixed.alias("rk")), shares, [v for v in range(5) if v not in (i, j)])
+        shipped.append(rows.repartition("rk"))
+    joined = []
+    for path in _join_order(sizes, values)[1]:
+        df = shipped[path[0]]
+        for i in path[1:]:
+            df = df.join(shipped[i], ["rk", *(c for c in shipped[i].columns if c != "rk" and c in df.columns)])
+        joined.append(df)
+    left, right = joined
+    return one_round(left.join(right, [c for c in left.columns if c in right.columns]).select(*V))
+
+
+def _opposite(rels: list[DataFrame], r: int, sizes: Sequence[int], most: int = 1 << 40) -> DataFrame:
+    """The relations at variable r joined, then all rows of the one opposite, checked in the other two: no step makes more rows than the product of the three.
+
+    The product is only built where going through R2 would make more: how many rows that gives is counted first, from
+    the numbers of rows of each value. Of the opposite relation only rows that both checks can accept take part.
     """
     v = [V[(r + i) % 5] for i in range(5)]
     r1, r2, r3, r4, r5 = (rels[(r + i) % 5] for i in range(5))
     corner = r1.toDF(v[0], v[1]).join(r5.toDF(v[4], v[0]), v[0])
-    ends = corner.select(v[1], v[4]).distinct()
-    # of the opposite relation only rows that both checks can accept
-    far = r3.toDF(v[2], v[3])
-    far = far.join(r2.toDF(v[1], v[2]).join(ends.select(v[1]).distinct(), v[1], "left_semi").select(v[2]).distinct(), v[2], "left_semi")
-    far = far.join(r4.toDF(v[3], v[4]).join(ends.select(v[4]).distinct(), v[4], "left_semi").select(v[3]).distinct(), v[3], "left_semi")
-    out = corner.join(r2.toDF(v[1], v[2]), v[1]).join(far, v[2]).join(r4.toDF(v[3], v[4]), [v[3], v[4]], "left_semi")
-    return out.select(*V)
+    there = lambda df, c: df.select(c).distinct()
+    second = r2.toDF(v[1], v[2]).join(there(corner, v[1]), v[1], "left_semi")
+    fourth = r4.toDF(v[3], v[4]).join(there(corner, v[4]), v[4], "left_semi")
+    far = r3.toDF(v[2], v[3]).join(there(second, v[2]), v[2], "left_semi").join(there(fourth, v[3]), v[3], "left_semi")
+    per = lambda df, c, n: df.groupBy(c).agg(F.count("*").cast("decimal(38,0)").alias(n))
+    steps = per(corner, v[1], "n").join(per(second, v[1], "m"), v[1]).agg(F.coalesce(F.sum(F.col("n") * F.col("m")), F.lit(0)).alias("through"))
+    sides = corner.agg(F.count("*").alias("corner")).crossJoin(far.agg(F.count("*").alias("far"))).crossJoin(steps).first()
+    if sides["through"] <= sides["corner"] * sides["far"]:
+        out = corner.join(second, v[1]).join(far, v[2])
+    else:
+        out = guarded_cross(corner, far, most).join(second, [v[1], v[2]], "left_semi")
+    return out.join(fourth, [v[3], v[4]], "left_semi").select(*V)
 
 
-def five_cycle_join(rels: list[DataFrame], strategy: str = "auto", k: int = 64, sizes: Sequence[int] | None = None) -> DataFrame:
-    """(v1..v5). rels: five DataFrames with columns a, b, without repeated rows. strategy: 'A', 'B' or by the sizes."""
+def five_cycle_join(rels: list[DataFrame], strategy: str = "auto", k: int = 64, sizes: Sequence[int] | None = None, count_only: bool = False) -> DataFrame:
+    """(v1..v5), or their number n. rels: five DataFrames with columns a, b, without repeated rows. strategy: 'A', 'B' or by the sizes, which are counted unless given."""
     values = [(1, 1)] * 5
     if sizes is None:
         counts = None
@@ -88,7 +111,8 @@ def five_cycle_join(rels: list[DataFrame], strategy: str = "auto", k: int = 64,
     case, r, _ = five_cycle_case(sizes)
     if strategy == "auto":
         strategy = case
-    return _one_round(rels, sizes, values, k) if strategy == "A" else _opposite(rels, r, sizes)
+    out = _one_round(rels, sizes, values, k) if strategy == "A" else _opposite(rels, r, sizes)
+    return out.agg(F.count("*").alias("n")) if count_only else out
 
 
 def extremal_five_cycle(spark: SparkSession, sizes: Sequence[int]) -> list[DataFrame]:

@@ -1,11 +1,14 @@
 """Serial algorithms on one key's local graph, as array work: edge and adjacency indexes, paths by degree order, odd cycles, growth, combination.
 
-All give every mapping of the pattern or the canonical ones as columns of an array (rows, p). `probes` counts lookups.
+All give every mapping of the pattern or the canonical ones as columns of an array (rows, p), block by block, so that a
+graph's whole result is never held. `probes` counts lookups. The local graphs of many keys may be one index, of nodes that
+are pairs of key and id: a connected pattern never leaves its key.
 """
 
 from __future__ import annotations
 
 import itertools
+from collections.abc import Callable, Iterator
 
 import numpy as np
 
@@ -16,18 +19,27 @@ from motifscan.plans.patterns import Pattern, automorphisms, break_symmetry
 ROWS = 1 << 20
 
 
+#: Whether the nodes of a row, with one more, may still be part of an instance that their key owns.
+Prune = Callable[[np.ndarray, np.ndarray], np.ndarray]
+
+
 class LocalIndex:
-    """An undirected local graph: nodes renumbered by (degree, id), a sorted list of packed edges, and adjacency lists."""
+    """An undirected local graph: nodes renumbered by (degree, id), a sorted list of packed edges, and adjacency lists. key: the number of each edge's key, where the graphs of several are one."""
 
-    def __init__(self, src: np.ndarray, dst: np.ndarray, directed: bool = False):
-        self.ids, ends = np.unique(np.concatenate([src, dst]), return_inverse=True)
-        n, m = len(self.ids), len(src)
+    def __init__(self, src: np.ndarray, dst: np.ndarray, directed: bool = False, key: np.ndarray | None = None):
+        names, ends = np.unique(np.concatenate([src, dst]), return_inverse=True)
+        if key is not None:
+            apart, ends = np.unique(np.concatenate([key, key]) * len(names) + ends, return_inverse=True)
+            self.key, names = apart // max(1, len(names)), names[apart % max(1, len(names))]
+        else:
+            self.key = np.zeros(len(names), np.int64)
+        n, m = len(names), len(src)
         a, b = ends[:m], ends[m:]
         degree = np.bincount(ends, minlength=n)
-        order = np.lexsort((self.ids, degree))
+        order = np.lexsort((names, degree))
         rank = np.empty(n, np.int64)
         rank[order] = np.arange(n)
-        self.ids, self.n = self.ids[order], n
+        self.ids, self.key, self.n = names[order], self.key[order], n
         a, b = rank[a], rank[b]
         both = np.unique(np.concatenate([a * n + b] + ([] if directed else [b * n + a])))
         self.packed, self.m, self.probes = both, len(both) if directed else len(both) // 2, 0
@@ -78,59 +90,78 @@ def triangles(g: LocalIndex) -> np.ndarray:
     return w[g.has(w[:, 0], w[:, 2])][:, [1, 0, 2]]
 
 
+def pieces(x: np.ndarray, cost: np.ndarray) -> Iterator[np.ndarray]:
+    """Runs of rows whose costs add up to ROWS or so each."""
+    if len(x):
+        which = np.cumsum(cost) // ROWS
+        cuts = np.flatnonzero(np.diff(which)) + 1
+        yield from np.split(x, cuts)
+
+
 def odd_cycles(g: LocalIndex, length: int, via: str = "adjacency") -> np.ndarray:
+    return _stacked(odd_cycle_blocks(g, length, via), length)
+
+
+def _stacked(blocks: Iterator[np.ndarray], width: int) -> np.ndarray:
+    return np.concatenate([np.zeros((0, width), np.int64), *blocks])
+
+
+def odd_cycle_blocks(g: LocalIndex, length: int, via: str = "adjacency") -> Iterator[np.ndarray]:
     """Each cycle of an odd length once: its first node comes before all others in degree order, its second before its last.
 
     via='edges': a two-path at the first node, and for the nodes opposite, all sets of disjoint later edges, joined in
     all orders and directions. via='adjacency' grows the paths' ends instead, with the same result.
     """
     if length == 3:
-        return triangles(g)
+        yield triangles(g)
+        return
     w = two_paths(g)
     rows = np.stack([w[:, 1], w[:, 0], w[:, 2]], 1)  # least node, second, last
-    if via == "edges":
-        e = np.stack([g.head, g.tail], 1)  # both directions
-        parts = [rows]
-        for _ in range((length - 3) // 2):
-            grown = []
-            for part in parts:
-                step = max(1, ROWS // max(1, len(e)))
-                for i in range(0, len(part), step):
-                    block = part[i : i + step]
-                    a, b = np.repeat(np.arange(len(block)), len(e)), np.tile(np.arange(len(e)), len(block))
-                    old, new = block[a], e[b]
-                    # the edge's first node must hang on the path that begins at the second node
-                    end = old[:, 1] if old.shape[1] == 3 else old[:, -1]
-                    ok = (new > old[:, :1]).all(1) & ~(new[:, :1] == old).any(1) & ~(new[:, 1:] == old).any(1)
-                    ok[ok] = g.has(end[ok], new[ok, 0])
-                    grown.append(np.concatenate([old[ok], new[ok]], 1))
-            parts = grown
-        rows = np.concatenate(parts) if parts else np.zeros((0, length), np.int64)
-    else:
-        for _ in range(length - 3):
-            row, to = g.expand(rows[:, 1] if rows.shape[1] == 3 else rows[:, -1])
-            old = rows[row]
-            ok = (to > old[:, 0]) & ~(to[:, None] == old).any(1)
-            rows = np.concatenate([old[ok], to[ok, None]], 1)
-    rows = rows[g.has(rows[:, -1], rows[:, 2])]
-    return np.concatenate([rows[:, :2], rows[:, 3:], rows[:, 2:3]], 1)
+    e = np.stack([g.head, g.tail], 1)  # both directions
+    degree = g.first[1:] - g.first[:-1]
+
+    def end(x: np.ndarray) -> np.ndarray:
+        return x[:, 1] if x.shape[1] == 3 else x[:, -1]
+
+    def step(x: np.ndarray) -> Iterator[np.ndarray]:
+        if x.shape[1] == length:
+            x = x[g.has(x[:, -1], x[:, 2])]
+            yield np.concatenate([x[:, :2], x[:, 3:], x[:, 2:3]], 1)
+            return
+        for old in pieces(x, degree[end(x)] if via == "adjacency" else np.full(len(x), len(e))):
+            if via == "adjacency":
+                row, to = g.expand(end(old))
+                old, new = old[row], to[:, None]
+                ok = (to > old[:, 0]) & ~(new == old).any(1)
+            else:
+                # the edge's first node must hang on the path that begins at the second node
+                a, b = np.repeat(np.arange(len(old)), len(e)), np.tile(np.arange(len(e)), len(old))
+                old, new = old[a], e[b]
+                ok = (new > old[:, :1]).all(1) & ~(new[:, :1] == old).any(1) & ~(new[:, 1:] == old).any(1)
+                ok[ok] = g.has(end(old)[ok], new[ok, 0])
+            yield from step(np.concatenate([old[ok], new[ok]], 1))
+
+    for part in pieces(rows, np.ones(len(rows))):
+        yield from step(part)
 
 
 def odd_hamilton(g: LocalIndex, s: Pattern, walk: tuple[int, ...]) -> np.ndarray:
+    return _stacked(odd_hamilton_blocks(g, s, walk), s.p)
+
+
+def odd_hamilton_blocks(g: LocalIndex, s: Pattern, walk: tuple[int, ...]) -> Iterator[np.ndarray]:
     """All mappings of a pattern with an odd Hamilton cycle: each cycle of the graph, in all turns and both ways, whose chords are there too."""
     p = s.p
-    found = odd_cycles(g, p)
     chords = [(a, b) for a, b in s.edges if abs(walk.index(a) - walk.index(b)) not in (1, p - 1)]
-    out = []
-    for turn, back in itertools.product(range(p), (False, True)):
-        seat = [(turn + (-i if back else i)) % p for i in range(p)]
-        x = np.empty_like(found)
-        for i, v in enumerate(walk):
-            x[:, v] = found[:, seat[i]]
-        for a, b in chords:
-            x = x[g.has(x[:, a], x[:, b])]
-        out.append(x)
-    return np.concatenate(out) if out else np.zeros((0, p), np.int64)
+    for found in odd_cycle_blocks(g, p):
+        for turn, back in itertools.product(range(p), (False, True)):
+            seat = [(turn + (-i if back else i)) % p for i in range(p)]
+            x = np.empty_like(found)
+            for i, v in enumerate(walk):
+                x[:, v] = found[:, seat[i]]
+            for a, b in chords:
+                x = x[g.has(x[:, a], x[:, b])]
+            yield x
 
 
 def _distinct(x: np.ndarray) -> np.ndarray:
@@ -141,22 +172,27 @@ def _distinct(x: np.ndarray) -> np.ndarray:
 
 
 def grow(g: LocalIndex, s: Pattern, order: tuple[int, ...] | None = None, canonical: bool = True) -> np.ndarray:
+    return _stacked(grow_blocks(g, s, order, canonical), s.p)
+
+
+def grow_blocks(g: LocalIndex, s: Pattern, order: tuple[int, ...] | None = None, canonical: bool = True, prune: Prune | None = None) -> Iterator[np.ndarray]:
     """A connected pattern node by node along the neighbours of what is matched, probing the other edges; the least image only if canonical."""
     order = order or elimination_order(s)
     less = break_symmetry(automorphisms(s)) if canonical else ()
     arcs = set(s.edges)
-    x = np.arange(g.n)[:, None]
-    placed = [order[0]]
-    for v in order[1:]:
-        known = [u for u in placed if u in s.neighbours(v)]
-        u = known[0]
-        blocks = []
-        count = (g.first[1:] - g.first[:-1])[x[:, placed.index(u)]] if len(x) else np.zeros(0, np.int64)
-        cuts = np.searchsorted(np.cumsum(count), np.arange(ROWS, int(count.sum()) + ROWS, ROWS)) + 1 if len(x) else []
-        start = 0
-        for end in np.unique(np.minimum(cuts, len(x))).tolist() if len(x) else []:
-            part = x[start:end]
-            start = end
+    back = np.argsort(order)
+    degree = g.first[1:] - g.first[:-1]
+    if s.directed:
+        degree = degree + g.in_first[1:] - g.in_first[:-1]
+
+    def step(x: np.ndarray) -> Iterator[np.ndarray]:
+        placed = order[: x.shape[1]]
+        if len(placed) == s.p:
+            yield x[:, back]
+            return
+        v = order[len(placed)]
+        u = next(u for u in placed if u in s.neighbours(v))
+        for part in pieces(x, degree[x[:, placed.index(u)]]):
             row, to = g.expand(part[:, placed.index(u)], incoming=s.directed and (u, v) not in arcs)
             old = part[row]
             ok = ~(to[:, None] == old).any(1)
@@ -166,19 +202,19 @@ def grow(g: LocalIndex, s: Pattern, order: tuple[int, ...] | None = None, canoni
                 elif a == v and b in placed:
                     ok &= g.ids[to] < g.ids[old[:, placed.index(b)]]
             old, to = old[ok], to[ok]
+            if prune:
+                ok = prune(old, to)
+                old, to = old[ok], to[ok]
             for w in placed:
                 for a, b in ((w, v), (v, w)):
                     if ((a, b) in arcs or (not s.directed and (b, a) in arcs and a == w)) and not (w == u and not (s.directed and (w, v) in arcs and (v, w) in arcs)):
                         ends = (old[:, placed.index(w)], to) if a == w else (to, old[:, placed.index(w)])
                         hit = g.has(*ends)
                         old, to = old[hit], to[hit]
-            blocks.append(np.concatenate([old, to[:, None]], 1))
-        x = np.concatenate(blocks) if blocks else np.zeros((0, len(placed) + 1), np.int64)
-        placed.append(v)
-    out = np.empty_like(x)
-    for i, v in enumerate(placed):
-        out[:, v] = x[:, i]
-    return out
+            yield from step(np.concatenate([old, to[:, None]], 1))
+
+    for part in pieces(np.arange(g.n)[:, None], degree):
+        yield from step(part)
 
 
 def canonical(g: LocalIndex, x: np.ndarray, s: Pattern) -> np.ndarray:
@@ -189,11 +225,14 @@ def canonical(g: LocalIndex, x: np.ndarray, s: Pattern) -> np.ndarray:
 
 
 def combine(g: LocalIndex, s: Pattern, parts: Parts | None = None) -> np.ndarray:
+    return _stacked(combine_blocks(g, s, parts), s.p)
+
+
+def combine_blocks(g: LocalIndex, s: Pattern, parts: Parts | None = None) -> Iterator[np.ndarray]:
     """All parts' mappings, joined along an edge between them where there is one, checked for the other edges and different nodes; the least images only."""
     parts = parts or decompose(s)
-    left = parts.all()
-    have: tuple[int, ...] = ()
-    x = np.zeros((1, 0), np.int64)
+    left, have, levels = parts.all(), (), []
+    degree = g.first[1:] - g.first[:-1]
     while left:
         part = next((q for q in left if any(u in s.neighbours(v) for u in have for v in q)), left[0])
         left.remove(part)
@@ -202,49 +241,66 @@ def combine(g: LocalIndex, s: Pattern, parts: Parts | None = None) -> np.ndarray
         elif len(part) == 2:
             y = np.stack([g.head, g.tail], 1)
         else:
-            own = s.induced(part)
-            y = odd_hamilton(g, own, tuple(range(len(part))))
+            y = odd_hamilton(g, s.induced(part), tuple(range(len(part))))
         cross = [(u, v) for v in part for u in have if u in s.neighbours(v)]
         if cross:
-            u, v = cross[0]
-            column = y[:, part.index(v)]
-            order = np.argsort(column, kind="stable")
-            y, column = y[order], column[order]
-            row, to = g.expand(x[:, have.index(u)])
-            lo, hi = np.searchsorted(column, to, "left"), np.searchsorted(column, to, "right")
-            count = hi - lo
-            a = np.repeat(row, count)
-            b = np.repeat(lo - (np.cumsum(count) - count), count) + np.arange(len(a))
-            pairs = [(a[i : i + ROWS], b[i : i + ROWS]) for i in range(0, max(len(a), 1), ROWS)]
+            column = y[:, part.index(cross[0][1])]
+            by = np.argsort(column, kind="stable")
+            y, column = y[by], column[by]
         else:
-            step = max(1, ROWS // max(1, len(y)))
-            pairs = [(np.repeat(np.arange(i, min(i + step, len(x))), len(y)), np.tile(np.arange(len(y)), min(i + step, len(x)) - i)) for i in range(0, len(x), step)]
-        both, blocks = (*have, *part), []
-        for a, b in pairs:
-            z = np.concatenate([x[a], y[b]], 1)
-            z = z[_distinct(z)]
-            for u, v in cross[1:]:
-                z = z[g.has(z[:, both.index(u)], z[:, both.index(v)])]
-            blocks.append(z)
-        x = np.concatenate(blocks) if blocks else np.zeros((0, len(both)), np.int64)
-        have = both
-        # edges inside an odd part beyond its own walk were checked as chords; nothing else is open
-    out = np.empty_like(x)
-    for i, v in enumerate(have):
-        out[:, v] = x[:, i]
-    return canonical(g, out, s)
+            column = None
+        levels.append((part, have, cross, y, column))
+        have = (*have, *part)
+    back = np.argsort(have)
 
+    def step(x: np.ndarray, level: int) -> Iterator[np.ndarray]:
+        if level == len(levels):
+            yield canonical(g, x[:, back], s)
+            return
+        part, before, cross, y, column = levels[level]
+        both = (*before, *part)
+        for piece in pieces(x, degree[x[:, before.index(cross[0][0])]] if cross else np.full(len(x), max(1, len(y)))):
+            if cross:
+                row, to = g.expand(piece[:, before.index(cross[0][0])])
+                lo, hi = np.searchsorted(column, to, "left"), np.searchsorted(column, to, "right")
+                count = hi - lo
+                a = np.repeat(row, count)
+                b = np.repeat(lo - (np.cumsum(count) - count), count) + np.arange(len(a))
+            else:
+                a, b = np.repeat(np.arange(len(piece)), len(y)), np.tile(np.arange(len(y)), len(piece))
+            for i in range(0, len(a), ROWS):
+                z = np.concatenate([piece[a[i : i + ROWS]], y[b[i : i + ROWS]]], 1)
+                z = z[_distinct(z)]
+                for u, v in cross[1:]:
+                    z = z[g.has(z[:, both.index(u)], z[:, both.index(v)])]
+                # edges inside an odd part beyond its own walk were checked as chords; nothing else is open
+                yield from step(z, level + 1)
 
-def find(g: LocalIndex, s: Pattern, algorithm: str = "grow") -> np.ndarray:
-    """The canonical mappings of a pattern in a local graph, in node ids."""
+    yield from step(np.zeros((1, 0), np.int64), 0)
+
+
+def find_blocks(g: LocalIndex, s: Pattern, algorithm: str = "grow", prune: Prune | None = None) -> Iterator[np.ndarray]:
+    """The canonical mappings of a pattern in a local graph, in its numbers of nodes. prune is used where the algorithm can."""
     if not len(g.packed):
-        x = np.zeros((0, s.p), np.int64)
-    elif algorithm == "combine" or not s.connected():
-        x = combine(g, s)
+        return
+    if algorithm == "combine" or not s.connected():
+        yield from combine_blocks(g, s)
     elif algorithm == "odd":
-        x = canonical(g, odd_hamilton(g, s, decompose(s).odd[0]), s)
+        for x in odd_hamilton_blocks(g, s, decompose(s).odd[0]):
+            yield canonical(g, x, s)
     elif algorithm == "grow":
-        x = grow(g, s)
+        yield from grow_blocks(g, s, prune=prune)
     else:
         raise ValueError(f"no such algorithm: {algorithm}")
-    return g.ids[x] if len(x) else x.astype(np.int64)
+
+
+def find(g: LocalIndex, s: Pattern, algorithm: str = "grow") -> np.ndarray:
+    """The canonical mappings of a pattern in a local graph, in node ids."""
+    x = _stacked(find_blocks(g, s, algorithm), s.p)
+    return g.ids[x] if len(x) else x
+
+
+def serial(src: np.ndarray, dst: np.ndarray, s: Pattern, algorithm: str = "grow") -> tuple[np.ndarray, int]:
+    """Baseline: the serial algorithm on a whole graph, on one machine: its instances and probes."""
+    g = LocalIndex(src, dst, s.directed)
+    return find(g, s, algorithm), g.probes

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Sequence
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -11,6 +12,8 @@ from motifscan.operators import schemes
 from motifscan.operators.reduce import probe_counts
 from motifscan.operators.triangles import multiway_pairs
 from motifscan.plans import costs
+from motifscan.plans import shares as sh
+from motifscan.plans.cqs import MotifQuery
 from motifscan.plans.patterns import Pattern
 from motifscan.sources.graphs import DataGraph
 
@@ -55,10 +58,67 @@ def compare_schemes(g: DataGraph, s: Pattern, k: int) -> list[costs.CostReport]:
     return out
 
 
-def convertible_work(g: DataGraph, s: Pattern, b: int, algorithm: str = "grow") -> DataFrame:
-    """One row: b, probes over all keys. Against b = 1 it stays within a constant factor if the algorithm is convertible."""
-    counts = probe_counts(schemes.multiset_keys(g.edges, b, s.p), s, algorithm)
-    return counts.agg(F.lit(b).cast("long").alias("b"), F.sum("probes").alias("probes"))
+def load_summary(rows: DataFrame) -> DataFrame:
+    """One row: keys, mean, p50, p99 and max of the rows of a key, and skew, the largest load over the mean."""
+    load = rows.groupBy("rk").agg(F.count("*").alias("c"))
+    out = load.agg(F.count("*").alias("keys"), F.avg("c").alias("mean"), F.percentile("c", 0.5).alias("p50"), F.percentile("c", 0.99).alias("p99"), F.max("c").alias("max"))
+    return out.withColumn("skew", F.col("max") / F.col("mean"))
+
+
+def convertible_work(g: DataGraph, s: Pattern, b: int | Sequence[int], algorithm: str = "grow", kind: str = "xx") -> DataFrame:
+    """(b, probes) over all keys, a row for each b. Against b = 1 it stays within a constant factor if the algorithm is convertible."""
+    out = None
+    for n in (b,) if isinstance(b, int) else b:
+        row = probe_counts(schemes.multiset_keys(g.edges, n, s.p, kind), s, algorithm).agg(F.lit(n).cast("long").alias("b"), F.coalesce(F.sum("probes"), F.lit(0)).alias("probes"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def sweep(g: DataGraph, points: Sequence[tuple[str, int, int]], kind: str = "xx") -> DataFrame:
+    """cost_rows, and pattern nodes p, of each (scheme, b, p): how communication, keys and the largest load move with b."""
+    out = None
+    for scheme, b, p in points:
+        row = cost_rows(g, scheme, b, p, kind).withColumn("p", F.lit(p).cast("long"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def share_pairs(g: DataGraph, s: Pattern, k: float, queries: Sequence[MotifQuery]) -> DataFrame:
+    """One row: k (the product of the whole shares), pairs shipped for these queries together."""
+    ts = sh.terms(s, list(queries))
+    shares = sh.round_shares(s.p, ts, sh.optimise(s.p, ts, k), k)
+    used = {e for q in queries for e in q.subgoals}
+    rows = schemes.variable_keys(g.edges, s, shares, {(a, b): ((a, b) in used, (b, a) in used) for a, b in s.edges})
+    return rows.agg(F.lit(math.prod(shares)).cast("long").alias("k"), F.count("*").alias("pairs"))
+
+
+def grouping_pairs(g: DataGraph, s: Pattern, k: float, queries: Sequence[MotifQuery]) -> DataFrame:
+    """(evaluation, jobs, pairs): all queries in one job, and a job of k keys for each, as shipped."""
+    joint = share_pairs(g, s, k, queries).select(F.lit("joint").alias("evaluation"), F.lit(1).cast("long").alias("jobs"), "pairs")
+    each = None
+    for q in queries:
+        row = share_pairs(g, s, k, [q]).select("pairs")
+        each = row if each is None else each.unionByName(row)
+    return joint.unionByName(each.agg(F.lit("separate").alias("evaluation"), F.count("*").alias("jobs"), F.sum("pairs").alias("pairs")))
+
+
+def shipped_by_plan(g: DataGraph, b: int) -> DataFrame:
+    """(plan, rows) that triangles need shipped: by two-way joins one after the other (both sides of each), by joins along degree order, and in one round of b buckets."""
+    from motifscan.operators.triangles import ordered_two_paths
+
+    m = g.edges.agg(F.count("*").alias("m"))
+    paths = g.edges.groupBy(F.col("dst").alias("v")).agg(F.count("*").alias("i")).join(g.edges.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("o")), "v").agg(F.coalesce(F.sum(F.col("i") * F.col("o")), F.lit(0)).alias("paths"))
+    ordered = ordered_two_paths(g).agg(F.count("*").alias("ordered"))
+    one = m.crossJoin(paths).crossJoin(ordered)  # three rows of one row each
+    return one.select(F.stack(F.lit(3), F.lit("cascade"), 3 * F.col("m") + F.col("paths"), F.lit("degree"), 3 * F.col("m") + F.col("ordered"), F.lit("one_round"), F.lit(b) * F.col("m")).alias("plan", "rows"))
+
+
+def bounds(g: DataGraph, counts: DataFrame, sizes: dict[str, int]) -> DataFrame:
+    """(pattern, n, of_bound, of_degree_bound): instances over m^(p/2), and over m * max_degree^(p - 2). counts: (pattern, n); sizes: nodes of each pattern."""
+    p = F.create_map(*(F.lit(x) for kv in sizes.items() for x in kv))[F.col("pattern")]
+    stats = g.stats().select(F.col("m").cast("double").alias("m"), F.col("max_degree").cast("double").alias("d"))
+    both = counts.join(F.broadcast(stats))  # one row
+    return both.select("pattern", "n", (F.col("n") / F.pow("m", p / 2)).alias("of_bound"), (F.col("n") / (F.col("m") * F.pow("d", p - 2))).alias("of_degree_bound"))
 
 
 def discoveries(instances: DataFrame) -> DataFrame:

@@ -1,63 +1,164 @@
-"""The reduce side of a mapping scheme: rows (rk, src, dst) meet by key in one exchange, and a serial algorithm runs on each key's local graph."""
+"""The reduce side of a mapping scheme: rows (rk, src, dst) meet by key in one exchange, and a serial algorithm runs on the keys' local graphs."""
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
+from motifscan.functions.buckets import bucket_of
 from motifscan.operators import kernels
 from motifscan.plans.patterns import Pattern
 
+#: Edges of the keys that are worked on at once; a larger key goes alone.
+EDGES = 1 << 18
 
-def key_groups(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """(key, src, dst) of each key; the input is sorted by key."""
-    key, held = None, []
+
+@dataclass(frozen=True)
+class Lists:
+    """Keys are lists of buckets: an instance belongs to the list of its own nodes' buckets."""
+
+    b: int
+    kind: str = "xx"
+    seed: int = 0
+
+    def counts(self, keys: np.ndarray, p: int) -> np.ndarray:
+        """How often each bucket is in each key's list."""
+        out, rest, row = np.zeros((len(keys), self.b), np.int8), keys.copy(), np.arange(len(keys))
+        for i in range(p - 1, -1, -1):
+            table = np.array([math.comb(c + i, i + 1) for c in range(self.b)])
+            c = np.searchsorted(table, rest, "right") - 1
+            rest -= table[c]
+            np.add.at(out, (row, c), 1)
+        return out
+
+    def pruner(self, g: kernels.LocalIndex, keys: np.ndarray, bucket: np.ndarray, p: int) -> kernels.Prune:
+        room = self.counts(keys, p)
+
+        def prune(old: np.ndarray, to: np.ndarray) -> np.ndarray:
+            own = bucket[to]
+            return (bucket[old] == own[:, None]).sum(1) < room[g.key[to], own]
+
+        return prune
+
+    def owned(self, g: kernels.LocalIndex, keys: np.ndarray, bucket: np.ndarray, x: np.ndarray) -> np.ndarray:
+        rank = np.zeros(len(x), np.int64)
+        for i, c in enumerate(np.sort(bucket[x], axis=1).T):
+            rank += np.array([math.comb(v + i, i + 1) for v in range(self.b)])[c]
+        return rank == keys[g.key[x[:, 0]]]
+
+
+@dataclass(frozen=True)
+class Subsets:
+    """Keys are subsets of groups, as bits: an instance belongs to the least one that holds its nodes' groups."""
+
+    b: int
+    kind: str = "xx"
+    seed: int = 0
+
+    def pruner(self, g: kernels.LocalIndex, keys: np.ndarray, bucket: np.ndarray, p: int) -> None:
+        return None
+
+    def owned(self, g: kernels.LocalIndex, keys: np.ndarray, bucket: np.ndarray, x: np.ndarray) -> np.ndarray:
+        least = np.bitwise_or.reduce(np.left_shift(np.int64(1), bucket[x].astype(np.int64)), axis=1)
+        for _ in range(x.shape[1] - 1):
+            lowest_free = ~least & (least + 1)
+            least = np.where(np.bitwise_count(least) < x.shape[1], least | lowest_free, least)
+        return least == keys[g.key[x[:, 0]]]
+
+
+def key_runs(batches: Iterator[pa.RecordBatch], together: bool) -> Iterator[tuple[np.ndarray, list[np.ndarray]]]:
+    """(the number of each row's key, columns) of whole keys: EDGES or so rows at a time, or key by key. The input is sorted by key, its first column."""
+    held: list[list[np.ndarray]] = []
+    rows = 0
     for batch in batches:
         if not batch.num_rows:
             continue
-        rk, src, dst = (batch.column(i).to_numpy() for i in range(3))
-        cuts = [0, *(np.flatnonzero(rk[1:] != rk[:-1]) + 1).tolist(), len(rk)]
-        for a, b in zip(cuts, cuts[1:], strict=False):
-            if held and rk[a] != key:
-                yield key, np.concatenate([h[0] for h in held]), np.concatenate([h[1] for h in held])
-                held = []
-            key = int(rk[a])
-            held.append((src[a:b], dst[a:b]))
+        columns = [c.to_numpy(zero_copy_only=False) for c in batch.columns]
+        rk = columns[0]
+        while True:
+            edge = np.flatnonzero(rk[1:] != rk[:-1]) + 1
+            if held and rk[0] != held[-1][0][-1]:
+                edge = np.append(0, edge)
+            if together:
+                edge = edge[edge + rows >= EDGES]
+            if not len(edge):
+                break
+            cut = int(edge[0])
+            if cut:
+                held.append([c[:cut] for c in columns])
+            if held:
+                yield _numbered(held)
+            held, rows = [], 0
+            columns = [c[cut:] for c in columns]
+            rk = columns[0]
+        held.append(columns)
+        rows += len(rk)
     if held:
-        yield key, np.concatenate([h[0] for h in held]), np.concatenate([h[1] for h in held])
+        yield _numbered(held)
 
 
-def reduce_by_key(shipped: DataFrame, s: Pattern, algorithm: str = "grow") -> DataFrame:
-    """(rk, x0..x{p-1}): the canonical mappings in each key's local graph; the caller keeps those that their key owns.
+def _numbered(held: list[list[np.ndarray]]) -> tuple[np.ndarray, list[np.ndarray]]:
+    columns = [np.concatenate(c) for c in zip(*held, strict=True)]
+    return np.cumsum(np.diff(columns[0], prepend=columns[0][:1]) != 0), columns
 
-    The local graph must fit a task's memory; b is chosen so that it does. Rows are shipped once, by key.
-    """
-    names = ["rk", *(f"x{i}" for i in range(s.p))]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for key, src, dst in key_groups(batches):
-            x = kernels.find(kernels.LocalIndex(src, dst, s.directed), s, algorithm)
-            for i in range(0, len(x), 1 << 16):
-                part = x[i : i + (1 << 16)]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), key)), *(pa.array(np.ascontiguousarray(part[:, j])) for j in range(s.p))], names)
-
-    return by_key(shipped).mapInArrow(run, ", ".join(f"{c} long" for c in names))
+def reduce_by_key(shipped: DataFrame, s: Pattern, algorithm: str = "grow", owner: Lists | Subsets | None = None, count_only: bool = False, with_key: bool = False) -> DataFrame:
+    """(x0..x{p-1}): the canonical mappings in each key's local graph that the key owns (all of them without owner; with_key: and rk); count_only: their number, n.
 
+    Rows are shipped once, by key, and results leave block by block. What a task holds is the local graphs of EDGES rows,
+    or one key's; b is chosen so that it fits.
+    """
+    names = ["rk"] * with_key + [f"x{i}" for i in range(s.p)]
+    together = s.connected()
 
-def by_key(shipped: DataFrame) -> DataFrame:
-    return shipped.select("rk", "src", "dst").repartition("rk").sortWithinPartitions("rk")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = 0
+        for number, columns in key_runs(batches, together):
+            rk, src, dst = columns[:3]
+            keys = rk[np.flatnonzero(np.diff(number, prepend=-1))]
+            g = kernels.LocalIndex(src, dst, s.directed, number)
+            bucket = None
+            if owner:
+                ids, at = np.unique(np.concatenate([src, dst]), return_index=True)
+                bucket = np.concatenate(columns[3:5])[at][np.searchsorted(ids, g.ids)]
+            prune = owner.pruner(g, keys, bucket, s.p) if owner else None
+            for x in kernels.find_blocks(g, s, algorithm, prune):
+                if owner:
+                    x = x[owner.owned(g, keys, bucket, x)] if len(x) else x
+                total += len(x)
+                if not count_only:
+                    for i in range(0, len(x), 1 << 16):
+                        part = x[i : i + (1 << 16)]
+                        out = [keys[g.key[part[:, 0]]]] * with_key + [g.ids[part[:, j]] for j in range(s.p)]
+                        yield pa.RecordBatch.from_arrays([pa.array(c) for c in out], names)
+        if count_only:
+            yield pa.RecordBatch.from_arrays([pa.array([total], pa.int64())], ["n"])
+
+    ends = [bucket_of(c, owner.b, owner.kind, owner.seed) for c in ("src", "dst")] if owner else []
+    rows = by_key(shipped, *ends)
+    if count_only:
+        return rows.mapInArrow(run, "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
+    return rows.mapInArrow(run, ", ".join(f"{c} long" for c in names))
+
+
+def by_key(shipped: DataFrame, *more: Column) -> DataFrame:
+    """The rows by key, each key's together; further columns are made where the rows arrive."""
+    return shipped.select("rk", "src", "dst").repartition("rk").sortWithinPartitions("rk").select("rk", "src", "dst", *(c.alias(f"more{i}") for i, c in enumerate(more)))
 
 
 def probe_counts(shipped: DataFrame, s: Pattern, algorithm: str = "grow") -> DataFrame:
     """(rk, edges, found, probes) of each key: what the serial algorithm does there."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for key, src, dst in key_groups(batches):
+        for _, (rk, src, dst) in key_runs(batches, False):
             g = kernels.LocalIndex(src, dst, s.directed)
-            n = len(kernels.find(g, s, algorithm))
-            yield pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in (key, len(src), n, g.probes)], ["rk", "edges", "found", "probes"])
+            n = sum(len(x) for x in kernels.find_blocks(g, s, algorithm))
+            yield pa.RecordBatch.from_arrays([pa.array([v], pa.int64()) for v in (int(rk[0]), len(src), n, g.probes)], ["rk", "edges", "found", "probes"])
 
     return by_key(shipped).mapInArrow(run, "rk long, edges long, found long, probes long")

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import itertools
 import math
 
 from pyspark.sql import DataFrame
@@ -10,6 +9,7 @@ from pyspark.sql import functions as F
 
 from motifscan.functions.buckets import bucket_of, pack_tuple
 from motifscan.operators import schemes
+from motifscan.operators.rounds import one_round
 from motifscan.sources.graphs import DataGraph
 
 X = ["x0", "x1", "x2"]
@@ -41,35 +41,36 @@ def triangles_multiway(g: DataGraph, b: int, dedup_pairs: bool = False, kind: st
     """One-round cyclic join: only the key of a triangle's own three buckets has its edges in their roles."""
     rows = multiway_pairs(g, b, dedup_pairs, kind).repartition("rk")
     of = lambda bit: rows.where(F.col("roles").bitwiseAND(bit) != 0)
-    return _join(of(1), of(2), of(4)).select(*X)
+    return one_round(_join(of(1), of(2), of(4)).select(*X))
 
 
 def triangles_ordered(g: DataGraph, b: int, kind: str = "xx") -> DataFrame:
     """Bucket lists without regard to order: an edge goes to b keys, and a triangle is reported by the key that is its own buckets."""
     rows = schemes.multiset_keys(g.edges, b, 3, kind).repartition("rk")
     found = _join(rows, rows, rows)
-    return found.where(schemes.multiset_owner(X, b, kind) == F.col("rk")).select(*X)
+    return one_round(found.where(schemes.multiset_owner(X, b, kind) == F.col("rk")).select(*X))
 
 
 def triangles_nodeset(g: DataGraph, b: int, dedup: str = "owner", kind: str = "xx") -> DataFrame:
-    """Subsets of three of b groups. A triangle within fewer groups is found at several keys: reported by the least ('owner'), by a distinct ('distinct'), or as often as found ('none')."""
+    """Subsets of three of b groups. A triangle within fewer groups is found at several keys: reported by the least ('owner'), by a distinct ('distinct'), as often as found ('none'), or as often as found with the inverse of that as its weight ('weight': a column more; the weights' sum is the count)."""
     rows = schemes.nodeset_keys(g.edges, b, 3, kind).repartition("rk")
-    found = _join(rows, rows, rows)
-    if dedup == "distinct":
-        return found.select(*X).distinct()
-    if dedup == "none":
-        return found.select(*X)
-    return nodeset_owned(found, X, b, kind).select(*X)
+    return one_round(nodeset_remedy(_join(rows, rows, rows), X, b, dedup, kind))
 
 
-def nodeset_owned(found: DataFrame, names: list[str], b: int, kind: str = "xx", seed: int = 0) -> DataFrame:
-    """Rows whose key rk is the least subset of groups, as bits, that holds the groups of all nodes."""
-    mask = F.lit(0).cast("long")
-    for n in names:
-        mask = mask.bitwiseOR(schemes.group_bit(bucket_of(n, b, kind, seed), b))
-    every = F.array(*(F.lit(sum(1 << i for i in c)).cast("long") for c in itertools.combinations(range(b), len(names))))
-    least = F.array_min(F.filter(every, lambda x: x.bitwiseAND(F.col("_mask")) == F.col("_mask")))
-    return found.withColumn("_mask", mask).where(least == F.col("rk")).drop("_mask")
+def nodeset_remedy(found: DataFrame, names: list[str], b: int, dedup: str, kind: str = "xx") -> DataFrame:
+    """What becomes of instances that several subsets of groups find."""
+    p = len(names)
+    if dedup == "owner":
+        return found.where(schemes.nodeset_owner(names, b, kind) == F.col("rk")).select(*names)
+    if dedup == "distinct":
+        return found.select(*names).distinct()
+    if dedup == "none":
+        return found.select(*names)
+    if dedup == "weight":
+        groups = F.size(F.array_distinct(F.array(*(bucket_of(n, b, kind) for n in names))))
+        times = F.array(*(F.lit(float(math.comb(b - i, p - i))) for i in range(1, p + 1)))
+        return found.select(*names, (F.lit(1.0) / F.element_at(times, groups)).alias("weight"))
+    raise ValueError(f"no such remedy: {dedup}")
 
 
 def nodeset_multiplicity(g: DataGraph, b: int, kind: str = "mod") -> DataFrame:
@@ -121,3 +122,19 @@ def triangles_undirected(g: DataGraph) -> DataFrame:
     e = g.both_ways()
     return e.toDF("x0", "x1").join(e.toDF("x1", "x2"), "x1").join(e.toDF("x0", "x2"), ["x0", "x2"]).select(*X)
 
+
+
+def odd_cycles(g: DataGraph, length: int) -> DataFrame:
+    """(x0..): each cycle of an odd length once, by joins: two-paths at the cycle's first node in degree order, whose one end grows along later nodes until it meets the other."""
+    if length < 3 or length % 2 == 0:
+        raise ValueError(f"{length} isn't an odd length of a cycle")
+    o = degree_ordered(g)
+    a = o.select(F.col("lo").alias("x0"), F.col("lo_degree").alias("d0"), F.col("hi").alias("x1"))
+    df = a.join(o.select(F.col("lo").alias("x0"), F.col("hi").alias(f"x{length - 1}")), "x0").where(F.col("x1") < F.col(f"x{length - 1}"))
+    both = o.select(F.explode(F.array(F.struct(F.col("lo").alias("at"), F.col("hi").alias("to"), F.col("hi_degree").alias("d")), F.struct(F.col("hi").alias("at"), F.col("lo").alias("to"), F.col("lo_degree").alias("d")))).alias("e")).select("e.*")
+    for i in range(2, length - 1):
+        df = df.join(both.toDF(f"x{i - 1}", f"x{i}", "d"), f"x{i - 1}").where(F.struct("d", f"x{i}") > F.struct("d0", "x0"))
+        for j in (*range(1, i - 1), length - 1):
+            df = df.where(F.col(f"x{i}") != F.col(f"x{j}"))
+        df = df.drop("d")
+    return df.join(both.select(F.col("at").alias(f"x{length - 2}"), F.col("to").alias(f"x{length - 1}")), [f"x{length - 2}", f"x{length - 1}"], "left_semi").select(*(f"x{i}" for i in range(length)))

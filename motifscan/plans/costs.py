@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import itertools
 import math
+from collections.abc import Iterator
 from dataclasses import asdict, dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -31,6 +33,11 @@ def keys(scheme: str, b: int, p: int = 3) -> int:
     return {"multiway": b**p, "ordered": math.comb(b + p - 1, p), "bucket": math.comb(b + p - 1, p), "nodeset": math.comb(b, p)}[scheme]
 
 
+def useful_keys(b: int, p: int) -> Iterator[tuple[int, ...]]:
+    """The keys that can own an instance of one ordered query, of all b^p: lists that never fall. There are C(b+p-1, p)."""
+    return itertools.combinations_with_replacement(range(b), p)
+
+
 def asymptotic(scheme: str, k: float) -> float:
     """Pairs per edge of triangles at k keys, for many keys: k is b^3/6, or b^3 for the multiway scheme."""
     return {"nodeset": 1.5 * (6 * k) ** (1 / 3), "multiway": 3 * k ** (1 / 3), "ordered": (6 * k) ** (1 / 3)}[scheme]

@@ -13,7 +13,7 @@ from motifscan.plans.patterns import Pattern
 
 @dataclass(frozen=True)
 class Scheme:
-    """name: bucket, variable or degree (no keys: joins along degree order). pairs: expected rows shipped for each edge."""
+    """name: bucket, variable, degree or bounded (the last two without keys: joins along degree order, or along neighbours). pairs: expected rows shipped for each edge."""
 
     name: str
     b: int = 0
@@ -21,12 +21,25 @@ class Scheme:
     pairs: float = 0.0
 
 
+def buckets_for_memory(m: int, p: int, edges: float) -> int:
+    """The least b whose keys hold `edges` edges on average at most: about m p (p - 1) / b^2."""
+    return max(1, math.ceil(math.sqrt(m * p * (p - 1) / edges)))
+
+
 def buckets_for(k: int, p: int) -> int:
     return max((b for b in range(1, 4096) if math.comb(b + p - 1, p) <= k), default=1)
 
 
-def plan(s: Pattern, k: int, m: int | None = None, two_paths: int | None = None) -> Scheme:
-    """The scheme that ships least at k keys. Neither of the two key schemes wins in general. For triangles, joining along degree order ships two_paths + 2 m rows whatever k is."""
+def plan(s: Pattern, k: int | None = None, m: int | None = None, two_paths: int | None = None, max_degree: int | None = None, edges_per_key: float | None = None) -> Scheme:
+    """The scheme that ships least, for a number of keys k, or for so many edges of a key at most (with m). Neither of the two key schemes wins in general.
+
+    Joining along degree order ships two_paths + 2 m rows for triangles whatever k is; growing any connected pattern
+    along neighbours ships the rows of its partial matches, m * max_degree^i at most.
+    """
+    if k is None:
+        if m is None or edges_per_key is None:
+            raise ValueError("a number of keys, or m and edges_per_key")
+        k = math.comb(buckets_for_memory(m, s.p, edges_per_key) + s.p - 1, s.p)
     b = buckets_for(k, s.p)
     found = [Scheme("bucket", b=b, pairs=float(costs.bucket_pairs(b, s.p)))]
     queries = cqs_by_orientation(s, "bidirectional")
@@ -35,7 +48,9 @@ def plan(s: Pattern, k: int, m: int | None = None, two_paths: int | None = None)
     found.append(Scheme("variable", shares=tuple(whole), pairs=sh.cost(s.p, ts, list(whole))))
     if s.p == 3 and len(s.edges) == 3 and m and two_paths is not None:
         found.append(Scheme("degree", pairs=two_paths / m + 2))
-    # compare per key, as rounding leaves the schemes with different numbers of keys
+    elif s.connected() and max_degree:
+        # each join ships what is matched so far, and the edges both ways
+        found.append(Scheme("bounded", pairs=sum(2.0 * max_degree**i + 2 for i in range(s.p - 2))))
     return min(found, key=lambda x: x.pairs)
 
 

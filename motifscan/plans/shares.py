@@ -154,7 +154,7 @@ def cycle_shares(p: int, k: float) -> list[float]:
 
 @dataclass(frozen=True)
 class ThreeClasses:
-    """Nodes with only one-way edges (s2), only two-way edges (s1) and both (s3), and each node's neighbours by class."""
+    """Nodes with only two-way edges (s1), with edges of both kinds (s2), and with only one-way edges (s3)."""
 
     s1: frozenset[int]
     s2: frozenset[int]
@@ -163,7 +163,7 @@ class ThreeClasses:
 
 def three_classes(s: Pattern, both: set[tuple[int, int]]) -> ThreeClasses:
     kinds = {v: {e in both for e in s.edges if v in e} for v in range(s.p)}
-    return ThreeClasses(*(frozenset(v for v in range(s.p) if kinds[v] == k) for k in ({True}, {False}, {True, False})))
+    return ThreeClasses(*(frozenset(v for v in range(s.p) if kinds[v] == k) for k in ({True}, {True, False}, {False})))
 
 
 def three_class_shares(s: Pattern, both: set[tuple[int, int]], k: float, option: str | None = None) -> list[float] | None:
@@ -205,15 +205,15 @@ def three_class_shares(s: Pattern, both: set[tuple[int, int]], k: float, option:
 
 
 def class_consistency(s: Pattern, both: set[tuple[int, int]]) -> bool:
-    """Whether a closed form by classes exists at all."""
-    return three_class_shares(s, both, 1024.0) is not None
+    """Whether shares by classes make all sums equal at all."""
+    return any(three_class_shares(s, both, 1024.0, option) is not None for option in (None, "a=z", "b=z"))
 
 
 def replication_equal_thirds(p: int, d: float, k: float) -> float:
-    """Pairs per node-degree unit of a pattern of three equal classes with half of each kind of neighbours."""
+    """Pairs per edge of a pattern of degree d with three classes of a third of the nodes each, half of whose neighbours are of their own kind. Shares: k^(1/p) for s2, and 2^(1/3) times more for s1 and less for s3."""
     return k ** (1 - 2 / p) * p * d * (2 ** (1 / 3) + 2 ** (2 / 3)) / 4
 
 
 def replication_covering(p: int, d: float, k: float, s3: int) -> float:
-    """Pairs per edge if the nodes of one-way edges only are independent and cover all edges; s3: how many of the others there are."""
+    """Pairs per edge if the nodes with edges of both kinds are independent and cover all edges; s3: how many nodes have one-way edges only."""
     return k * p * d / (2 ** (2 * s3 / p) * k ** (2 / p))

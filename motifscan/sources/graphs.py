@@ -53,7 +53,7 @@ class DataGraph:
         return g
 
 
-def co_membership_edges(facts: DataFrame, group: Column | str, member: Column | str, max_group: int | None = None) -> DataFrame:
+def co_membership_edges(facts: DataFrame, group: Column | str, member: Column | str, max_group: int | None = 100_000) -> DataFrame:
     """Edges between different members of a group, once whatever the number of common groups.
 
     The pairs of a group grow with its square: groups over max_group members stop the job, rather than being cut.
@@ -107,6 +107,12 @@ def copurchase_returned(spark: SparkSession, sf_dir: str) -> DataGraph:
     return DataGraph(co_membership_edges(items, "l_orderkey", "l_partkey"))
 
 
+def copurchase_bulk(spark: SparkSession, sf_dir: str) -> DataGraph:
+    """A sparse part of the co-purchase graph that has cycles of odd lengths: returned lines of 30 pieces or more."""
+    items = load(spark, sf_dir, "lineitem").where("l_returnflag = 'R' and l_quantity >= 30")
+    return DataGraph(co_membership_edges(items, "l_orderkey", "l_partkey"))
+
+
 def cosupply_bulk(spark: SparkSession, sf_dir: str) -> DataGraph:
     items = load(spark, sf_dir, "lineitem").where("l_quantity >= 45")
     return DataGraph(co_membership_edges(items, "l_orderkey", "l_suppkey"))
@@ -123,6 +129,24 @@ def buyer_part(spark: SparkSession, sf_dir: str) -> DataGraph:
     return DataGraph(bipartite_edges(bought, "o_custkey", "l_partkey"))
 
 
+def near_docs(documents: DataFrame, min_chars: int = 80) -> DataFrame:
+    """Edges between a document and the first one (by doc_id) that has a line of at least min_chars in common with it: a star for each line, never all pairs of those that have it."""
+    lines = documents.select(F.col("doc_id").cast("long").alias("v"), F.explode(F.split("text", "\n")).alias("line")).where(F.col("v").isNotNull() & (F.length("line") >= min_chars))
+    # one aggregate with partial sums finds each line's first document; the join back is by the line's hash
+    keyed = lines.select("v", F.xxhash64("line").alias("a"), F.xxhash64("line", F.lit(3)).alias("b")).distinct()
+    first = keyed.groupBy("a", "b").agg(F.min("v").alias("u"), F.count("*").alias("c")).where("c > 1").drop("c")
+    return DataGraph.from_df(keyed.join(first, ["a", "b"]).select(F.col("u").alias("src"), F.col("v").alias("dst"))).edges
+
+
+def group_relations(spark: SparkSession, sf_dir: str) -> list[DataFrame]:
+    """Five relations of very unequal sizes in a cycle: region-nation, nation-part (bought by its customers), part-supplier, supplier-nation (sold to), nation-region; columns (a, b), distinct."""
+    nations = load(spark, sf_dir, "nation").select(F.col("n_regionkey").cast("long").alias("r"), F.col("n_nationkey").cast("long").alias("n")).distinct()
+    items = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey")
+    buyers = load(spark, sf_dir, "orders").select("o_orderkey", "o_custkey").join(load(spark, sf_dir, "customer").select("c_custkey", "c_nationkey"), F.col("c_custkey") == F.col("o_custkey"))
+    sold = items.join(buyers, F.col("o_orderkey") == F.col("l_orderkey")).select(F.col("c_nationkey").cast("long").alias("n"), F.col("l_partkey").cast("long").alias("p"), F.col("l_suppkey").cast("long").alias("s"))
+    return [nations.toDF("a", "b"), sold.select("n", "p").toDF("a", "b").distinct(), items.select(F.col("l_partkey").cast("long").alias("a"), F.col("l_suppkey").cast("long").alias("b")).distinct(), sold.select("s", "n").toDF("a", "b").distinct(), nations.select("n", "r").toDF("a", "b")]
+
+
 def labelled_copart(spark: SparkSession, sf_dir: str) -> DataGraph:
     items = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_returnflag", "l_partkey").distinct()
     a, b = items.toDF("o", "label", "src"), items.toDF("o", "label", "dst")

@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -12,6 +17,17 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def shared_folder(spark: SparkSession, name: str) -> str:
+    """A new folder that driver and executors share: below spark.checkpoint.dir; where that is unset, a temporary one in one process, and an error on a cluster."""
+    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not named:
+        if spark.sparkContext.master != "local" and not spark.sparkContext.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        named = tempfile.mkdtemp(prefix="motifscan-")
+        atexit.register(shutil.rmtree, named, True)
+    return f"{named.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
 def read_edges(spark: SparkSession, path: str, format: str = "parquet", src: str = "src", dst: str = "dst", label: str | None = None, **options: str) -> DataFrame:
     """An edge list (src, dst[, label]) from Parquet, ORC, JSON, CSV or text (two numbers a line, split by white space), with the schema given, never inferred."""
     if format == "text":

@@ -128,14 +128,44 @@ def test_regular_patterns_have_equal_shares(name):
 
 
 def test_three_classes():
-    """T7: a/b = 2^(2/3), z/b = 2^(1/3) where each class has half of each kind; checked against the solver."""
-    s, both = CATALOGUE["hexagon"], {(0, 1), (2, 3)}
+    """T7, T8: a/b = 2^(2/3), z/b = 2^(1/3) where each class has half of each kind of neighbours, and the closed form's cost; against the solver."""
+    ring = lambda at: [(at, at + 1), (at + 1, at + 2), (at + 2, at + 3), (at, at + 3)]
+    across = lambda at: [(at + i, 8 + (i + j) % 4) for i in range(4) for j in (0, 1)]
+    s = Pattern(12, tuple(sorted([*ring(0), *ring(4), *across(0), *across(4)])))
+    both = {e for e in s.edges if e[0] < 4}
+    assert S.three_classes(s, both) == S.ThreeClasses(frozenset(range(4)), frozenset(range(8, 12)), frozenset(range(4, 8)))
+    found, k = S.three_class_shares(s, both, 4096.0), 4096.0
+    a, z, b = found[0], found[8], found[4]
+    assert (a / b, z / b, z) == pytest.approx((2 ** (2 / 3), 2 ** (1 / 3), k ** (1 / 12)))
+    ts = tuple(S.Term(u, v, 2.0 if (u, v) in both else 1.0) for u, v in s.edges)
+    assert S.cost(12, ts, found) == pytest.approx(S.replication_equal_thirds(12, 4, k)) == pytest.approx(S.cost(12, ts, S.optimise(12, ts, k)), rel=1e-4)
+
+
+def test_three_classes_that_cover():
+    """T9, T23: mixed nodes that are independent and cover all edges; only the product of the outer shares counts then."""
+    s, both = CATALOGUE["square"], {(1, 2), (2, 3)}
+    assert S.three_classes(s, both) == S.ThreeClasses(frozenset({2}), frozenset({1, 3}), frozenset({0}))
     found = S.three_class_shares(s, both, 4096.0)
-    if found:
-        ts = tuple(S.Term(a, b, 2.0 if (a, b) in both else 1.0) for a, b in s.edges)
-        assert S.cost(6, ts, found) == pytest.approx(S.cost(6, ts, S.optimise(6, ts, 4096)), rel=1e-4)
-    assert S.replication_covering(4, 2, 4096, 1) == pytest.approx(4 * math.sqrt(2 * 4096))
-    assert S.three_class_shares(CATALOGUE["square"], {(1, 2), (2, 3)}, 4096.0, "a=b=z") is None
+    ts = tuple(S.Term(u, v, 2.0 if (u, v) in both else 1.0) for u, v in s.edges)
+    assert S.cost(4, ts, found) == pytest.approx(S.replication_covering(4, 2, 4096, 1)) == pytest.approx(4 * math.sqrt(2 * 4096))
+    assert found[2] == pytest.approx(2 * found[0])
+    cover = CATALOGUE["k33"]
+    both = {(0, 3), (0, 4), (0, 5)}
+    ts = tuple(S.Term(u, v, 2.0 if (u, v) in both else 1.0) for u, v in cover.edges)
+    assert S.cost(6, ts, S.optimise(6, ts, 1e4)) == pytest.approx(S.replication_covering(6, 3, 1e4, 2), rel=1e-4)
+
+
+@pytest.mark.parametrize(("option", "name", "both"), [("a=z", "pentagon", {(0, 1), (1, 2), (2, 3)}), ("b=z", "pentagon", {(0, 1), (1, 2)}), ("a=z", "prism", {(0, 1), (0, 2), (0, 3), (1, 2), (1, 4), (3, 4)}), ("b=z", "cube", {(1, 3), (2, 3), (3, 7)})])
+def test_classes_of_equal_shares(option, name, both):
+    """Two of the three values may be equal, where all sums come out equal; all three never."""
+    s = CATALOGUE[name]
+    found, c = S.three_class_shares(s, both, 500.0, option), S.three_classes(s, both)
+    ts = tuple(S.Term(u, v, 2.0 if (u, v) in both else 1.0) for u, v in s.edges)
+    assert math.prod(found) == pytest.approx(500) and S.cost(s.p, ts, found) == pytest.approx(S.cost(s.p, ts, S.optimise(s.p, ts, 500.0)), rel=1e-4)
+    alike = c.s2 | (c.s1 if option == "a=z" else c.s3)
+    assert len({round(found[v], 9) for v in alike}) == 1 and S.class_consistency(s, both)
+    assert S.three_class_shares(s, both, 500.0, "a=b=z") is None
+    assert not S.class_consistency(CATALOGUE["hexagon"], {(0, 1), (1, 2), (3, 4)}) and not S.class_consistency(CATALOGUE["cube"], {(0, 1), (0, 2)})
 
 
 @pytest.mark.parametrize("name", ["square", "pendant_triangle", "pentagon"])
@@ -167,3 +197,15 @@ def test_decompositions():
 def test_planner_prefers_degree_order_on_sparse_graphs():
     assert planner.plan(CATALOGUE["triangle"], 10_000, m=132_580, two_paths=436_712).name == "degree"
     assert planner.plan(CATALOGUE["square"], 32).name in ("bucket", "variable")
+    assert planner.plan(CATALOGUE["square"], 10**9, max_degree=3).name == "bounded"
+    assert planner.plan(CATALOGUE["triangle"], m=10**6, edges_per_key=10**3).b >= planner.plan(CATALOGUE["triangle"], m=10**6, edges_per_key=10**4).b > 1
+    with pytest.raises(ValueError):
+        planner.plan(CATALOGUE["square"])
+
+
+def test_useful_keys():
+    """Only lists that never fall own an instance: of the complete graph on 4 nodes a bucket, ordered by bucket, every such list has some."""
+    for b, p in ((3, 3), (2, 4), (4, 2)):
+        nodes = sorted((v % b, v) for v in range(4 * b))
+        owned = {tuple(n[0] for n in c) for c in itertools.combinations(nodes, p)}
+        assert owned == set(costs.useful_keys(b, p)) and len(owned) == math.comb(b + p - 1, p)
