@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from motifscan.llm import bpe, langid, lines, mixing, neardup
-from motifscan.llm.common import Stage, table
+from motifscan.llm.common import Stage, released, table
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -51,8 +51,10 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     stage, docs = Stage(spark, "pipeline"), table(spark, sf_dir, "documents")
     for _, step in STAGES:
-        docs, old = stage.put(step(spark, docs, sf_dir)), docs
-        stage.drop(old)
+        with released():  # a stage's own tables go once its result is written
+            done = stage.put(step(spark, docs, sf_dir))
+        stage.drop(docs)
+        docs = done
     return docs
 
 
