@@ -17,8 +17,8 @@ from pyspark.sql import functions as F
 
 #: A word as the text contracts have it: no ASCII white space inside.
 WORD = r"[^\x20\x09-\x0D]+"
-#: A key counts as frequent from this part of all rows on, so that there are never more frequent keys than its inverse.
-FREQUENT = 1 / 1000
+#: A key counts as frequent from this part of all rows on, so that there are never more frequent keys than its inverse; and from so many rows on.
+FREQUENT, MANY = 1 / 1000, 1000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -107,15 +107,21 @@ def row_keys(docs: DataFrame) -> dict[str, Column]:
     return {"doc": doc} if shared.isEmpty() else {"doc": doc, "row": F.xxhash64(F.col("text").cast("string"))}
 
 
+def frequent(keys: DataFrame, on: list[str], count: str, total: int) -> list[tuple]:
+    """The frequent values of `on`, each with the number of tasks that its rows are dealt to: at most 1 / FREQUENT, whatever the input."""
+    least = max(MANY, total * FREQUENT)
+    return [(*r[:-1], int(r[-1] // least) + 1) for r in keys.where(F.col(count) > least).select(*on, count).collect()]
+
+
 def join_split(rows: DataFrame, keys: DataFrame, on: list[str], count: str, total: int, how: str = "inner") -> DataFrame:
-    """rows joined with keys, which has each value of `on` (longs) once and how many rows have it; frequent values' rows are dealt to several tasks.
+    """rows joined with keys, a written table which has each value of `on` (longs) once and how many of the `total` rows have it; frequent values' rows are dealt to several tasks."""
+    return join_dealt(rows, keys.drop(count), on, frequent(keys, on, count, total), how)
 
-    keys is a written table. The values that are dealt are broadcast: at most 1 / FREQUENT of them, whatever the input.
-    """
-    least = max(1.0, total * FREQUENT)
-    hot = [(*r[:-1], int(r[-1] // least) + 1) for r in keys.where(F.col(count) > least).select(*on, count).collect()]
+
+def join_dealt(rows: DataFrame, keys: DataFrame, on: list[str], hot: list[tuple], how: str = "inner") -> DataFrame:
+    """rows joined with keys, which has each value of `on` once; the rows of the values of `hot` are dealt to several tasks, to each of which the value's row goes."""
     if not hot:
-        return rows.join(keys.drop(count), on, how)
+        return rows.join(keys, on, how)
     part, parts, *names = fresh([*rows.columns, *keys.columns], "part", "parts", *(f"key{i}" for i in range(len(on))))
     spread = F.broadcast(rows.sparkSession.createDataFrame(hot, ", ".join(f"{n} long" for n in names) + f", {parts} int"))
 
@@ -127,7 +133,7 @@ def join_split(rows: DataFrame, keys: DataFrame, on: list[str], count: str, tota
 
     others = F.xxhash64(*(F.col(x) for x in rows.columns if x not in on))
     left = dealt(rows).withColumn(part, F.coalesce(F.pmod(others, F.col(parts)), F.lit(0)).cast("int")).drop(parts)
-    right = dealt(keys.drop(count)).withColumn(part, F.explode(F.sequence(F.lit(0), F.coalesce(F.col(parts) - 1, F.lit(0))))).drop(parts)
+    right = dealt(keys).withColumn(part, F.explode(F.sequence(F.lit(0), F.coalesce(F.col(parts) - 1, F.lit(0))))).drop(parts)
     return left.join(right, [*on, part], how).drop(part)
 
 

@@ -2,10 +2,18 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
-from motifscan.llm.common import Stage, join_split
+from motifscan.llm.common import Stage, frequent, join_dealt
+
+
+def _written(edges: DataFrame, stage: Stage) -> tuple[DataFrame, dict]:
+    """The edges as a table, with their number and two sums that tell whether they changed."""
+    seen = Observation()
+    h = F.xxhash64("u", "v")
+    out = stage.put(edges.observe(seen, F.count("*").alias("n"), F.bit_xor(h).alias("x"), F.sum(h % 1_000_003).alias("y")))
+    return out, seen.get
 
 
 def connected_components(links: DataFrame, stage: Stage) -> DataFrame:
@@ -15,19 +23,20 @@ def connected_components(links: DataFrame, stage: Stage) -> DataFrame:
     all hang on their component's smallest node. The rounds are logarithmic in the longest path; a node with very
     many neighbours is only ever met by an aggregate with partial sums or a join that deals its rows to several tasks.
     """
-    edges = stage.put(links.where("a != b").select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("u")).distinct())
-    last = None
-    while True:
-        mark = edges.agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("u", "v")).alias("x"), F.sum((F.xxhash64("u", "v") % 1_000_003)).alias("y")).first()
+    edges, mark = _written(links.where("a != b").select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("u")).distinct(), stage)
+    while mark["n"]:
+        # in neither join below a node has more rows than edges
+        degree = edges.select(F.explode(F.array("u", "v")).alias("node")).groupBy("node").agg(F.count("*").alias("c"))
+        hot = frequent(degree, ["node"], "c", mark["n"])
+        both = edges.select(F.col("u").alias("at"), F.col("v").alias("to")).unionByName(edges.select(F.col("v").alias("at"), F.col("u").alias("to")))
+        least = both.groupBy("at").agg(F.min("to").alias("m")).select("at", F.least("at", "m").alias("m"))
+        large = join_dealt(both.where("to > at"), least, ["at"], hot).select(F.col("to").alias("v"), F.col("m").alias("u")).where("u != v").distinct()
+        low = large.groupBy("v").agg(F.min("u").alias("m"))
+        small = join_dealt(large, low, ["v"], hot).select(F.explode(F.array(F.struct(F.col("u").alias("v"), F.col("m").alias("u")), F.struct("v", F.col("m").alias("u")))).alias("e")).select("e.u", "e.v").where("u != v").distinct()
+        old, last = edges, mark
+        edges, mark = _written(small, stage)
+        stage.drop(old)
         if mark == last:
             break
-        last = mark
-        both = edges.select(F.col("u").alias("at"), F.col("v").alias("to")).unionByName(edges.select(F.col("v").alias("at"), F.col("u").alias("to")))
-        least = stage.put(both.groupBy("at").agg(F.min("to").alias("m"), F.count_if(F.col("to") > F.col("at")).alias("c")).select("at", F.least("at", "m").alias("m"), "c").where("c > 0"))
-        large = stage.put(join_split(both.where("to > at"), least, ["at"], "c", mark["n"]).select(F.col("to").alias("v"), F.col("m").alias("u")).where("u != v").distinct())
-        low = stage.put(large.groupBy("v").agg(F.min("u").alias("m"), F.count("*").alias("c")))
-        small = join_split(large, low, ["v"], "c", mark["n"]).select(F.explode(F.array(F.struct(F.col("u").alias("v"), F.col("m").alias("u")), F.struct("v", F.col("m").alias("u")))).alias("e")).select("e.u", "e.v").where("u != v").distinct()
-        old, edges = edges, stage.put(small)
-        stage.drop(old, least, large, low)
     root = edges.select("u").distinct()
     return edges.select(F.col("v").alias("node"), F.col("u").alias("component")).unionByName(root.select(F.col("u").alias("node"), F.col("u").alias("component")))

@@ -218,6 +218,7 @@ def brute_lines(rows):
 @pytest.mark.parametrize("frequent", [1 / 1000, 1 / 20])
 def test_lines(spark, monkeypatch, frequent):
     monkeypatch.setattr(common, "FREQUENT", frequent)
+    monkeypatch.setattr(common, "MANY", 3)
     rng, rows = random.Random(3), []
     base = ["".join(rng.choice("abé ") for _ in range(n)) for n in (2, 7, 8, 9, 15, 16, 17, 31, 32, 33, 47, 48, 81, 160, 161, 700, 2000)]
     for d in range(90):
@@ -354,6 +355,7 @@ def test_repeats_by_row(spark):
 
 def test_frequent_passages_are_dealt_out(spark, monkeypatch):
     monkeypatch.setattr(common, "FREQUENT", 1 / 50)
+    monkeypatch.setattr(common, "MANY", 3)
     rng = random.Random(8)
     hot = [f"h{i}" for i in range(40)]
     rows = [(d, " ".join([rng.choice("abc") for _ in range(d % 7)] + hot + [f"u{d}" for _ in range(d % 5)])) for d in range(300)] + [(d, " ".join(f"v{d}{i}" for i in range(50))) for d in range(300, 340)]
@@ -400,6 +402,7 @@ def test_stretches_are_hashed_modulo_the_prime():
 @pytest.mark.parametrize("frequent", [1 / 1000, 1 / 10])
 def test_components(spark, monkeypatch, frequent):
     monkeypatch.setattr(common, "FREQUENT", frequent)
+    monkeypatch.setattr(common, "MANY", 3)
     links = [(0, i) for i in range(1, 60)] + [(500, i) for i in range(200, 260)] + [(i, i + 1) for i in range(300, 340)] + [(7, 7), (900, 901), (901, 900)]
     up = list(range(1000))
     for _ in range(60):
