@@ -84,9 +84,9 @@ def join_query(q: MotifQuery, edges_of: dict[tuple[int, int], DataFrame], key: S
     return df.where(condition(q))
 
 
-def enumerate_bucket_oriented(g: DataGraph, s: Pattern, b: int, kind: str = "xx", algorithm: str = "grow", count_only: bool = False) -> DataFrame:
-    """The same b for all variables, a key for each list of p buckets; each edge once, in one direction. One exchange; a serial algorithm at each key, which reports what the key owns. count_only: counted there."""
-    return reduce_by_key(schemes.multiset_keys(g.edges, b, s.p, kind), s, algorithm, Lists(b, kind), count_only)
+def enumerate_bucket_oriented(g: DataGraph, s: Pattern, b: int, kind: str = "xx", algorithm: str = "grow", count_only: bool = False, queries: list[MotifQuery] | None = None) -> DataFrame:
+    """The same b for all variables, a key for each list of p buckets; each edge once, in one direction. One exchange; a serial algorithm, or all of the queries, at each key, which reports what the key owns. count_only: counted there."""
+    return reduce_by_key(schemes.multiset_keys(g.edges, b, s.p, kind), s, algorithm, Lists(b, kind), count_only, queries=queries)
 
 
 def enumerate_bucket_joins(g: DataGraph, s: Pattern, b: int, kind: str = "xx", queries: list[MotifQuery] | None = None, count_only: bool = False) -> DataFrame:

@@ -8,10 +8,11 @@ are pairs of key and id: a connected pattern never leaves its key.
 from __future__ import annotations
 
 import itertools
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterator, Sequence
 
 import numpy as np
 
+from motifscan.plans.cqs import MotifQuery
 from motifscan.plans.decompose import Parts, decompose, elimination_order
 from motifscan.plans.patterns import Pattern, automorphisms, break_symmetry
 
@@ -24,9 +25,9 @@ Prune = Callable[[np.ndarray, np.ndarray], np.ndarray]
 
 
 class LocalIndex:
-    """An undirected local graph: nodes renumbered by (degree, id), a sorted list of packed edges, and adjacency lists. key: the number of each edge's key, where the graphs of several are one."""
+    """An undirected local graph: nodes renumbered by (degree, id), or by id, a sorted list of packed edges, and adjacency lists. key: the number of each edge's key, where the graphs of several are one."""
 
-    def __init__(self, src: np.ndarray, dst: np.ndarray, directed: bool = False, key: np.ndarray | None = None):
+    def __init__(self, src: np.ndarray, dst: np.ndarray, directed: bool = False, key: np.ndarray | None = None, by_id: bool = False):
         names, ends = np.unique(np.concatenate([src, dst]), return_inverse=True)
         if key is not None:
             apart, ends = np.unique(np.concatenate([key, key]) * len(names) + ends, return_inverse=True)
@@ -36,7 +37,7 @@ class LocalIndex:
         n, m = len(names), len(src)
         a, b = ends[:m], ends[m:]
         degree = np.bincount(ends, minlength=n)
-        order = np.lexsort((names, degree))
+        order = np.arange(n) if by_id else np.lexsort((names, degree))
         rank = np.empty(n, np.int64)
         rank[order] = np.arange(n)
         self.ids, self.key, self.n = names[order], self.key[order], n
@@ -45,6 +46,7 @@ class LocalIndex:
         self.packed, self.m, self.probes = both, len(both) if directed else len(both) // 2, 0
         self.head, self.tail = both // max(n, 1), both % max(n, 1)
         self.first = np.searchsorted(self.head, np.arange(n + 1))
+        self.middle = np.searchsorted(both, np.arange(n) * n + np.arange(n))
         back = np.sort((both % max(n, 1)) * n + both // max(n, 1)) if directed else both
         self.in_head, self.in_tail = back // max(n, 1), back % max(n, 1)
         self.in_first = np.searchsorted(self.in_head, np.arange(n + 1))
@@ -57,12 +59,13 @@ class LocalIndex:
         at = np.minimum(np.searchsorted(self.packed, key), len(self.packed) - 1)
         return self.packed[at] == key
 
-    def expand(self, nodes: np.ndarray, incoming: bool = False) -> tuple[np.ndarray, np.ndarray]:
-        """(row, neighbour) of each row's node."""
+    def expand(self, nodes: np.ndarray, incoming: bool = False, side: int = 0) -> tuple[np.ndarray, np.ndarray]:
+        """(row, neighbour) of each row's node. side: only neighbours of a larger (1) or smaller (-1) number."""
         first, tail = (self.in_first, self.in_tail) if incoming else (self.first, self.tail)
-        count = first[nodes + 1] - first[nodes]
+        begin, end = self.middle[nodes] if side > 0 else first[nodes], self.middle[nodes] if side < 0 else first[nodes + 1]
+        count = end - begin
         row = np.repeat(np.arange(len(nodes)), count)
-        at = np.repeat(first[nodes] - (np.cumsum(count) - count), count) + np.arange(len(row))
+        at = np.repeat(begin - (np.cumsum(count) - count), count) + np.arange(len(row))
         self.probes += len(row)
         return row, tail[at]
 
@@ -279,6 +282,60 @@ def combine_blocks(g: LocalIndex, s: Pattern, parts: Parts | None = None) -> Ite
     yield from step(np.zeros((1, 0), np.int64), 0)
 
 
+def query_blocks(g: LocalIndex, s: Pattern, queries: Sequence[MotifQuery], prune: Prune | None = None) -> Iterator[np.ndarray]:
+    """What a set of queries finds together, each along a connected pattern's edges in the directions it asks for, its comparisons applied as soon as both nodes are there; as least images. The index numbers nodes by id."""
+    order, symmetry = elimination_order(s), automorphisms(s)
+    back, least = np.argsort(order), break_symmetry(symmetry)
+    degree = g.first[1:] - g.first[:-1]
+
+    def step(x: np.ndarray, q: MotifQuery) -> Iterator[np.ndarray]:
+        placed = order[: x.shape[1]]
+        if len(placed) == s.p:
+            yield x[:, back]
+            return
+        v = order[len(placed)]
+        near = [u for u in placed if u in s.neighbours(v)]
+        up = {u: (u, v) in q.subgoals for u in near}
+        for part in pieces(x, degree[x[:, placed.index(near[0])]]):
+            row, to = g.expand(part[:, placed.index(near[0])], side=1 if up[near[0]] else -1)
+            old = part[row]
+            ok = np.ones(len(to), bool)
+            for i, u in enumerate(placed):
+                if u == near[0]:
+                    continue
+                if (u, v) in q.less or (u in near and up[u]):
+                    ok &= old[:, i] < to
+                elif (v, u) in q.less or u in near:
+                    ok &= to < old[:, i]
+                else:
+                    ok &= old[:, i] != to
+            old, to = old[ok], to[ok]
+            if prune:
+                ok = prune(old, to)
+                old, to = old[ok], to[ok]
+            for u in near[1:]:
+                hit = g.has(old[:, placed.index(u)], to)
+                old, to = old[hit], to[hit]
+            yield from step(np.concatenate([old, to[:, None]], 1), q)
+
+    for q in queries:
+        for first in pieces(np.arange(g.n)[:, None], degree):
+            for x in step(first, q):
+                if q.orders:
+                    ok = np.zeros(len(x), bool)
+                    for o in q.orders:
+                        ok |= (x[:, o[:-1]] < x[:, o[1:]]).all(1)
+                    x = x[ok]
+                out = np.empty_like(x)
+                for a in symmetry:
+                    y = x[:, a]
+                    mine = np.ones(len(x), bool)
+                    for i, j in least:
+                        mine &= y[:, i] < y[:, j]
+                    out[mine] = y[mine]
+                yield out
+
+
 def find_blocks(g: LocalIndex, s: Pattern, algorithm: str = "grow", prune: Prune | None = None) -> Iterator[np.ndarray]:
     """The canonical mappings of a pattern in a local graph, in its numbers of nodes. prune is used where the algorithm can."""
     if not len(g.packed):

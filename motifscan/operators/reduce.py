@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
 import numpy as np
@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from motifscan.functions.buckets import bucket_of
 from motifscan.operators import kernels
+from motifscan.plans.cqs import MotifQuery
 from motifscan.plans.patterns import Pattern
 
 #: Edges of the keys that are worked on at once; a larger key goes alone.
@@ -108,8 +109,8 @@ def _numbered(held: list[list[np.ndarray]]) -> tuple[np.ndarray, list[np.ndarray
     return np.cumsum(np.diff(columns[0], prepend=columns[0][:1]) != 0), columns
 
 
-def reduce_by_key(shipped: DataFrame, s: Pattern, algorithm: str = "grow", owner: Lists | Subsets | None = None, count_only: bool = False, with_key: bool = False) -> DataFrame:
-    """(x0..x{p-1}): the canonical mappings in each key's local graph that the key owns (all of them without owner; with_key: and rk); count_only: their number, n.
+def reduce_by_key(shipped: DataFrame, s: Pattern, algorithm: str = "grow", owner: Lists | Subsets | None = None, count_only: bool = False, with_key: bool = False, queries: Sequence[MotifQuery] | None = None) -> DataFrame:
+    """(x0..x{p-1}): the canonical mappings in each key's local graph that the key owns (all of them without owner; with_key: and rk); count_only: their number, n. queries: found by these, all at each key, in place of the algorithm.
 
     Rows are shipped once, by key, and results leave block by block. What a task holds is the local graphs of EDGES rows,
     or one key's; b is chosen so that it fits.
@@ -122,13 +123,13 @@ def reduce_by_key(shipped: DataFrame, s: Pattern, algorithm: str = "grow", owner
         for number, columns in key_runs(batches, together):
             rk, src, dst = columns[:3]
             keys = rk[np.flatnonzero(np.diff(number, prepend=-1))]
-            g = kernels.LocalIndex(src, dst, s.directed, number)
+            g = kernels.LocalIndex(src, dst, s.directed, number, by_id=bool(queries))
             bucket = None
             if owner:
                 ids, at = np.unique(np.concatenate([src, dst]), return_index=True)
                 bucket = np.concatenate(columns[3:5])[at][np.searchsorted(ids, g.ids)]
             prune = owner.pruner(g, keys, bucket, s.p) if owner else None
-            for x in kernels.find_blocks(g, s, algorithm, prune):
+            for x in kernels.query_blocks(g, s, queries, prune) if queries else kernels.find_blocks(g, s, algorithm, prune):
                 if owner:
                     x = x[owner.owned(g, keys, bucket, x)] if len(x) else x
                 total += len(x)

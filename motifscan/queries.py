@@ -137,18 +137,20 @@ pattern("diamond_bucket", "copurchase", "diamond", lambda g, s: en.enumerate_buc
 pattern("k4_bucket", "copurchase", "k4", lambda g, s: en.enumerate_bucket_oriented(g, s, 4))
 pattern("k4_cosupply_joins", "cosupply", "k4", lambda g, s: en.enumerate_bucket_joins(g, s, 3))
 pattern("k5_bucket", "copurchase", "k5", lambda g, s: en.enumerate_bucket_oriented(g, s, 3))
-pattern("pentagon_cycle_cqs", "copurchase", "pentagon", lambda g, s: en.enumerate_bucket_joins(g, s, 2, queries=cycle_cqs(5)))
+pattern("pentagon_cycle_cqs", "copurchase", "pentagon", lambda g, s: en.enumerate_bucket_oriented(g, s, 3, queries=cycle_cqs(5)))
 pattern("pentagon_cycle_cascade", "copurchase", "pentagon", lambda g, s: en.enumerate_cascade(g, s, cycle_cqs(5)))
 pattern("pentagon_odd_cycle", "copurchase", "pentagon", lambda g, s: en.enumerate_bucket_oriented(g, s, 3, algorithm="odd"))
-pattern("hexagon_cycle_cqs", "buyer_part", "hexagon", lambda g, s: en.enumerate_cascade(g, s, cycle_cqs(6)))
+pattern("hexagon_cycle_cqs", "buyer_part", "hexagon", lambda g, s: en.enumerate_bucket_oriented(g, s, 2, queries=cycle_cqs(6)))
+pattern("hexagon_cycle_cascade", "buyer_part", "hexagon", lambda g, s: en.enumerate_cascade(g, s, cycle_cqs(6)))
 pattern("hexagon_variable", "buyer_part", "hexagon", lambda g, s: en.enumerate_variable_oriented(g, s, 32, shares=[1, 2, 2, 2, 2, 2]))
 pattern("heptagon_odd_cycle", "copurchase_bulk", "heptagon", lambda g, s: en.enumerate_bucket_oriented(g, s, 2, algorithm="odd"))
-pattern("heptagon_cycle_cqs", "copurchase_bulk", "heptagon", lambda g, s: en.enumerate_cascade(g, s, cycle_cqs(7)))
+pattern("heptagon_cycle_cqs", "copurchase_bulk", "heptagon", lambda g, s: en.enumerate_bucket_oriented(g, s, 2, queries=cycle_cqs(7)))
 pattern("heptagon_bipartite_none", "buyer_part", "heptagon", lambda g, s: en.enumerate_bucket_oriented(g, s, 2, algorithm="odd"))
 register("heptagon_odd_joins", on("copurchase_bulk", lambda g: tri.odd_cycles(g, 7).select(*canonical_mapping(CATALOGUE["heptagon"], [f"x{i}" for i in range(7)]))), pattern_sql("copurchase_bulk", CATALOGUE["heptagon"]))
 register("pentagon_odd_joins", on("copurchase", lambda g: tri.odd_cycles(g, 5).select(*canonical_mapping(CATALOGUE["pentagon"], [f"x{i}" for i in range(5)]))), pattern_sql("copurchase", CATALOGUE["pentagon"]))
 pattern("square_planned", "copurchase", "square", lambda g, s: en.enumerate_planned(g, s, 100))
 pattern("triangle_planned", "copurchase", "triangle", lambda g, s: en.enumerate_planned(g, s, 220))
+pattern("pendant_orders", "copurchase", "pendant_triangle", lambda g, s: en.enumerate_bucket_oriented(g, s, 3, queries=merge_by_orientation(s)))
 pattern("square_serial", "copurchase", "square", en.enumerate_serial)
 pattern("square_shared_joins", "copurchase", "square", lambda g, s: en.enumerate_cascade(g, s, cqs_by_orders(s), share={}))
 pattern("star4_decomposed", "buyer_part", "star4", lambda g, s: en.enumerate_bucket_oriented(g, s, 3, algorithm="combine"))

@@ -15,7 +15,7 @@ from motifscan.operators import triangles as tri
 from motifscan.operators.five_cycle import extremal_five_cycle, five_cycle_case, five_cycle_join
 from motifscan.operators.rounds import exchanges, guarded_cross, run_figures
 from motifscan.plans import costs
-from motifscan.plans.cqs import characteristic_sequence, cqs_by_orders, cycle_cqs
+from motifscan.plans.cqs import characteristic_sequence, cqs_by_orders, cycle_cqs, merge_by_orientation
 from motifscan.plans.patterns import CATALOGUE, Pattern
 from motifscan.sources import graphs
 from motifscan.sources.graphs import DataGraph
@@ -214,6 +214,12 @@ def test_pentagons_by_run_sequences(g):
     same(en.enumerate_cascade(g, CATALOGUE["pentagon"], cycle_cqs(5)), 41_962)
 
 
+@pytest.mark.parametrize("name, queries", [("pentagon", cycle_cqs(5)), ("square", cycle_cqs(4)), ("square", cqs_by_orders(CATALOGUE["square"])), ("pendant_triangle", merge_by_orientation(CATALOGUE["pendant_triangle"]))])
+def test_all_queries_at_each_key(g, name, queries):
+    same(en.enumerate_bucket_oriented(g, CATALOGUE[name], 3, queries=queries), EXPECTED[name])
+    assert en.enumerate_bucket_oriented(g, CATALOGUE[name], 2, queries=queries).exceptAll(en.enumerate_bucket_oriented(g, CATALOGUE[name], 2)).count() == 0
+
+
 def test_differences_are_needed(spark):
     """T14: this graph has no pentagon, but its edges meet a pentagon's order conditions."""
     tail = graph(spark, [(1, 2), (2, 3), (3, 4), (2, 4)])
