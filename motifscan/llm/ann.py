@@ -1,7 +1,11 @@
 """Approximate nearest neighbours by cross-polytope hashing.
 
-Each table turns unit vectors by three rounds of random signs and a fast Hadamard transform and assigns them to
-the nearest signed axis, of the first AXES ones. A query looks into the buckets of its nearest axes in every table.
+Each table turns unit vectors by rounds of random signs and a fast Hadamard transform and assigns them to the nearest
+signed axis, of the first AXES ones, or to the nearest axes of two turns, so that there are 2 * AXES or (2 * AXES)^2
+buckets. A query looks into the buckets nearest to it in every table. How many turns, tables and probes there are is
+settled by trial: for a bounded sample of queries the true neighbours are found by meeting all vectors in blocks, and of
+the settings that reach the wanted recall on them the one of least work is taken, for so many rows as there are. So
+vectors that lie in groups are met by few queries however many rows there are; vectors without structure need half.
 Bucket and visiting queries meet in blocks of bounded size, which keep each query's best by the exact cosine; the
 tables' bests are merged. A query that found fewer than k meets all vectors of its width, in blocks of the same kind.
 Equal vectors are looked up once, by their smallest ids.
@@ -11,6 +15,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -21,8 +26,10 @@ from motifscan.llm.common import Stage, in_arrow
 
 #: Rows of one block: vectors of a bucket, and queries that visit it.
 BLOCK = 2048
-#: Axes of a table at most, so that the share of vectors that a query meets doesn't fall with the width.
+#: Axes of a turn at most, so that the share of vectors that a query meets doesn't fall with the width.
 AXES = 64
+#: For the trial: queries, rows that stand for all, and how many rows' meetings a shipped probe costs.
+TRIAL_QUERIES, TRIAL_ROWS, PROBE_COST = 64, 1024, 64
 
 
 def hadamard(x: np.ndarray) -> np.ndarray:
@@ -45,13 +52,73 @@ def rotate(x: np.ndarray, table: int, seed: int) -> np.ndarray:
     return x
 
 
-def nearest_axes(x: np.ndarray, count: int) -> np.ndarray:
-    """The `count` nearest signed axes of each row, nearest first: 2 * axis, and 1 more for the negative one."""
-    x = x[:, :AXES]
-    axes = np.argsort(-np.abs(x), axis=1, kind="stable")
-    near = 2 * axes + (np.take_along_axis(x, axes, 1) < 0)
-    # the other signs come last, the furthest axis at the end
-    return near[:, :count] if count <= x.shape[1] else np.concatenate([near, near[:, ::-1] ^ 1], 1)[:, :count]
+@dataclass(frozen=True)
+class Setting:
+    """Tables, turns of each (1 or 2), and how many buckets of a table a query looks into."""
+
+    tables: int = 12
+    turns: int = 1
+    probes: int = 10
+
+
+def distances(x: np.ndarray, table: int, turns: int, seed: int) -> list[np.ndarray]:
+    """For each turn, how far each row is from each signed axis (columns 2 * axis, and 1 more for the negative one), as what the nearest one's component exceeds the axis' by."""
+    out = []
+    for t in range(turns):
+        y = rotate(x, 2 * table + t, seed)[:, :AXES]
+        signed = np.stack([y, -y], 2).reshape(len(y), -1)
+        out.append(signed.max(1, keepdims=True) - signed)
+    return out
+
+
+def nearest_buckets(x: np.ndarray, table: int, setting: Setting, count: int, seed: int) -> np.ndarray:
+    """The `count` nearest buckets of each row, nearest first: of two turns, by the sum of both distances."""
+    gaps = distances(x, table, setting.turns, seed)
+    if setting.turns == 1:
+        return np.argsort(gaps[0], axis=1, kind="stable")[:, :count]
+    # of each turn, the nearest `count` axes are enough for the nearest `count` pairs
+    near = [np.argsort(g, axis=1, kind="stable")[:, :count] for g in gaps]
+    both = [np.take_along_axis(g, n, 1) for g, n in zip(gaps, near, strict=True)]
+    total = (both[0][:, :, None] + both[1][:, None, :]).reshape(len(x), -1)
+    pick = np.argsort(total, axis=1, kind="stable")[:, :count]
+    width = near[1].shape[1]
+    return np.take_along_axis(near[0], pick // width, 1) * (2 * AXES) + np.take_along_axis(near[1], pick % width, 1)
+
+
+def ranks(gaps: list[np.ndarray], *targets: list[np.ndarray]) -> list[np.ndarray]:
+    """How many buckets come before each target's own (columns), for each query (rows of gaps)."""
+    pick = lambda t: sum(np.take_along_axis(g, x, 1) for g, x in zip(gaps, t, strict=True))
+    every = gaps[0] if len(gaps) == 1 else (gaps[0][:, :, None] + gaps[1][:, None, :]).reshape(len(gaps[0]), -1)
+    every = np.sort(every, axis=1)
+    return [np.stack([np.searchsorted(row, o, "left") for row, o in zip(every, pick(t), strict=True)]) for t in targets]
+
+
+def settle(queries: np.ndarray, neighbours: np.ndarray, rows: np.ndarray, n: int, recall: float, seed: int) -> Setting:
+    """The setting of least work for n rows that finds this part of the neighbours (of each query, rows of its own). rows: a sample of all."""
+    tables, k = 16, neighbours.shape[1]
+    found: dict[int, np.ndarray] = {}
+    met: dict[int, np.ndarray] = {}
+    for turns in (1, 2):
+        f, m = [], []
+        for table in range(tables):
+            gaps = distances(queries, table, turns, seed)
+            nearest = lambda x: [d.argmin(1) for d in distances(x, table, turns, seed)]  # noqa: B023, E731
+            own = [t.reshape(-1, k) for t in nearest(neighbours.reshape(-1, queries.shape[1]))]
+            of_rows = [np.tile(t, (len(queries), 1)) for t in nearest(rows)]
+            for part, got in zip((f, m), ranks(gaps, own, of_rows), strict=True):
+                part.append(got)
+        found[turns], met[turns] = np.minimum.accumulate(np.stack(f)), np.stack(m)
+    best: tuple[float, Setting] | None = None
+    for turns, most in ((1, 2 * AXES), (2, 1024)):
+        probes = sorted({int(round(2 ** (i / 4))) for i in range(4 * 11)} & set(range(1, most + 1)))
+        for t in range(2, tables + 1, 2):
+            for p in probes:
+                if (found[turns][t - 1] < p).mean() >= recall:
+                    work = n * float((met[turns][:t] < p).mean(0).mean()) * t + PROBE_COST * t * p
+                    if best is None or work < best[0]:
+                        best = (work, Setting(t, turns, p))
+                    break
+    return best[1] if best else Setting(probes=probes_at(queries.shape[1], 10))
 
 
 def probes_at(width: int, probes: int) -> int:
@@ -76,8 +143,13 @@ def _parts(rows: np.ndarray, values: int) -> list[np.ndarray]:
     return [rows[at : at + step] for at in range(0, len(rows), step)]
 
 
-def _hash(vectors: DataFrame, id_column: str, tables: int, probes: int, seed: int) -> DataFrame:
-    """(table, bucket, key, vector) of each row and table; a row for each bucket (one if probes is 1)."""
+def unit(x: np.ndarray) -> np.ndarray:
+    x = scaled(x)
+    return x / np.sqrt((x * x).sum(1, keepdims=True))
+
+
+def _hash(vectors: DataFrame, id_column: str, settings: dict[int, Setting], asking: bool, seed: int) -> DataFrame:
+    """(table, bucket, key, vector) of each row and table; if asking, a row for each bucket that is looked into. settings: by width; other widths have the default."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -85,25 +157,28 @@ def _hash(vectors: DataFrame, id_column: str, tables: int, probes: int, seed: in
                 batch = whole.slice(at, 1024)
                 rows = batch.column(1).to_pylist()
                 widths = np.array([len(r) for r in rows], np.int64)
-                for width, of in ((w, part) for w in np.unique(widths).tolist() for part in _parts(np.flatnonzero(widths == w), w * probes)):
-                    x = scaled(np.array([rows[i] for i in of], np.float64))
-                    x /= np.sqrt((x * x).sum(1, keepdims=True))
-                    for table in range(tables):
-                        axes = nearest_axes(rotate(x, table, seed), probes_at(width, probes) if probes > 1 else 1)
-                        n = axes.shape[1]
-                        picked = pa.array(np.repeat(of, n))
-                        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(of) * n, table, np.int32)), pa.array((width * 4096 * 16 + axes.reshape(-1)).astype(np.int64)), batch.column(0).take(picked), batch.column(1).take(picked)], ["table", "bucket", "key", "vector"])
+                for width in np.unique(widths).tolist():
+                    setting = settings.get(width) or Setting(probes=probes_at(width, 10))
+                    count = setting.probes if asking else 1
+                    for of in _parts(np.flatnonzero(widths == width), max(width, (count if setting.turns == 1 else count * min(count, 2 * AXES)))):
+                        x = unit(np.array([rows[i] for i in of], np.float64))
+                        for table in range(setting.tables):
+                            buckets = nearest_buckets(x, table, setting, count, seed)
+                            n = buckets.shape[1]
+                            picked = pa.array(np.repeat(of, n))
+                            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(of) * n, table, np.int32)), pa.array((width * (4 * AXES * AXES) + buckets.reshape(-1)).astype(np.int64)), batch.column(0).take(picked), batch.column(1).take(picked)], ["table", "bucket", "key", "vector"])
 
     return in_arrow(vectors.select(F.col(id_column).alias("key"), "vector"), run, "table int, bucket long, key long, vector array<double>")
 
 
-def search(vectors: DataFrame, every: int = 50, k: int = 5, tables: int = 12, probes: int = 10, seed: int = 3, id_column: str = "vec_id", vector_column: str = "embedding") -> DataFrame:
+def search(vectors: DataFrame, every: int = 50, k: int = 5, recall: float = 0.95, seed: int = 3, id_column: str = "vec_id", vector_column: str = "embedding") -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest found by cosine of each row whose id is divisible by `every`, among all other rows.
 
     Vectors that are null, empty or zero, or hold a null or non-finite component, and rows without an id take no
     part; vectors of different widths never meet. Ties go to the smaller id. Fewer than k candidates of the width give
-    fewer rows, all of them; an empty table gives none. Rows that repeat an id and a vector count once. `probes` holds
-    for up to AXES dimensions; wider vectors get more.
+    fewer rows, all of them; an empty table gives none. Rows that repeat an id and a vector count once. `recall` is what
+    the trial settles the most common width's tables and probes for, on TRIAL_QUERIES queries; other widths have 12 tables
+    of one turn and 10 probes, more beyond AXES dimensions.
     """
     stage = Stage(vectors.sparkSession, "ann")
     v = F.col(vector_column).cast("array<double>")
@@ -115,11 +190,9 @@ def search(vectors: DataFrame, every: int = 50, k: int = 5, tables: int = 12, pr
     first = x.withColumn("same", same).withColumn("n", F.dense_rank().over(Window.partitionBy("same").orderBy("id"))).where(F.col("n") <= 2 * (k + 1))
     points = stage.put(first.groupBy("same").agg(F.min(F.struct("id", "vector")).alias("f"), F.array_sort(F.collect_set("id")).alias("ids")).select(F.col("f.id").alias("key"), "f.vector", "ids"))
     queries = stage.put(x.where(F.col("id") % every == 0).groupBy("id", F.xxhash64("vector")).agg(F.first("vector").alias("vector")).select("id", "vector"))
-    held = stage.put(_hash(points, "key", tables, 1, seed))
-    asked = stage.put(_hash(queries, "id", tables, probes, seed))
 
     def chunks(rows: DataFrame) -> dict[tuple[int, int], int]:
-        """Blocks of each bucket that is over one; a width has tables times twice AXES buckets at most, whatever the rows."""
+        """Blocks of each bucket that is over one; a width has tables times (2 * AXES)^2 buckets at most, whatever the rows."""
         counts = rows.groupBy("table", "bucket").count().where(F.col("count") > BLOCK).collect()
         return {(r["table"], r["bucket"]): math.ceil(r["count"] / BLOCK) for r in counts}
 
@@ -175,14 +248,39 @@ def search(vectors: DataFrame, every: int = 50, k: int = 5, tables: int = 12, pr
         rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
         return named.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
+    # the whole width is one bucket
+    bucket = F.size("vector").cast("long").alias("bucket")
+    everything = points.select(F.lit(-1).alias("table"), bucket, "key", "vector", F.when(F.size("ids") == 1, F.get("ids", F.lit(0))).alias("alone"))
+    asking_all = lambda q: q.select(F.lit(-1).alias("table"), bucket, F.col("id").alias("key"), "vector")
+
+    settings: dict[int, Setting] = {}
+    common = points.groupBy(F.size("vector").alias("w")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), "w").first()
+    if common:
+        width, n = common["w"], common["n"]
+        own = F.size("vector") == width
+        picked = queries.where(own).orderBy(F.xxhash64("id", F.lit(seed)), "id").limit(TRIAL_QUERIES)
+        chosen = stage.put(picked)
+        best = nearest(asking_all(chosen), everything.where(F.col("bucket") == width)).where(F.col("rank") <= k)
+        named = best.join(points.select("vector", F.explode("ids").alias("vec_id")), "vec_id").select("query_id", "rank", "vector").collect()
+        asked_for = {r["id"]: r["vector"] for r in chosen.collect()}
+        lists: dict[int, list] = {}
+        for r in sorted(named, key=lambda r: (r["query_id"], r["rank"])):
+            lists.setdefault(r["query_id"], []).append(r["vector"])
+        full = [q for q, v in lists.items() if len(v) >= k]
+        if full:
+            rows = points.where(own).orderBy(F.xxhash64("key", F.lit(seed + 1))).limit(TRIAL_ROWS).select("vector").collect()
+            near = np.stack([unit(np.array(lists[q][:k], np.float64)) for q in full])
+            settings[width] = settle(unit(np.array([asked_for[q] for q in full], np.float64)), near, unit(np.array([r["vector"] for r in rows], np.float64)), n, recall, seed)
+
+    held = stage.put(_hash(points, "key", settings, False, seed))
+    asked = stage.put(_hash(queries, "id", settings, True, seed))
     found = stage.put(nearest(asked, held))
+    stage.drop(held, asked)
     enough = found.groupBy("query_id").count().where(F.col("count") >= k).select(F.col("query_id").alias("id"))
     short = stage.put(queries.join(enough, "id", "left_anti"))
     if short.isEmpty():
         return found
-    # the whole width is one bucket; a width of few candidates has few queries, so those that can't reach k cost little
-    bucket = F.size("vector").cast("long").alias("bucket")
-    whole = points.select(F.lit(-1).alias("table"), bucket, "key", "vector", F.when(F.size("ids") == 1, F.get("ids", F.lit(0))).alias("alone"))
-    whole = whole.join(short.select(bucket).distinct(), "bucket", "left_semi")
-    exact = nearest(short.select(F.lit(-1).alias("table"), bucket, F.col("id").alias("key"), "vector"), whole)
+    # a width of few candidates has few queries, so those that can't reach k cost little
+    whole = everything.join(short.select(bucket).distinct(), "bucket", "left_semi")
+    exact = nearest(asking_all(short), whole)
     return found.join(short.select(F.col("id").alias("query_id")).distinct(), "query_id", "left_anti").unionByName(exact)

@@ -72,6 +72,28 @@ def test_wide_vectors(spark):
     assert len(got) == 100 and len(best & {(r.query_id, r.vec_id) for r in got}) >= 90
 
 
+def test_settings_follow_the_vectors():
+    """Vectors in groups are found by few meetings, those without structure by about half of all."""
+    rng = np.random.default_rng(6)
+    unit = lambda x: x / np.sqrt((x * x).sum(-1, keepdims=True))
+    centres = rng.normal(size=(200, 64))
+    groups = unit(centres[rng.integers(0, 200, 3000)] + 0.25 * rng.normal(size=(3000, 64)))
+    loose = unit(rng.normal(size=(3000, 64)))
+    share = {}
+    for name, x in (("groups", groups), ("loose", loose)):
+        near = np.argsort(-(x[:64] @ x.T), axis=1)[:, 1:6]
+        s = ann.settle(x[:64], x[near], x[1000:2000], 10**8, 0.95, 3)
+        met = np.zeros((200, 3000), bool)
+        for t in range(s.tables):
+            own = ann.nearest_buckets(x, t, s, 1, 3)[:, 0]
+            asked = ann.nearest_buckets(x[100:300], t, s, s.probes, 3)
+            met |= (asked[:, :, None] == own[None, None, :]).any(1)
+        best = np.argsort(-(x[100:300] @ x.T), axis=1)[:, 1:6]
+        assert np.take_along_axis(met, best, 1).mean() >= 0.9
+        share[name] = met.mean()
+    assert share["groups"] < 0.1 and share["loose"] < 0.8
+
+
 def test_many_blocks(spark, monkeypatch):
     monkeypatch.setattr(ann, "BLOCK", 64)
     e = table(spark, "/root/testdata/sf0.001", "embeddings")
