@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import warnings
 from collections.abc import Sequence
 
 from pyspark import StorageLevel
@@ -17,7 +18,7 @@ from motifscan.operators.triangles import nodeset_remedy
 from motifscan.plans import shares as sh
 from motifscan.plans.cqs import MotifQuery, cqs_by_orientation
 from motifscan.plans.patterns import Pattern
-from motifscan.plans.planner import plan
+from motifscan.plans.planner import cheapest_queries, plan
 from motifscan.sources.graphs import DataGraph
 
 
@@ -308,13 +309,15 @@ def enumerate_planned(g: DataGraph, s: Pattern, k: int | None = None, edges_per_
     row = g.stats().first()
     m, degree = row["m"] or 0, row["max_degree"] or 0
     paths = triangles.ordered_two_paths(g).count() if s.p == 3 and len(s.edges) == 3 else None
-    scheme = plan(s, k, max(1, m), paths, degree, edges_per_key)
+    scheme = plan(s, k, max(1, m), paths, degree, edges_per_key, row["n"])
+    if scheme.note:
+        warnings.warn(scheme.note, stacklevel=2)
     if scheme.name == "degree":
         return _counted(triangles.triangles_by_degree(g), count_only)
     if scheme.name == "bounded":
         return bounded_degree(g, s, count_only)
     if scheme.name == "variable":
-        return enumerate_variable_oriented(g, s, math.prod(scheme.shares), scheme.shares, cqs_by_orientation(s, "bidirectional"), count_only=count_only)
+        return enumerate_variable_oriented(g, s, math.prod(scheme.shares), scheme.shares, cheapest_queries(s, k or math.prod(scheme.shares)), count_only=count_only)
     return enumerate_bucket_oriented(g, s, scheme.b, count_only=count_only)
 
 

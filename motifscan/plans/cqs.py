@@ -149,7 +149,8 @@ def acyclic_orientations(s: Pattern) -> list[tuple[Pair, ...]]:
     return out
 
 
-def _moved(s: Pattern, o: tuple[Pair, ...], g: tuple[int, ...]) -> tuple[Pair, ...]:
+def moved(s: Pattern, o: tuple[Pair, ...], g: tuple[int, ...]) -> tuple[Pair, ...]:
+    """An orientation's image under a symmetry."""
     up = {(g[a], g[b]) for a, b in o}
     return tuple((a, b) if (a, b) in up else (b, a) for a, b in s.edges)
 
@@ -160,7 +161,7 @@ def bidirectional(queries: list[MotifQuery]) -> int:
 
 
 def orientation_query(s: Pattern, o: tuple[Pair, ...]) -> MotifQuery:
-    fixing = tuple(g for g in automorphisms(s) if _moved(s, o, g) == o)
+    fixing = tuple(g for g in automorphisms(s) if moved(s, o, g) == o)
     return _finished(s.p, o, break_symmetry(fixing))
 
 
@@ -170,7 +171,7 @@ def cqs_by_orientation(s: Pattern, minimise: str | None = None) -> list[MotifQue
     used: set[Pair] = set()
     while left:
         first = next(iter(left))
-        images = sorted({_moved(s, first, g) for g in group})
+        images = sorted({moved(s, first, g) for g in group})
         for i in images:
             left.pop(i, None)
         best = min(images, key=lambda o: sum((b, a) in used for a, b in o)) if minimise == "bidirectional" else first

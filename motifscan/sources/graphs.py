@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -84,19 +85,41 @@ def sequence_arcs(df: DataFrame, group: str, order: str, member: str) -> DataFra
     return DataGraph.from_df(df.select(F.col(member).alias("src"), follow.alias("dst")), directed=True).edges
 
 
-def similarity_edges(vectors: DataFrame, tau: float, bits: int = 8, tables: int = 12) -> DataFrame:
-    """Edges between vectors whose cosine is at least tau, among pairs that agree on all signs of some table of random projections; verified exactly."""
+def sign_tables(n: int, tau: float, recall: float = 0.95, rows: int = 500) -> tuple[int, int]:
+    """(bits, tables) of random projections for n vectors: so many bits that a bucket has some `rows`, and so many tables that a pair at the threshold agrees on all bits of one with this probability."""
+    bits = min(24, max(4, math.ceil(math.log2(max(1, n) / rows)))) if n > rows else 4
+    agree = (1 - math.acos(min(1.0, max(-1.0, tau))) / math.pi) ** bits
+    return bits, 1 if agree >= recall else math.ceil(math.log(1 - recall) / math.log(1 - agree))
+
+
+def similarity_edges(vectors: DataFrame, tau: float, recall: float = 0.95, exact: bool = False) -> DataFrame:
+    """Edges between vectors whose cosine is at least tau, verified: among pairs that agree on all signs of some table of random projections, of which there are as many as the recall needs; exact: among all pairs, which meet in tiles of blocks.
+
+    Vectors that are null, empty or zero have no edges; vectors of different widths never meet.
+    """
     import numpy as np
 
-    first = vectors.select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
-    width = first.select(F.size("v")).first()
-    planes = np.random.default_rng(1).normal(size=(tables, bits, width[0] if width else 1))
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    sign = lambda plane: F.when(dot(F.col("v"), F.array(*(F.lit(float(x)) for x in plane))) > 0, "1").otherwise("0")
-    keyed = first.select("vec_id", "v", F.posexplode(F.array(*(F.concat(*(sign(p) for p in t)) for t in planes))).alias("t", "k"))
-    a, b = keyed.toDF("src", "va", "t", "k"), keyed.toDF("dst", "vb", "t", "k")
-    cosine = dot(F.col("va"), F.col("vb")) / F.sqrt(dot(F.col("va"), F.col("va")) * dot(F.col("vb"), F.col("vb")))
-    return a.join(b, ["t", "k"]).where("src < dst").where(cosine >= tau).select("src", "dst").distinct()
+    first = vectors.select("vec_id", F.col("embedding").cast("array<double>").alias("v")).where(F.col("v").isNotNull() & (F.size("v") > 0) & F.exists("v", lambda c: c != 0))
+    first = first.withColumns({"w": F.size("v"), "norm": F.sqrt(dot(F.col("v"), F.col("v")))})
+    n, widths = first.agg(F.count("*"), F.collect_set("w")).first()
+    if exact:
+        blocks = max(1, math.ceil(n / 2000))
+        own = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")
+        tiles = F.transform(F.sequence(F.lit(0), F.lit(blocks - 1)), lambda o: F.struct(F.least(o, own).alias("i"), F.greatest(o, own).alias("j")))
+        keyed = first.select("vec_id", "v", "w", "norm", F.explode(tiles).alias("k"))
+    else:
+        bits, tables = sign_tables(n, tau, recall)
+        sign = lambda plane: F.when(dot(F.col("v"), F.array(*(F.lit(float(x)) for x in plane))) > 0, "1").otherwise("0")
+        of_width = F.lit(None).cast("array<string>")
+        for w in sorted(widths):
+            planes = np.random.default_rng([1, w]).normal(size=(tables, bits, w))
+            of_width = F.when(F.col("w") == w, F.array(*(F.concat(*(sign(p) for p in t)) for t in planes))).otherwise(of_width)
+        keyed = first.select("vec_id", "v", "w", "norm", F.posexplode(of_width).alias("t", "s")).select("vec_id", "v", "w", "norm", F.struct("t", "s").alias("k"))
+    a, b = keyed.toDF("src", "va", "w", "na", "k"), keyed.toDF("dst", "vb", "w", "nb", "k")
+    # only pairs over the threshold leave the join
+    near = dot(F.col("va"), F.col("vb")) / (F.col("na") * F.col("nb")) >= tau
+    return a.join(b, ["k", "w"]).where("src < dst").where(near).select("src", "dst").distinct()
 
 
 # the graphs of the workloads

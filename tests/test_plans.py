@@ -203,6 +203,25 @@ def test_planner_prefers_degree_order_on_sparse_graphs():
         planner.plan(CATALOGUE["square"])
 
 
+@pytest.mark.parametrize("name", ["square", "pendant_triangle", "pentagon", "diamond", "path4"])
+def test_cheapest_images(name):
+    """Still one query for each class, which find all; no choice of images ships less."""
+    s = CATALOGUE[name]
+    picked, plain = planner.cheapest_queries(s, 64), Q.cqs_by_orientation(s, "bidirectional")
+    assert len(picked) == len(plain)
+    for rank in itertools.islice(itertools.permutations(range(s.p)), 60):
+        assert Q.found_once(s, picked, rank) == 1
+    assert Q.bidirectional(picked) <= Q.bidirectional(plain)
+    price = lambda qs: S.cost(s.p, S.terms(s, qs), S.optimise(s.p, S.terms(s, qs), 64))
+    assert price(picked) <= price(plain) + 1e-6 or Q.bidirectional(picked) < Q.bidirectional(plain)
+
+
+def test_planner_says_when_degrees_are_too_low():
+    assert planner.plan(CATALOGUE["square"], 10**4, max_degree=4, n=10**6).note or planner.plan(CATALOGUE["square"], 10**4, max_degree=4, n=10**6).name != "bucket"
+    assert not planner.plan(CATALOGUE["square"], 8, max_degree=10**4, n=10**6).note
+    assert not costs.degree_ok(4, 10, 10**6) and costs.degree_ok(10**4, 10, 10**6)
+
+
 def test_useful_keys():
     """Only lists that never fall own an instance: of the complete graph on 4 nodes a bucket, ordered by bucket, every such list has some."""
     for b, p in ((3, 3), (2, 4), (4, 2)):

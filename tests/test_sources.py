@@ -1,3 +1,4 @@
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -42,8 +43,23 @@ def test_page_links_and_sink(spark, sf, tmp_path):
 
 
 def test_similarity_edges(spark):
-    v = spark.createDataFrame([(1, [1.0, 0.0]), (2, [1.0, 0.01]), (3, [0.0, 1.0])], "vec_id long, embedding array<double>")
-    assert [tuple(r) for r in graphs.similarity_edges(v, 0.99).collect()] == [(1, 2)]
+    v = spark.createDataFrame([(1, [1.0, 0.0]), (2, [1.0, 0.01]), (3, [0.0, 1.0]), (4, [0.0, 0.0]), (5, None), (6, [1.0, 0.0, 0.0])], "vec_id long, embedding array<double>")
+    for exact in (False, True):
+        assert [tuple(r) for r in graphs.similarity_edges(v, 0.99, exact=exact).collect()] == [(1, 2)]
+
+
+def test_similarity_recall(spark):
+    rng = np.random.default_rng(3)
+    centres = rng.normal(size=(40, 16))
+    rows = [(i, (centres[i % 40] + 0.25 * rng.normal(size=16)).tolist()) for i in range(400)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got, want = ({tuple(r) for r in graphs.similarity_edges(df, 0.9, exact=exact).collect()} for exact in (False, True))
+    x = np.array([r[1] for r in rows])
+    x /= np.sqrt((x * x).sum(1, keepdims=True))
+    assert want == {(i, j) for i, j in zip(*np.nonzero(x @ x.T >= 0.9), strict=True) if i < j}
+    assert got <= want and len(got) >= 0.9 * len(want) > 0
+    bits, tables = graphs.sign_tables(10**9, 0.9)
+    assert bits == 21 and tables < 100 and graphs.sign_tables(100, 0.9)[0] == 4
 
 
 def test_new_triangles_of_a_stream(spark, tmp_path):
