@@ -150,13 +150,23 @@ def test_mix(spark, sf, odd_docs):
 
 
 def test_rounding_keeps_expectations(spark):
-    docs = spark.createDataFrame([(i, "w " * (1 + i % 9), "a" if i % 2 else "b") for i in range(400)], "doc_id long, text string, source string")
-    kept = np.zeros(400)
+    """Each document is taken as often, on average, as its source's target over its size says; the words of each round are the target's."""
+    size = np.array([1 + i % 9 for i in range(400)])
+    docs = spark.createDataFrame([(i, "w " * int(n), "a" if i % 2 else "b") for i, n in enumerate(size)], "doc_id long, text string, source string").cache()
+    copies = np.zeros((12, 400))
     for seed in range(12):
         for r in mixing.plan_mix(docs, seed=seed).collect():
-            kept[r.doc_id] += r.taken / r.size
-    small = kept.reshape(-1, 2)  # sources b, a: each document as often as its source's target says
-    assert abs(small[:, 1].mean() / 12 - 2) < 1e-9 or abs(small.mean() / 12 - 1.5) < 0.1
+            copies[seed, r.doc_id] = r.taken / r.size
+    want = targets(Counter({"a": int(size[1::2].sum()), "b": int(size[::2].sum())}))
+    assert (copies[:, 1::2] == 2).all() and want["a"] == 2 * size[1::2].sum()  # at its cap
+    b, n = copies[:, ::2], size[::2]
+    mean = want["b"] / n.sum()
+    assert 0 < mean % 1 < 1 and set(np.unique(b)) <= {np.floor(mean), np.ceil(mean)}
+    assert (np.abs((b * n).sum(1) - want["b"]) <= n.max()).all()
+    spread = np.sqrt((mean % 1) * (1 - mean % 1))
+    for k in range(1, 10):  # no size is favoured: within five standard deviations of independent draws
+        own = b[:, n == k]
+        assert abs(own.mean() - mean) <= 5 * spread / np.sqrt(own.size) + 1e-9
 
 
 def test_mix_documents(spark, sf):
