@@ -8,12 +8,15 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from motifscan.functions.buckets import bucket_of, pack_tuple, rank_multiset
+from motifscan.functions.buckets import bucket_of, pack_tuple, rank_multiset, rank_three
 from motifscan.plans.patterns import Pattern
 
 
 def multiset_keys(edges: DataFrame, b: int, p: int, kind: str = "xx", seed: int = 0) -> DataFrame:
     """Bucket-oriented: rows (rk, src, dst), each edge with every list of p - 2 more buckets. C(b+p-3, p-2) rows an edge."""
+    if p == 3:
+        rows = edges.select("src", "dst", bucket_of("src", b, kind, seed).alias("u"), bucket_of("dst", b, kind, seed).alias("v"), F.explode(F.sequence(F.lit(0), F.lit(b - 1))).alias("w"))
+        return rows.select(rank_three(F.col("u"), F.col("v"), F.col("w")).alias("rk"), "src", "dst")
     rows = edges.select("src", "dst", F.array(bucket_of("src", b, kind, seed), bucket_of("dst", b, kind, seed)).alias("list"), F.lit(0).alias("w"))
     for _ in range(p - 2):  # one more bucket, none below the last one that was added
         rows = rows.select("src", "dst", "list", F.explode(F.sequence("w", F.lit(b - 1))).alias("w")).select("src", "dst", F.concat("list", F.array("w")).alias("list"), "w")
@@ -79,5 +82,7 @@ def tuple_owner(s: Pattern, shares: Sequence[int], names: Sequence[str], kind: s
 
 
 def multiset_owner(names: Sequence[str], b: int, kind: str = "xx", seed: int = 0) -> Column:
+    if len(names) == 3:
+        return rank_three(*(bucket_of(n, b, kind, seed) for n in names))
     return rank_multiset(F.array(*(bucket_of(n, b, kind, seed) for n in names)), b, len(names))
 
