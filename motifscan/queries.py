@@ -407,17 +407,18 @@ register(
 
 # counts and roll-ups
 _SMALL = ("path3", "star4", "triangle", "diamond", "pendant_triangle", "path4", "square", "k4")
-_COUNT = lambda n, graph="copurchase": f"SELECT '{n}' AS pattern, CAST(count(*) AS DECIMAL(38,0)) AS n FROM ({pattern_sql(graph, CATALOGUE[n])})"
-register("motif_census", on("copurchase", census.motif_census), " UNION ALL ".join(_COUNT(n) for n in _SMALL))
+_COUNT = lambda n, graph="copurchase": f"SELECT '{n}' AS pattern, count(*) AS n FROM ({pattern_sql(graph, CATALOGUE[n])})"
+_AS_LONG = lambda df, *names: df.withColumns({n: F.col(n).cast("long") for n in names})
+register("motif_census", on("copurchase", lambda g: _AS_LONG(census.motif_census(g), "n")), " UNION ALL ".join(_COUNT(n) for n in _SMALL))
 _CENSUS_OF = ("copurchase_bulk", "buyer_part")
 register(
     "census_by_graph",
-    lambda spark, sf: census.census_of({n: GRAPHS[n](spark, sf) for n in _CENSUS_OF}),
+    lambda spark, sf: _AS_LONG(census.census_of({n: GRAPHS[n](spark, sf) for n in _CENSUS_OF}), *_SMALL),
     " UNION ALL ".join(f"SELECT '{graph}' AS graph, " + ", ".join(f"(SELECT n FROM ({_COUNT(n, graph)})) AS {n}" for n in _SMALL) for graph in _CENSUS_OF),
 )
 register(
     "output_bounds",
-    on("copurchase", lambda g: measures.bounds(g, census.motif_census(g).where("pattern in ('triangle', 'square', 'k4', 'diamond')"), {"triangle": 3, "square": 4, "k4": 4, "diamond": 4}).select("pattern", "n", F.round("of_bound", 9).alias("of_bound"), F.round("of_degree_bound", 9).alias("of_degree_bound"))),
+    on("copurchase", lambda g: measures.bounds(g, census.motif_census(g).where("pattern in ('triangle', 'square', 'k4', 'diamond')"), {"triangle": 3, "square": 4, "k4": 4, "diamond": 4}).select("pattern", F.col("n").cast("long").alias("n"), F.round("of_bound", 9).alias("of_bound"), F.round("of_degree_bound", 9).alias("of_degree_bound"))),
     f"{view('copurchase')}, z AS (SELECT count(*) m, (SELECT max(c) FROM (SELECT count(*) c FROM u GROUP BY src)) d FROM e) SELECT pattern, n, round(CAST(n AS DOUBLE) / power(m, p / 2.0), 9) AS of_bound, round(CAST(n AS DOUBLE) / (m * power(d, p - 2)), 9) AS of_degree_bound FROM z, (" + " UNION ALL ".join(f"SELECT {CATALOGUE[n].p} p, * FROM ({_COUNT(n)})" for n in ("triangle", "square", "k4", "diamond")) + ")",
 )
 
