@@ -326,6 +326,21 @@ def test_census(g):
     assert got["path4"] == 215_532 and got["star4"] == 76_807
 
 
+@pytest.mark.parametrize("load", [1 << 21, 40])
+def test_grouped_triangles(spark, load):
+    rng = np.random.default_rng(3)
+    edges = {(g, int(min(a, b)), int(max(a, b))) for g, n in (("a", 30), ("b", 400), ("c", 3)) for a, b in rng.integers(0, n, (500, 2)) if a != b}
+    df = spark.createDataFrame(sorted(edges), "g string, src long, dst long")
+    want = dict.fromkeys("abc", 0)
+    for g, a, b in edges:
+        want[g] += sum((g, b, c) in edges and (g, a, c) in edges for c in range(b + 1, 400))
+    assert {r["g"]: r["triangles"] for r in census.grouped_triangles(df, "g", load).collect()} == want
+    assert not any(p.startswith("hashpartitioning(g") and "src" in p and "dst" in p for p in exchanges(census.grouped_census(df, "g")))  # no two-paths are shipped
+    a, b = np.array([(a, b) for g, a, b in sorted(edges) if g == "b"]).T
+    node, to = np.concatenate([a, b]), np.concatenate([b, a])
+    assert census.common_neighbours(a, b, node, to, step=64) == census.common_neighbours(a, b, node, to, words=0, step=64) == 3 * want["b"]
+
+
 def test_five_cycle(spark, sf):
     rels = graphs.five_relations(spark, sf)
     assert five_cycle_case([150, 1500, 5942, 1905, 10])[0] == "A"
