@@ -188,6 +188,12 @@ def test_large_groups_stop_the_job(spark):
         en.co_membership(facts, ["g"], "v", 2, 434).count()
 
 
+def test_large_groups_are_whole_unless_limited(spark):
+    facts = spark.createDataFrame([(1, i) for i in range(80)], "g long, v long")
+    rows = en.co_membership(facts, ["g"], "v", 5)
+    assert rows.where("x0 = 40").count() == math.comb(39, 4)  # 24 million sets in all, more than the ten million that used to stop the job
+
+
 def test_run_lengths_of_instances(g):
     found = en.enumerate_bucket_oriented(g, CATALOGUE["pentagon"], 2).select("*", up_downs([f"x{i}" for i in range(5)]).alias("runs")).limit(300).collect()
     for r in found:
@@ -341,6 +347,11 @@ def test_grouped_triangles(spark, load):
     assert census.common_neighbours(a, b, node, to, step=64) == census.common_neighbours(a, b, node, to, words=0, step=64) == 3 * want["b"]
 
 
+@pytest.mark.parametrize("name", ["cq_counts", "cycle_cq_counts", "share_costs", "scheme_formulas"])
+def test_plans_read_a_given_table(spark, sf, name):
+    assert any("lineitem" in f for f in queries.queries()[name](spark, sf).inputFiles())
+
+
 def test_five_cycle(spark, sf):
     rels = graphs.five_relations(spark, sf)
     assert five_cycle_case([150, 1500, 5942, 1905, 10])[0] == "A"
@@ -368,7 +379,7 @@ def test_anchored_and_labelled(spark, g):
     assert en.anchored(g, CATALOGUE["square"], one).count() == squares
 
 
-@pytest.mark.parametrize("name", ["tri_ordered", "labelled_triangle", "directed_cycle3", "triangle_rollup", "cost_tri_schemes", "streaming_edges_batch_equiv", "co_membership_five", "cq_counts", "convertible_probes", "sweep_square_shares", "joint_or_separate", "shipped_by_plan", "load_summary", "heptagon_odd_cycle", "heptagon_odd_joins", "node_labelled_square", "five_cycle_case_b", "asof_last_view", "node_numbers", "near_docs", "census_by_month", "cube_bucket"])
+@pytest.mark.parametrize("name", ["tri_ordered", "labelled_triangle", "directed_cycle3", "triangle_rollup", "cost_tri_schemes", "streaming_edges_batch_equiv", "co_membership_five", "cq_counts", "cycle_cq_counts", "share_costs", "scheme_formulas", "convertible_probes", "sweep_square_shares", "joint_or_separate", "shipped_by_plan", "load_summary", "heptagon_odd_cycle", "heptagon_odd_joins", "node_labelled_square", "five_cycle_case_b", "asof_last_view", "node_numbers", "near_docs", "census_by_month", "cube_bucket"])
 def test_queries_match_sql(spark, sf, name):
     import duckdb
 
