@@ -2,14 +2,16 @@
 
 import itertools
 import math
+import tracemalloc
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from motifscan import queries
 from motifscan.functions.buckets import rank_multiset, rank_python, unrank_multiset, up_downs
-from motifscan.operators import census, kernels, measures, schemes
+from motifscan.operators import census, kernels, measures, reduce, schemes
 from motifscan.operators import enumerate as en
 from motifscan.operators import triangles as tri
 from motifscan.operators.five_cycle import extremal_five_cycle, five_cycle_case, five_cycle_join
@@ -127,6 +129,38 @@ def test_many_keys_in_one_index():
         assert got == sorted((i, *r) for i, x in enumerate(parts) for r in kernels.find(kernels.LocalIndex(x[:, 0], x[:, 1]), s, algorithm).tolist())
 
 
+def test_large_local_graphs_are_held_once():
+    rng = np.random.default_rng(8)
+    src, dst = rng.integers(0, 1 << 40, (2, 400_000)) % 50_021
+    tracemalloc.start()
+    local = kernels.LocalIndex(reduce.narrow(src), reduce.narrow(dst), marks=(src.astype(np.int16), dst.astype(np.int16)))
+    held, most = tracemalloc.get_traced_memory()
+    tracemalloc.stop()
+    assert held < 24 * len(src) and most < 80 * len(src)
+    a, b = rng.integers(0, local.n, (2, 100_000))
+    listed = np.isin(a * local.n + b, local.packed)
+    assert (local.has(a, b) == listed).all() and local.has(local.head, local.tail).all()
+    assert (local.marks == local.ids.astype(np.int16)).all()
+
+
+@pytest.mark.parametrize(("name", "algorithm", "b"), [("pentagon", "odd", 3), ("gem", "odd", 3), ("house", "combine", 3), ("bowtie", "combine", 3), ("prism", "combine", 2), ("square", "combine", 4), ("square", "grow", 4)])
+def test_owners_prune_every_algorithm(name, algorithm, b):
+    """What a key's algorithm gives is the key's own before anything is dropped; a key of many edges is alone."""
+    rng, s = np.random.default_rng(1), CATALOGUE[name]
+    e = np.unique(np.sort(rng.integers(0, 40, (220, 2)), axis=1), axis=0)
+    e = e[e[:, 0] < e[:, 1]]
+    bucket = rng.integers(0, b, 40)
+    rows = sorted({(rank_python(sorted([bucket[u], bucket[v], *rest])), int(u), int(v), int(bucket[u]), int(bucket[v])) for rest in itertools.combinations_with_replacement(range(b), s.p - 2) for u, v in e})
+    batches = [pa.RecordBatch.from_arrays([pa.array(c) for c in zip(*rows[i : i + 99], strict=True)], list("abcde")) for i in range(0, len(rows), 99)]
+    found, lists = [], reduce.Lists(b)
+    for keys, number, (src, dst, *ends) in reduce.key_runs(iter(batches), True):
+        local = kernels.LocalIndex(src, dst, key=number, by_id=algorithm != "odd", marks=tuple(ends))
+        for x in kernels.find_blocks(local, s, algorithm, lists.pruner(local, keys, local.marks, s.p)):
+            assert not len(x) or lists.owned(local, keys, local.marks, x).all()
+            found += map(tuple, local.ids[x].tolist())
+    assert len(found) == len(set(found)) and set(found) == set(map(tuple, kernels.find(kernels.LocalIndex(e[:, 0], e[:, 1]), s).tolist()))
+
+
 def test_odd_cycles_by_joins(spark, g):
     same(tri.odd_cycles(g, 3), 830)
     same(tri.odd_cycles(g, 5), 41_962)
