@@ -1,11 +1,39 @@
-"""Connected components of a graph of links, by alternating stars. DataFrame operations only."""
+"""Connected components of a graph of links, by alternating stars. DataFrame operations, and one task for what little is left."""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
-from motifscan.llm.common import Stage, frequent, join_dealt
+from motifscan.llm.common import Stage, frequent, in_arrow, join_dealt
+
+
+#: Edges that one task settles by a union-find: a bounded number, a few megabytes.
+FEW = 1 << 17
+
+
+def _settle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(u, v): of all edges (u, v) together, each node v and its component's smallest one."""
+    held = [np.stack([c.to_numpy() for c in batch.columns], 1) for batch in batches if batch.num_rows]
+    if not held:
+        return
+    nodes, ends = np.unique(np.concatenate(held), return_inverse=True)
+    u, v = ends.reshape(-1, 2).T
+    up = np.arange(len(nodes))
+    while True:
+        low = np.minimum(up[u], up[v])
+        before = up.copy()
+        for x in (up[u], up[v]):
+            np.minimum.at(up, x, low)
+        while (up[up] != up).any():
+            up = up[up]
+        if (up == before).all():
+            break
+    yield pa.RecordBatch.from_arrays([pa.array(nodes[up]), pa.array(nodes)], ["u", "v"])
 
 
 def _written(edges: DataFrame, stage: Stage) -> tuple[DataFrame, dict]:
@@ -25,6 +53,9 @@ def connected_components(links: DataFrame, stage: Stage) -> DataFrame:
     """
     edges, mark = _written(links.where("a != b").select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("u")).distinct(), stage)
     while mark["n"]:
+        if mark["n"] <= FEW:
+            edges = in_arrow(edges.select("u", "v").coalesce(1), _settle, "u long, v long")
+            return stage.put(edges.select(F.col("v").alias("node"), F.col("u").alias("component")))
         # in neither join below a node has more rows than edges
         degree = edges.select(F.explode(F.array("u", "v")).alias("node")).groupBy("node").agg(F.count("*").alias("c"))
         hot = frequent(degree, ["node"], "c", mark["n"])

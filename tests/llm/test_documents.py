@@ -422,6 +422,25 @@ def test_components(spark, monkeypatch, frequent):
     assert got == {v: up[v] for a, b in links if a != b for v in (a, b)}
 
 
+@pytest.mark.parametrize("few", [0, 1 << 17])
+def test_components_by_rounds_and_in_one_task(spark, monkeypatch, few):
+    from motifscan.llm import components
+
+    monkeypatch.setattr(components, "FEW", few, raising=False)
+    links = [(i, i + 7) for i in range(0, 700) if i % 70 < 60] + [(10_000, i) for i in range(9_000, 9_040)] + [(5, 5)]
+    stage, puts = common.Stage(spark, "test"), []
+    put = stage.put
+    stage.put = lambda df: puts.append(1) or put(df)
+    got = {r.node: r.component for r in connected_components(spark.createDataFrame(links, "a long, b long"), stage).collect()}
+    up = {n: n for x in links if x[0] != x[1] for n in x}
+    for _ in up:
+        for a, b in links:
+            if a != b:
+                up[a] = up[b] = min(up[a], up[b])
+    assert got == up
+    assert few == 0 or len(puts) == 2  # no rounds where few edges are there
+
+
 # licences
 
 
