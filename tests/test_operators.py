@@ -161,6 +161,17 @@ def test_owners_prune_every_algorithm(name, algorithm, b):
     assert len(found) == len(set(found)) and set(found) == set(map(tuple, kernels.find(kernels.LocalIndex(e[:, 0], e[:, 1]), s).tolist()))
 
 
+def test_all_mappings_of_squares_ship_two_paths_only(spark):
+    rng = np.random.default_rng(5)
+    small, s = graph(spark, rng.integers(0, 12, (40, 2)).tolist()), CATALOGUE["square"]
+    adjacent = {x for r in small.edges.collect() for x in ((r["src"], r["dst"]), (r["dst"], r["src"]))}
+    want = {x for x in itertools.permutations(range(12), 4) if all((x[a], x[b]) in adjacent for a, b in s.edges)}
+    df = en.enumerate_all_mappings(small, s)
+    rows = [tuple(r) for r in df.collect()]
+    assert len(rows) == len(set(rows)) and set(rows) == want
+    assert not any("x0" in p and "x3" in p for p in exchanges(df))
+
+
 def test_odd_cycles_by_joins(spark, g):
     same(tri.odd_cycles(g, 3), 830)
     same(tri.odd_cycles(g, 5), 41_962)
