@@ -411,6 +411,27 @@ def test_five_cycle(spark, sf):
     assert five_cycle_case([1, 9, 1, 9, 1])[2] == 1
 
 
+def test_five_cycle_case_b_ships_no_results(spark):
+    wide = lambda a, b: spark.range(120).selectExpr(f"id * 7 % {a} - 40 a", f"id * 11 % {b} - 40 b").distinct()
+    nations = spark.createDataFrame([(-1, i) for i in range(-40, 60)], "a long, b long")
+    rels = [nations, wide(99, 30), wide(30, 40), wide(40, 99), nations.select(F.col("b").alias("a"), F.col("a").alias("b"))]
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        rows = five_cycle_join(rels, "B", sizes=[1, 10**6, 10, 10**6, 1])
+        per = five_cycle_join(rels, "B", sizes=[1, 10**6, 10, 10**6, 1], by=["v2", "v1", "v5"])
+        assert per.columns == ["v2", "v1", "v5", "n"]
+        same = rows.groupBy("v2", "v1", "v5").agg(F.count("*").alias("n"))
+        plain = five_cycle_join(rels, "A")
+        assert rows.count() == plain.count() > 0 and rows.exceptAll(plain).count() == 0
+        assert per.exceptAll(same).count() == same.exceptAll(per).count() == 0
+        assert five_cycle_join(rels, "A", by=["v2", "v1", "v5"]).exceptAll(per).count() == 0
+        assert five_cycle_join(rels, "B", sizes=[1, 10**6, 10, 10**6, 1], by=["v3"]).agg(F.sum("n")).first()[0] == plain.count()
+        # the result isn't shipped for the check in the fourth relation
+        assert not any("v4" in e and "v5" in e for e in exchanges(rows))
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
 @pytest.mark.parametrize("sizes", [(16, 16, 16, 16, 16), (2, 100, 3, 100, 4)])
 def test_five_cycle_bounds_are_met(spark, sizes):
     bound = five_cycle_case(sizes)[2]
