@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from motifscan import queries
 from motifscan.functions.buckets import rank_multiset, rank_python, unrank_multiset, up_downs
-from motifscan.operators import census, kernels, measures, reduce, schemes
+from motifscan.operators import census, closing, kernels, measures, reduce, schemes
 from motifscan.operators import enumerate as en
 from motifscan.operators import triangles as tri
 from motifscan.operators.five_cycle import extremal_five_cycle, five_cycle_case, five_cycle_join
@@ -181,6 +181,31 @@ def test_odd_cycles_by_joins(spark, g):
         tri.odd_cycles(ring, 4)
 
 
+def _shipped(spark, df):
+    """What the plan ships by, none of it broadcast that isn't meant to be."""
+    old = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        return exchanges(df)
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", old)
+
+
+def test_odd_cycles_ship_no_path_of_three_edges(spark, g):
+    found = tri.odd_cycles(g, 5)
+    # nothing goes on from the third node, or from a path's end
+    assert not any(f"x{i}" in p for i in (1, 2, 3) for p in _shipped(spark, found))
+    assert run_figures(found)["rows"] < 10 * 1_220 + 2 * 41_962
+
+
+@pytest.mark.parametrize("name, value", [("WORDS", 1), ("LIST", 2)])
+def test_closing_loses_nothing(g, monkeypatch, name, value):
+    """A sieve of one word lets nearly all pairs pass; short lists split most nodes."""
+    monkeypatch.setattr(closing, name, value)
+    found = tri.odd_cycles(g, 5)
+    assert found.count() == found.distinct().count() == 41_962
+
+
 def test_hypercubes(spark):
     cube = graph(spark, [(a, a | 1 << i) for a in range(8) for i in range(3) if not a >> i & 1])
     assert en.enumerate_bucket_oriented(cube, CATALOGUE["cube"], 2).count() == 1
