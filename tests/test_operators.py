@@ -2,6 +2,7 @@
 
 import itertools
 import math
+import re
 import tracemalloc
 
 import numpy as np
@@ -10,7 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from motifscan import queries
-from motifscan.functions.buckets import rank_multiset, rank_python, unrank_multiset, up_downs
+from motifscan.functions.buckets import canonical_mapping, rank_multiset, rank_python, unrank_multiset, up_downs
 from motifscan.operators import census, closing, kernels, measures, reduce, schemes
 from motifscan.operators import enumerate as en
 from motifscan.operators import triangles as tri
@@ -198,6 +199,22 @@ def test_odd_cycles_ship_no_path_of_three_edges(spark, g):
     assert run_figures(found)["rows"] < 10 * 1_220 + 2 * 41_962
 
 
+def test_pentagon_cascade_ships_no_path_of_three_edges(spark, g):
+    found = en.enumerate_cascade(g, CATALOGUE["pentagon"], cycle_cqs(5))
+    # no join goes on from a path's end: edges, arms by their middle, and what the filter passes, by both ends
+    assert not any(re.fullmatch(r"hashpartitioning\(x\d#\d+L, \d+\)", p) for p in _shipped(spark, found))
+    plain = tri.odd_cycles(g, 5).select(*canonical_mapping(CATALOGUE["pentagon"], [f"x{i}" for i in range(5)]))
+    assert found.exceptAll(plain).count() == plain.exceptAll(found).count() == 0
+
+
+def test_long_odd_cycles_in_a_clique(spark):
+    clique = graph(spark, list(itertools.combinations(range(8), 2)))
+    whole = math.factorial(8) // 14
+    assert tri.odd_cycles(clique, 7).distinct().count() == whole
+    found = en.enumerate_cascade(clique, CATALOGUE["heptagon"], cycle_cqs(7))
+    assert found.count() == found.distinct().count() == whole
+
+
 @pytest.mark.parametrize("name, value", [("WORDS", 1), ("LIST", 2)])
 def test_closing_loses_nothing(g, monkeypatch, name, value):
     """A sieve of one word lets nearly all pairs pass; short lists split most nodes."""
